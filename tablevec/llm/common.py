@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -51,7 +52,7 @@ def slices(batch: pa.RecordBatch, column: int, most: int) -> Iterator[pa.RecordB
     """Parts of a batch whose texts in one column have about `most` bytes, one row at least."""
     if not batch.num_rows:
         return
-    lengths = np.nan_to_num(np.asarray(pa.compute.binary_length(batch.column(column)).to_pandas(), dtype="float64")).astype("int64")
+    lengths = np.nan_to_num(np.asarray(pc.binary_length(batch.column(column)).to_numpy(zero_copy_only=False), dtype="float64")).astype("int64")
     start, ends = 0, np.cumsum(lengths)
     while start < batch.num_rows:
         before = ends[start - 1] if start else 0

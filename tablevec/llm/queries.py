@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 from tablevec.llm.packing import op5_best_fit_packing
+from tablevec.llm.sharding import op7_sharding
+from tablevec.llm.token_counts import op9_token_counts
 
-QUERIES = {f.__name__: f for f in (op5_best_fit_packing,)}
+QUERIES = {f.__name__: f for f in (op5_best_fit_packing, op7_sharding, op9_token_counts)}
 ORACLES: dict[str, str] = {}
