@@ -69,7 +69,7 @@ def test_pieces_are_the_ids_of_the_library(spark, tiny):
     assert n == len(got)
 
 
-@pytest.mark.parametrize("text", ["", " ", "A b,c.  D\n\ne\tf\x1cg", "it's 12 don't <|endoftext|> x<|startoftext|>y", "É́ ﬁ İ ΑΣ  z", "a" * 9000, "word. " * 500, "Ünï,cödé;x:", "<|endoftext|>.", "A\x85b\xa0c​d"])
+@pytest.mark.parametrize("text", ["", " ", "A b,c.  D\n\ne\tf\x1cg", "it's 12 don't <|endoftext|> x<|startoftext|>y", "É́ ﬁ İ ΑΣ  z", "a" * 9000, "word. " * 500, "Ünï,cödé;x:", "<|endoftext|>.", "A\x85b\xa0c​d", "İ. İx,"])
 def test_chunks_give_the_ids_of_whole_texts(text):
     from tokenizers import Tokenizer
 
