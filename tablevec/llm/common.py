@@ -12,10 +12,6 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: What separates words in the contracts: the space and the control characters tab to carriage return.
-WORD_BREAKS = " \t\n\x0b\x0c\r"
-_UPPER_TO_LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-_BREAK_TO_SPACE = str.maketrans({c: " " for c in WORD_BREAKS[1:]}) | _UPPER_TO_LOWER
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,16 +24,9 @@ def bucket(key: str, modulus: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(F.col(key).cast("string"), F.lit("")).cast("binary")), F.lit(modulus))
 
 
-def ascii_words(text: str) -> list[str]:
-    """The words of a text: A to Z in lower case, split at white space of ASCII only."""
-    return [w for w in text.translate(_BREAK_TO_SPACE).split(" ") if w]
-
-
-def fold_words(text: str) -> list[str]:
-    """The same words as ascii_words, faster for most ASCII texts (str.split also splits at 0x1c to 0x1f)."""
-    if text.isascii() and not any(c in text for c in "\x1c\x1d\x1e\x1f"):
-        return text.lower().split()
-    return ascii_words(text)
+def byte_words(text: bytes | None) -> list[bytes]:
+    """The words `[^\\x20\\x09-\\x0D]+` of a text in UTF-8, with A to Z in lower case; bytes know ASCII only."""
+    return text.lower().split() if text else []
 
 
 def map_arrow(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
@@ -93,3 +82,8 @@ class Scratch:
         for name in names:
             path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
             path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def text_bytes(column: str = "text") -> Column:
+    """A text as UTF-8 bytes; null stays null."""
+    return F.col(column).cast("string").cast("binary").alias(column)
