@@ -10,40 +10,28 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tablevec.llm import decontamination, language_id, near_duplicates, packing, toxicity
-from tablevec.llm.common import Scratch, table
-
-
-def _only(docs: DataFrame, verdicts: DataFrame, kept: str) -> DataFrame:
-    """The documents whose rows got the verdict `kept`; rows that repeat a doc_id share the kindest verdict.
-
-    Rows with a null doc_id can't be told apart by a verdict; they stay.
-    """
-    good = verdicts.where(F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max(kept).alias("_kept")).where("_kept")
-    return docs.join(good.select("doc_id"), "doc_id", "left_semi").select(docs.columns).union(docs.where(F.col("doc_id").isNull()))
+from tablevec.llm.common import Scratch, table, without_ids
 
 
 def keep_identified_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose text has letters and lies near enough to a language's centroids."""
-    return _only(docs, language_id.identify(docs).select("doc_id", (~F.col("rejected")).alias("ok")), "ok")
+    """Rows whose text has letters and lies near enough to a language's centroids."""
+    return language_id.keep_identified(docs)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose toxicity score is under a half."""
-    return _only(docs, toxicity.tag(docs, table(spark, sf_dir, "labels")).select("doc_id", (F.col("predicted") == 0).alias("ok")), "ok")
+    """Rows whose toxicity score is under a half."""
+    return toxicity.keep_clean(docs, table(spark, sf_dir, "labels"))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, that of the smallest doc_id, of each group linked by five-word shingles at 0.8 or more.
-
-    Rows that repeat the doc_id of the document that stays are dropped too.
-    """
-    return _only(docs, near_duplicates.near_duplicates(docs), "kept").withColumn("_copy", F.coalesce(F.col("doc_id").cast("string"), F.uuid())).dropDuplicates(["_copy"]).drop("_copy")
+    """Of each group of documents linked by five-word shingles at 0.8 or more, the document of the smallest doc_id."""
+    found = near_duplicates.near_duplicates(docs)
+    return without_ids(docs, "doc_id", found.where(~F.col("kept")).select(F.col("doc_id").alias("id")).distinct())
 
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark passage."""
-    hits = decontamination.find_leaks(docs, table(spark, sf_dir, "benchmark"))
-    return docs.join(hits.select("doc_id").distinct(), "doc_id", "left_anti").select(docs.columns)
+    """Rows whose text holds no benchmark passage."""
+    return decontamination.keep_uncontaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

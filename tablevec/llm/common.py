@@ -87,3 +87,58 @@ class Scratch:
 def text_bytes(column: str = "text") -> Column:
     """A text as UTF-8 bytes; null stays null."""
     return F.col(column).cast("string").cast("binary").alias(column)
+
+
+def filter_rows(docs: DataFrame, decide: Callable[[list[str | None]], object], most: int = 2 << 20) -> DataFrame:
+    """The rows whose text gets a true verdict, with all their columns, where they lie; `decide` sees lists of texts."""
+    at = docs.columns.index("text")
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in slices(whole, at, most):
+                yield batch.filter(pa.array(np.asarray(decide(batch.column(at).to_pylist()), dtype=bool)))
+
+    return docs.mapInArrow(work, docs.schema)
+
+
+def id_bitmap(ids: DataFrame, most_bits: int = 26) -> np.ndarray:
+    """A bitmap of the hashes of the distinct column `id`, of a bounded size whatever the number of ids.
+
+    Ids outside it are surely not among them; an exact join must follow for the others.
+    """
+    bits = 1 << min(most_bits, max(12, int(16 * ids.count()).bit_length()))
+    slot = f"pmod(xxhash64(id), {bits})"
+    words = ids.select(F.expr(f"{slot} >> 6").alias("w"), F.expr(f"shiftleft(1L, cast({slot} & 63 as int))").alias("bit")).groupBy("w").agg(F.bit_or("bit").alias("bits"))
+    bitmap, got = np.zeros(bits >> 6, dtype=np.uint64), words.toPandas()
+    bitmap[got["w"].to_numpy(np.int64)] = got["bits"].to_numpy(np.int64).view(np.uint64)
+    return bitmap
+
+
+def id_slot(column: str) -> Column:
+    """The hash of an id that in_bitmap reads, below 2 ** 40."""
+    return F.pmod(F.xxhash64(column), F.lit(1 << 40))
+
+
+def in_bitmap(bitmap: np.ndarray, slots: np.ndarray) -> np.ndarray:
+    at = slots % (64 * len(bitmap))
+    return ((bitmap[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)).astype(bool)
+
+
+def without_ids(docs: DataFrame, key: str, ids: DataFrame) -> DataFrame:
+    """The rows of `docs` whose key is not among the distinct ids (column `id`); null keys stay.
+
+    Rows whose key is outside a bitmap of the ids stay where they lie; only the others are shuffled to be compared.
+    """
+    shared, columns = docs.sparkSession.sparkContext.broadcast(id_bitmap(ids)), docs.columns
+
+    def part(want: bool) -> DataFrame:
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                slots = batch.column(batch.num_columns - 1)
+                hit = in_bitmap(shared.value, slots.fill_null(0).to_numpy()) & ~slots.is_null().to_numpy(zero_copy_only=False)
+                yield batch.select(range(batch.num_columns - 1)).filter(pa.array(hit == want))
+
+        slot = F.when(F.col(key).isNotNull(), id_slot(key)).alias("_slot")
+        return docs.select(*(F.col(f"`{c}`") for c in columns), slot).mapInArrow(work, docs.schema)
+
+    return part(False).union(part(True).join(ids.withColumnRenamed("id", "_gone"), F.col(key) == F.col("_gone"), "left_anti"))

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablevec.llm.common import map_arrow, record_batch, slices, table
+from tablevec.llm.common import filter_rows, map_arrow, record_batch, slices, table
 
 Q = 9
 #: Edits allowed for each character of a passage, fewer where the bound would not be positive.
@@ -260,15 +260,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     rows with a null id keep it. Other columns are ignored. The benchmark goes to every task in parts of about
     MOST_CHARACTERS; every part takes one pass over the documents, without a shuffle.
     """
-    spark = docs.sparkSession
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull())
-    total = items.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0))).first()[0]
-    passes = 1 + int(total) // MOST_CHARACTERS
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     out = None
-    for k in range(passes):
-        part = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k).orderBy("item_id", "text")
-        shared = spark.sparkContext.broadcast([(r["item_id"], r["text"]) for r in part.collect()])
+    for shared in _parts(benchmark):
 
         def work(batches, shared=shared):
             return _hits(batches, Index(shared.value))
@@ -278,5 +272,28 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     return out
 
 
+def _parts(benchmark: DataFrame) -> list:
+    """Broadcast parts of the benchmark's (item_id, text) pairs."""
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where(F.col("text").isNotNull())
+    total = items.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0))).first()[0]
+    passes = 1 + int(total) // MOST_CHARACTERS
+    parts = (items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k).orderBy("item_id", "text") for k in range(passes))
+    return [benchmark.sparkSession.sparkContext.broadcast([(r["item_id"], r["text"]) for r in p.collect()]) for p in parts]
+
+
+def keep_uncontaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """The rows of (text, ...) whose text holds no benchmark passage, with all their columns."""
+    for shared in _parts(benchmark):
+        made: list[Index] = []
+
+        def decide(texts: list[str | None], shared=shared, made=made) -> list[bool]:
+            if not made:
+                made.append(Index(shared.value))
+            return [not found for found in made[0].find(texts)]
+
+        docs = filter_rows(docs, decide, 1 << 20)
+    return docs
+
+
 def op8_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))

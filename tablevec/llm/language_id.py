@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablevec.llm.common import bucket, map_arrow, record_batch, slices, table
+from tablevec.llm.common import bucket, filter_rows, map_arrow, record_batch, slices, table
 
 DIMENSIONS = 4096
 CENTROIDS = 4
@@ -177,5 +177,12 @@ def identify(docs: DataFrame) -> DataFrame:
     return map_arrow(own.select("doc_id", "held_out", "text"), work, "doc_id long, held_out boolean, lang_pred string, score double, rejected boolean")
 
 
+def keep_identified(docs: DataFrame) -> DataFrame:
+    """The rows of (doc_id, text, lang, ...) whose text is not rejected, with all their columns."""
+    training = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(bucket("doc_id", 3) != 1)
+    model = docs.sparkSession.sparkContext.broadcast(fit(training))
+    return filter_rows(docs, lambda texts: np.concatenate([~model.value.predict(texts[k : k + 128])[2] for k in range(0, len(texts), 128)]))
+
+
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(table(spark, sf_dir, "documents"))

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablevec.llm.common import Scratch, byte_words, map_arrow, record_batch, slices, table, text_bytes
+from tablevec.llm.common import Scratch, byte_words, id_bitmap, id_slot, in_bitmap, map_arrow, record_batch, slices, table, text_bytes
 from tablevec.llm.components import components
 
 TREES, DEPTH = 24, 4
@@ -250,11 +250,9 @@ def _left_over(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
 
 def _sets_of(batches: Iterator[pa.RecordBatch], words: int, bitmap: np.ndarray) -> Iterator[pa.RecordBatch]:
     """Full sets of the documents whose id may be in the bitmap."""
-    schema, shingler, bits = pa.schema([("id", pa.int64()), ("set", pa.binary())]), Shingler(words), 64 * len(bitmap)
+    schema, shingler = pa.schema([("id", pa.int64()), ("set", pa.binary())]), Shingler(words)
     for whole in batches:
-        slot = whole.column(1).to_numpy() % bits
-        hit = (bitmap[slot >> 6] >> (slot & 63).astype(np.uint64)) & np.uint64(1)
-        keep = pa.array(np.flatnonzero(hit))
+        keep = pa.array(np.flatnonzero(in_bitmap(bitmap, whole.column(1).to_numpy())))
         for batch in slices(whole.take(keep), 2, 8 << 20):
             yield record_batch(schema, [batch.column(0), [shingler(t).astype("<u8").tobytes() for t in batch.column(2).to_pylist()]])
 
@@ -272,14 +270,8 @@ def _confirmed(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
 def _confirm(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
     """The pairs (a, b) that are links, by full sets made from the texts of the documents in them."""
     ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    bits = 1 << min(26, max(12, int(16 * ids.count()).bit_length()))
-    slot = F.pmod(F.xxhash64("id"), F.lit(bits))
-    words = ids.select(F.shiftright(slot, 6).alias("w"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64(id), {bits}) & 63 as int))").alias("bit")).groupBy("w").agg(F.bit_or("bit").alias("bits"))
-    bitmap = np.zeros(bits >> 6, dtype=np.uint64)
-    got = words.toPandas()  # at most 2 ** 20 rows
-    bitmap[got["w"].to_numpy(np.int64)] = got["bits"].to_numpy(np.int64).view(np.uint64)
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap)
-    asked = docs.where(F.col("doc_id").isNotNull()).select("doc_id", F.pmod(F.xxhash64("doc_id"), F.lit(1 << 40)).alias("slot"), text_bytes())
+    shared = docs.sparkSession.sparkContext.broadcast(id_bitmap(ids))
+    asked = docs.where(F.col("doc_id").isNotNull()).select("doc_id", id_slot("doc_id").alias("slot"), text_bytes())
     sets = map_arrow(asked, lambda b: _sets_of(b, rule.words, shared.value), "id long, set binary").join(ids, "id", "left_semi")
     first = pairs.join(sets.select(F.col("id").alias("a"), F.col("set").alias("set_a")), "a")
     both = first.join(sets.select(F.col("id").alias("b"), F.col("set").alias("set_b")), "b").select("a", "b", "set_a", "set_b")

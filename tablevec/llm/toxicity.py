@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablevec.llm.common import bucket, map_arrow, record_batch, slices, table
+from tablevec.llm.common import bucket, filter_rows, map_arrow, record_batch, slices, table
 
 #: Bound of the labelled rows that the field is fitted on, for each class.
 SAMPLE_PER_CLASS = 6000
@@ -225,6 +225,10 @@ def document_features(p: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     return out
 
 
+def document_scores(crf: Field, p: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(crf.document[0] + document_features(p, lengths) @ crf.document[1:], -30, 30)))
+
+
 def train_field(words: np.ndarray, prefixes: np.ndarray, sides: np.ndarray, labels: np.ndarray, rounds: int = 6, rate: float = 0.5) -> Field:
     """Maximum likelihood by Adagrad over rows of tokens; label -1 marks no token."""
     crf, rng = Field(), np.random.default_rng(11)
@@ -364,7 +368,7 @@ def _scored(batches: Iterator[pa.RecordBatch], crf: Field) -> Iterator[pa.Record
         for batch in slices(whole, 2, 4 << 20):
             texts = batch.column(2).to_pylist()
             p, lengths = tagger.marginals(texts)
-            score = 1 / (1 + np.exp(-np.clip(crf.document[0] + document_features(p, lengths) @ crf.document[1:], -30, 30)))
+            score = document_scores(crf, p, lengths)
             begins = np.concatenate([[0], np.cumsum(lengths)]).astype(int)
             hits = np.add.reduceat(np.append(p >= 0.5, False), np.minimum(begins[:-1], len(p))).astype(int) * (lengths > 0) if len(p) else np.zeros(len(texts), int)
             spans = [_spans(t, p[begins[k] : begins[k + 1]]) if hits[k] else [] for k, t in enumerate(texts)]
@@ -384,5 +388,22 @@ def tag(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return map_arrow(own, lambda batches: _scored(batches, crf.value), kind)
 
 
+_TAGGERS: dict[int, Tagger] = {}
+
+
+def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The rows of (doc_id, text, ...) whose score is under a half, with all their columns."""
+    training = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(bucket("doc_id", 5) != 0)
+    crf = docs.sparkSession.sparkContext.broadcast(fit(training, labels.select("doc_id", "toxic")))
+
+    def decide(texts: list[str | None]) -> np.ndarray:
+        if not any(t.crf is crf.value for t in _TAGGERS.values()):
+            _TAGGERS.clear()
+            _TAGGERS[0] = Tagger(crf.value)
+        return document_scores(crf.value, *_TAGGERS[0].marginals(texts)) < 0.5
+
+    return filter_rows(docs, decide)
+
+
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tag(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
