@@ -1,15 +1,16 @@
 """Near-duplicate documents by a MinHash forest, with links confirmed on full shingle sets.
 
-1. Each text becomes its set of shingle hashes, a fingerprint of the set, MINHASHES minimum hashes, and a sketch of
-   their lowest bits. Texts with equal sets are one class, whose representative is the smallest doc_id.
+1. Each text becomes its set of shingle hashes, a fingerprint of the set, minimum hashes, and a sketch of their lowest
+   bits. Texts with equal sets are one class, whose representative is the smallest doc_id.
 2. The forest has TREES orders of the signature; tree t starts at another place and goes on through the next values.
    Representatives are sorted in each order. Those that share the first DEPTH values are a region; a region of more
    than REGION rows is split at the next values, down to twice the depth. Candidates are the rows that
    share the longest prefixes: each row of a region is compared with the region's leaders by size and sketch, which
    drops pairs far below the threshold, and paired with the leaders it may be near to, or becomes a leader itself.
 3. Pairs are confirmed on full sets, which are made again from the texts of the documents concerned alone.
-4. Links are contracted to components. Then all candidate pairs of each region that were not compared and lie in
-   different components are confirmed too, so leaving out pairs inside a component loses no link.
+4. Links are contracted to components. Pairs of a region inside one component need no more work. For any other pair
+   that may be near, the row of the smaller component is compared with all of the larger one, which no more gathers
+   pairs than rows; so no link between components is left out.
 
 A pair of similarity 0.8 shares a region with probability 1 - (1 - 0.8 ** 4) ** 24, all but three in a million.
 """
@@ -29,11 +30,14 @@ from tablevec.llm.common import Scratch, byte_words, id_bitmap, id_slot, in_bitm
 from tablevec.llm.components import components
 
 TREES, DEPTH = 24, 4
-MINHASHES = TREES * DEPTH
+SIGNATURE = TREES * DEPTH
+MINHASHES = 2 * SIGNATURE
 #: Rows of a region that are compared at once; beyond, the region is split deeper.
 REGION = 20_000
-#: Lowest bits that must agree, of MINHASHES: 5.6 standard deviations below what similarity 0.8 gives.
-LEAST_BITS = 70
+#: How many of the MINHASHES must agree in their two lowest bits: five standard deviations below what 0.8 gives.
+LEAST_ALIKE = 138
+#: Components of up to so many rows are compared as pairs; rows of larger ones that one task compares at once.
+SMALL_COMPONENT, TOGETHER = 16, 2000
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64)
 _ODD = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -100,7 +104,13 @@ def min_hashes(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-_SKETCH = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("print_a", pa.int64()), ("print_b", pa.int64()), ("signature", pa.binary())])
+_SKETCH = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("print_a", pa.int64()), ("print_b", pa.int64()), ("signature", pa.binary()), ("bits", pa.binary())])
+
+
+def low_bits(hashes: np.ndarray) -> np.ndarray:
+    """The two lowest bits of each hash, four to a byte."""
+    two = (hashes & 3).astype(np.uint8)
+    return two[:, 0::4] | two[:, 1::4] << 2 | two[:, 2::4] << 4 | two[:, 3::4] << 6
 
 
 def _sketched(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
@@ -112,15 +122,17 @@ def _sketched(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.Reco
             sets = [shingler(t) for t in batch.column(1).to_pylist()]
             full = [i for i, s in enumerate(sets) if len(s)]
             signatures: list[bytes | None] = [None] * len(sets)
+            bits: list[bytes | None] = [None] * len(sets)
             if full:
-                for i, row in zip(full, min_hashes([sets[i] for i in full])):
-                    signatures[i] = row.astype("<u4").tobytes()
+                hashes = min_hashes([sets[i] for i in full])
+                for i, row, low in zip(full, hashes[:, :SIGNATURE].astype("<u4"), low_bits(hashes)):
+                    signatures[i], bits[i] = row.tobytes(), low.tobytes()
             prints = np.array([np.frombuffer(xxhash.xxh3_128_digest(s.tobytes()), dtype="<i8") for s in sets]).reshape(-1, 2)
-            yield record_batch(_SKETCH, [batch.column(0), [len(s) for s in sets], prints[:, 0], prints[:, 1], signatures])
+            yield record_batch(_SKETCH, [batch.column(0), [len(s) for s in sets], prints[:, 0], prints[:, 1], signatures, bits])
 
 
-_BRANCH = pa.schema([("tree", pa.int32()), ("key", pa.int64()), ("deeper", pa.int64()), ("rep", pa.int64()), ("n", pa.int32()), ("bits_a", pa.int64()), ("bits_b", pa.int64())])
-_BRANCH_KIND = "tree int, key long, deeper long, rep long, n int, bits_a long, bits_b long"
+_BRANCH = pa.schema([("tree", pa.int32()), ("key", pa.int64()), ("deeper", pa.int64()), ("rep", pa.int64()), ("n", pa.int32()), ("bits", pa.binary())])
+_BRANCH_KIND = "tree int, key long, deeper long, rep long, n int, bits binary"
 
 
 def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -129,12 +141,8 @@ def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not batch.num_rows:
             continue
         sig = np.array([np.frombuffer(s, dtype="<u4") for s in batch.column(2).to_pylist()])
-        low = np.packbits((sig & 1).astype(np.uint8), axis=1)
-        bits = np.zeros((len(sig), 16), dtype=np.uint8)
-        bits[:, : low.shape[1]] = low
-        bits = bits.view("<i8")
         for t in range(TREES):
-            order = (np.arange(2 * DEPTH) + t * DEPTH) % MINHASHES
+            order = (np.arange(2 * DEPTH) + t * DEPTH) % SIGNATURE
             key = np.zeros(len(sig), dtype=np.uint64)
             for j in order[:DEPTH]:
                 key = (key ^ (key >> np.uint64(29))) * _MIX[1] + sig[:, j]
@@ -142,7 +150,12 @@ def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for j in order[DEPTH:]:
                 deeper = (deeper << np.uint64(16)) | (sig[:, j] & 0xFFFF)
             key = (key ^ (key >> np.uint64(32))) * _MIX[2]
-            yield record_batch(_BRANCH, [np.full(len(sig), t, np.int32), key.view(np.int64), deeper.view(np.int64), batch.column(0), batch.column(1), bits[:, 0], bits[:, 1]])
+            yield record_batch(_BRANCH, [np.full(len(sig), t, np.int32), key.view(np.int64), deeper.view(np.int64), batch.column(0), batch.column(1), batch.column(3)])
+
+
+def _columns(t: pa.Table) -> dict[str, np.ndarray]:
+    """Columns as arrays; sketches as rows of unsigned 64-bit numbers."""
+    return {c: np.frombuffer(b"".join(t.column(c).to_pylist()), dtype="<u8").reshape(t.num_rows, -1) if c == "bits" else t.column(c).to_numpy() for c in t.column_names}
 
 
 def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[str, np.ndarray]]:
@@ -153,7 +166,7 @@ def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[
             continue
         t = pa.Table.from_batches([batch])
         t = pa.concat_tables([rest, t]) if rest is not None else t
-        cols = {c: t.column(c).to_numpy() for c in t.column_names}
+        cols = _columns(t)
         cuts = np.flatnonzero(np.any([cols[c][1:] != cols[c][:-1] for c in by], axis=0)) + 1
         last = int(cuts[-1]) if len(cuts) else 0
         starts, ends = np.concatenate([[0], cuts])[:-1] if len(cuts) else cuts, cuts
@@ -162,7 +175,7 @@ def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[
                 yield {c: v[a:b] for c, v in cols.items()}
         rest = t.slice(last)
     if rest is not None and rest.num_rows > 1:
-        yield {c: rest.column(c).to_numpy() for c in rest.column_names}
+        yield _columns(rest)
 
 
 def _split(region: dict[str, np.ndarray], depth: int = 0) -> Iterator[dict[str, np.ndarray]]:
@@ -181,14 +194,14 @@ def _split(region: dict[str, np.ndarray], depth: int = 0) -> Iterator[dict[str,
 def _near(r: dict[str, np.ndarray], i: int, others: np.ndarray, percent: int) -> np.ndarray:
     """Which of the other rows may be near to row i, by size and sketch."""
     n = r["n"].astype(np.int64)
-    fit = (100 * np.minimum(n[i], n[others]) >= percent * np.maximum(n[i], n[others]))
-    a, b = r["bits_a"].view(np.uint64), r["bits_b"].view(np.uint64)
-    differ = np.bitwise_count(a[others] ^ a[i]).astype(np.int64) + np.bitwise_count(b[others] ^ b[i])
-    return fit & (differ <= MINHASHES - LEAST_BITS)
+    fit = 100 * np.minimum(n[i], n[others]) >= percent * np.maximum(n[i], n[others])
+    differ = r["bits"][others] ^ r["bits"][i]
+    differ = (differ | differ >> np.uint64(1)) & np.uint64(0x5555555555555555)
+    return fit & (np.bitwise_count(differ).sum(axis=1, dtype=np.int64) <= MINHASHES - LEAST_ALIKE)
 
 
-_CANDIDATE = pa.schema([("region", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32()), ("bits_a", pa.int64()), ("bits_b", pa.int64())])
-_CANDIDATE_KIND = "region long, a long, b long, n int, bits_a long, bits_b long"
+_CANDIDATE = pa.schema([("region", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32()), ("bits", pa.binary())])
+_CANDIDATE_KIND = "region long, a long, b long, n int, bits binary"
 
 
 def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
@@ -216,12 +229,12 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
                     paired[i] = paired[near] = True
                     pairs += len(near)
                     none = [None] * len(near)
-                    put(none, [int(part["rep"][i])] * len(near), part["rep"][near].tolist(), none, none, none)
+                    put(none, [int(part["rep"][i])] * len(near), part["rep"][near].tolist(), none, none)
             members = np.flatnonzero(paired)
             if len(members) > 2:
                 name = int(part["key"][0]) ^ (int(part["tree"][0]) << 48)
                 deep = int(part["deeper"][0]) if g < len(region["rep"]) else 0
-                put([name ^ deep] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), part["bits_a"][members].tolist(), part["bits_b"][members].tolist())
+                put([name ^ deep] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
             if len(out[0]) > 50_000:
                 yield record_batch(_CANDIDATE, out)
                 out = [[] for _ in _CANDIDATE]
@@ -229,25 +242,49 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
 
 
 def _left_over(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Pairs of rows of one region that may be near and lie in different components."""
-    schema, out = pa.schema([("a", pa.int64()), ("b", pa.int64())]), ([], [])
+    """(id, other): a row, and a larger component with a row of its region that may be near to it."""
+    schema, out = pa.schema([("id", pa.int64()), ("other", pa.int64())]), ([], [])
     for region in _regions(batches, ["region"]):
-        label = region["component"]
+        label, size, rep = region["component"], region["size"], region["rep"]
         if (label == label[0]).all():
             continue
-        for i in range(len(label) - 1):
-            others = np.arange(i + 1, len(label))
-            others = others[label[others] != label[i]]
-            for j in others[_near(region, i, others, percent)] if len(others) else ():
-                x, y = int(region["rep"][i]), int(region["rep"][j])
-                out[0].append(min(x, y))
-                out[1].append(max(x, y))
-            if len(out[0]) > 50_000:
-                yield record_batch(schema, list(out))
-                out = ([], [])
+        found = set()
+        for i in range(len(label)):
+            others = np.flatnonzero((label != label[i]) & ((size > size[i]) | ((size == size[i]) & (label > label[i]))))
+            if len(others):
+                found.update((int(rep[i]), int(x)) for x in np.unique(label[others[_near(region, i, others, percent)]]))
+        for x, y in found:
+            out[0].append(x)
+            out[1].append(y)
+        if len(out[0]) > 50_000:
+            yield record_batch(schema, list(out))
+            out = ([], [])
     yield record_batch(schema, list(out))
 
 
+def _met(asked: pa.Table, members: pa.Table, percent: int) -> pa.Table:
+    """For each asked set, one linked set of the members, if there is any."""
+    schema, out = pa.schema([("a", pa.int64()), ("b", pa.int64())]), ([], [])
+    if asked.num_rows and members.num_rows:
+        ids = members.column("id").to_numpy()
+        sets = [np.frombuffer(b, dtype="<u8") for b in members.column("set").to_pylist()]
+        sizes = np.array([len(x) for x in sets], dtype=np.int64)
+        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), sizes)
+        order = np.argsort(flat, kind="stable")
+        flat, owner = flat[order], owner[order]
+        for x, packed in zip(asked.column("id").to_pylist(), asked.column("set").to_pylist()):
+            own = np.frombuffer(packed, dtype="<u8")
+            low, high = np.searchsorted(flat, own, "left"), np.searchsorted(flat, own, "right")
+            many = high - low
+            at = np.repeat(low - np.cumsum(many) + many, many) + np.arange(many.sum())
+            both = np.bincount(owner[at], minlength=len(sets))
+            good = np.flatnonzero(100 * both >= percent * (len(own) + sizes - both))
+            if len(good):
+                out[0].append(x)
+                out[1].append(int(ids[good[0]]))
+    return pa.table([pa.array(c, pa.int64()) for c in out], schema=schema)
+
+
 def _sets_of(batches: Iterator[pa.RecordBatch], words: int, bitmap: np.ndarray) -> Iterator[pa.RecordBatch]:
     """Full sets of the documents whose id may be in the bitmap."""
     schema, shingler = pa.schema([("id", pa.int64()), ("set", pa.binary())]), Shingler(words)
@@ -267,17 +304,47 @@ def _confirmed(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.R
         yield batch.select([0, 1]).filter(pa.array(good, pa.bool_()))
 
 
-def _confirm(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
-    """The pairs (a, b) that are links, by full sets made from the texts of the documents in them."""
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+def _full_sets(docs: DataFrame, ids: DataFrame, rule: Rule) -> DataFrame:
+    """(id, set) of the documents among the distinct ids, from their texts."""
     shared = docs.sparkSession.sparkContext.broadcast(id_bitmap(ids))
     asked = docs.where(F.col("doc_id").isNotNull()).select("doc_id", id_slot("doc_id").alias("slot"), text_bytes())
-    sets = map_arrow(asked, lambda b: _sets_of(b, rule.words, shared.value), "id long, set binary").join(ids, "id", "left_semi")
+    return map_arrow(asked, lambda b: _sets_of(b, rule.words, shared.value), "id long, set binary").join(ids, "id", "left_semi")
+
+
+def _confirm(pairs: DataFrame, sets: DataFrame, rule: Rule) -> DataFrame:
+    """The pairs (a, b) that are links, by full sets."""
     first = pairs.join(sets.select(F.col("id").alias("a"), F.col("set").alias("set_a")), "a")
     both = first.join(sets.select(F.col("id").alias("b"), F.col("set").alias("set_b")), "b").select("a", "b", "set_a", "set_b")
     return map_arrow(both, partial(_confirmed, percent=rule.percent), "a long, b long")
 
 
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+
+
+def _links_between(docs: DataFrame, members: DataFrame, labels: DataFrame, rule: Rule, scratch: Scratch) -> DataFrame:
+    """Links of rows with other, larger components, at least one for each two that have any in their regions."""
+    sizes = labels.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
+    known = labels.join(sizes, "component").select(F.col("node").alias("rep"), "component", "size")
+    labelled = members.join(known, "rep", "left").select("region", "rep", "n", "bits", F.coalesce("component", "rep").alias("component"), F.coalesce("size", F.lit(1)).alias("size"))
+    ordered = labelled.repartition("region").sortWithinPartitions("region")
+    asked = scratch.keep(map_arrow(ordered, partial(_left_over, percent=rule.percent), "id long, other long").distinct(), "asked")
+    wanted = asked.select("other").distinct().join(sizes.withColumnRenamed("component", "other"), "other", "left").select("other", F.coalesce("size", F.lit(1)).alias("size"))
+    inside = wanted.join(labels.select(F.col("component").alias("other"), "node"), "other", "left").select("other", "size", F.coalesce("node", "other").alias("node"))
+    inside = scratch.keep(inside, "inside")
+    few = asked.join(inside.where(F.col("size") <= SMALL_COMPONENT), "other").select(F.col("id").alias("a"), F.col("node").alias("b"))
+    sets = _full_sets(docs, asked.select("id").union(inside.select(F.col("node").alias("id"))).distinct(), rule)
+    sets = scratch.keep(sets, "sets")
+    links = _confirm(few.distinct(), sets, rule)
+    blocks = (F.floor(F.col("size") / TOGETHER) + 1).cast("int")
+    large = inside.where(F.col("size") > SMALL_COMPONENT)
+    held = large.select("other", F.pmod(F.xxhash64("node"), blocks).cast("int").alias("block"), F.col("node").alias("id")).join(sets, "id").select(*(F.col(c).alias(c) for c in ("other", "block", "id", "set")))
+    parts = large.select("other", blocks.alias("blocks")).distinct()
+    queries = asked.join(parts, "other").select("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "id").join(sets, "id").select(*(F.col(c).alias(c) for c in ("other", "block", "id", "set")))
+    met = queries.groupBy("other", "block").cogroup(held.groupBy("other", "block")).applyInArrow(lambda q, m: _met(q, m, rule.percent), "a long, b long")
+    return links.union(met)
+
+
 def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     """doc_id, n_shingles, component_id and kept for every row of (doc_id, text).
 
@@ -288,25 +355,23 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     spark: SparkSession = docs.sparkSession
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     scratch = Scratch(spark, "neardup")
-    sketches = scratch.keep(map_arrow(own.select("doc_id", text_bytes()), partial(_sketched, words=rule.words), "doc_id long, n_shingles long, print_a long, print_b long, signature binary"), "sketches")
+    sketches = scratch.keep(map_arrow(own.select("doc_id", text_bytes()), partial(_sketched, words=rule.words), "doc_id long, n_shingles long, print_a long, print_b long, signature binary, bits binary"), "sketches")
     linkable = sketches.where((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull())
     classes = linkable.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep"))
     reps = linkable.join(classes, ["print_a", "print_b"]).where(F.col("doc_id") == F.col("rep")).dropDuplicates(["print_a", "print_b"])
-    branches = map_arrow(reps.select("rep", F.col("n_shingles").cast("int").alias("n"), "signature"), _branches, _BRANCH_KIND)
+    branches = map_arrow(reps.select("rep", F.col("n_shingles").cast("int").alias("n"), "signature", "bits"), _branches, _BRANCH_KIND)
     sorted_branches = branches.repartition("tree", "key").sortWithinPartitions("tree", "key")
     found = scratch.keep(map_arrow(sorted_branches, partial(_led, percent=rule.percent), _CANDIDATE_KIND), "candidates")
     pairs = scratch.keep(found.where(F.col("region").isNull()).select("a", "b").where(F.col("a") != F.col("b")).distinct(), "pairs")
-    links = scratch.keep(_confirm(own, pairs, rule), "links")
+    links = scratch.keep(_confirm(pairs, scratch.keep(_full_sets(own, _ends(pairs), rule), "pair-sets"), rule), "links")
+    scratch.drop("pair-sets")
     labels = scratch.keep(components(links, scratch), "labels")
-    members = found.where(F.col("region").isNotNull()).select("region", F.col("a").alias("rep"), "n", "bits_a", "bits_b")
-    labelled = members.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("region", "rep", "n", "bits_a", "bits_b", F.coalesce("component", "rep").alias("component"))
-    more = map_arrow(labelled.repartition("region").sortWithinPartitions("region"), partial(_left_over, percent=rule.percent), "a long, b long").distinct()
-    more = scratch.keep(more.join(pairs, ["a", "b"], "left_anti"), "more")
-    if not more.isEmpty():
-        extra = scratch.keep(_confirm(own, more, rule), "more-links")
-        if not extra.isEmpty():
-            roots = labels.select(F.col("node").alias("a"), F.col("component").alias("b"))
-            labels = scratch.keep(components(extra.union(roots), scratch, "again"), "labels-again")
+    members = found.where(F.col("region").isNotNull()).select("region", F.col("a").alias("rep"), "n", "bits")
+    extra = scratch.keep(_links_between(own, members, labels, rule, scratch), "more-links")
+    scratch.drop("sets")
+    if not extra.isEmpty():
+        roots = labels.select(F.col("node").alias("a"), F.col("component").alias("b"))
+        labels = scratch.keep(components(extra.union(roots), scratch, "again"), "labels-again")
     by_class = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("print_a", "print_b", F.coalesce("component", "rep").alias("component_id"))
     joined = linkable.select("doc_id", "n_shingles", "print_a", "print_b").join(by_class, ["print_a", "print_b"]).select("doc_id", "n_shingles", "component_id")
     alone = sketches.where((F.col("n_shingles") == 0) | F.col("doc_id").isNull()).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))

@@ -77,6 +77,17 @@ def test_large_regions_are_split_deeper(spark, monkeypatch):
     assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
 
 
+@pytest.mark.parametrize("small", [0, 3, 16])
+def test_links_between_components(spark, monkeypatch, small):
+    monkeypatch.setattr(nd, "SMALL_COMPONENT", small)
+    monkeypatch.setattr(nd, "TOGETHER", 10)
+    rng = random.Random(11)
+    rows = list(enumerate(t for k in range(4) for t in _chains(random.Random(k), 60)[:60]))
+    rng.shuffle(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
+
+
 def test_nulls_short_texts_repeats_and_no_rows(spark):
     rows = [(1, None, 0), (2, "", 0), (3, " \t\n", 0), (4, "One", 0), (5, "one", 0), (6, "one two", 0), (7, "ONE  two", 0), (7, "one two", 0), (8, "É x", 0), (9, "é x", 0), (10, "a\x1cb", 0), (None, "one two", 0), (None, None, 0)]
     df = spark.createDataFrame(rows, "doc_id long, text string, kept int")
@@ -102,6 +113,7 @@ def test_sketch_bits_keep_near_sets():
     for _ in range(200):
         pool = rng.integers(0, 1 << 63, 540, dtype=np.uint64)
         sets = [np.unique(pool[:300]), np.unique(np.concatenate([pool[:267], pool[300:333]]))]  # similarity 0.802
-        sig = nd.min_hashes(sets)
-        lost += (((sig[0] ^ sig[1]) & 1) == 0).sum() < nd.LEAST_BITS
+        bits = nd.low_bits(nd.min_hashes(sets)).view("<u8")
+        region = {"n": np.array([len(x) for x in sets]), "bits": bits}
+        lost += not nd._near(region, 0, np.array([1]), 80)[0]
     assert lost == 0
