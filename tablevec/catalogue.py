@@ -6,9 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from tablevec.operators import solvers
 from tablevec.operators.weights import Params
-from tablevec.queries import core, relational
+from tablevec.queries import core, relational, tasks
 
-_MODULES = [core, relational]
+_MODULES = [core, relational, tasks]
 QUERIES = {k: v for m in _MODULES for k, v in m.QUERIES.items()}
 ORACLES = {k: v for m in _MODULES for k, v in m.ORACLES.items()}
 
