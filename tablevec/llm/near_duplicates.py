@@ -42,7 +42,7 @@ _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64)
 _ODD = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xFF51AFD7ED558CCD))
-_MOST_WORDS = 500_000
+_MOST_WORDS = 150_000
 
 
 @dataclass(frozen=True)
@@ -118,7 +118,7 @@ def _sketched(batches: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.Reco
 
     shingler = Shingler(words)
     for whole in batches:
-        for batch in slices(whole, 1, 8 << 20):
+        for batch in slices(whole, 1, 2 << 20):
             sets = [shingler(t) for t in batch.column(1).to_pylist()]
             full = [i for i, s in enumerate(sets) if len(s)]
             signatures: list[bytes | None] = [None] * len(sets)
@@ -290,12 +290,12 @@ def _sets_of(batches: Iterator[pa.RecordBatch], words: int, bitmap: np.ndarray)
     schema, shingler = pa.schema([("id", pa.int64()), ("set", pa.binary())]), Shingler(words)
     for whole in batches:
         keep = pa.array(np.flatnonzero(in_bitmap(bitmap, whole.column(1).to_numpy())))
-        for batch in slices(whole.take(keep), 2, 8 << 20):
+        for batch in slices(whole.take(keep), 2, 2 << 20):
             yield record_batch(schema, [batch.column(0), [shingler(t).astype("<u8").tobytes() for t in batch.column(2).to_pylist()]])
 
 
 def _confirmed(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in (part for whole in batches for part in slices(whole, 2, 4 << 20)):
         good = []
         for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
             p, q = np.frombuffer(x, dtype="<u8"), np.frombuffer(y, dtype="<u8")

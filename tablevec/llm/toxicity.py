@@ -27,7 +27,7 @@ SAMPLE_PER_CLASS = 6000
 SIGN_SHARE, SIGN_COUNT, SIGN_RATIO, MOST_SIGNS = 0.005, 3, 20.0, 5000
 WORD_BINS, SIDE_BINS = 1 << 18, 1 << 16
 STRETCH = 64  # tokens that are trained, or walked, as one row
-MOST_KEPT = 500_000
+MOST_KEPT = 150_000
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
 _OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("score", pa.float64()), ("predicted", pa.int32()), ("n_toxic", pa.int64()), ("spans", _SPANS)])
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
@@ -388,19 +388,17 @@ def tag(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return map_arrow(own, lambda batches: _scored(batches, crf.value), kind)
 
 
-_TAGGERS: dict[int, Tagger] = {}
-
-
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of (doc_id, text, ...) whose score is under a half, with all their columns."""
     training = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(bucket("doc_id", 5) != 0)
     crf = docs.sparkSession.sparkContext.broadcast(fit(training, labels.select("doc_id", "toxic")))
 
+    made: list[Tagger] = []  # each task's own, freed with it
+
     def decide(texts: list[str | None]) -> np.ndarray:
-        if not any(t.crf is crf.value for t in _TAGGERS.values()):
-            _TAGGERS.clear()
-            _TAGGERS[0] = Tagger(crf.value)
-        return document_scores(crf.value, *_TAGGERS[0].marginals(texts)) < 0.5
+        if not made:
+            made.append(Tagger(crf.value))
+        return document_scores(crf.value, *made[0].marginals(texts)) < 0.5
 
     return filter_rows(docs, decide)
 
