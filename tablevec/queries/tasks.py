@@ -174,7 +174,7 @@ def grid_search_small(spark, sf):
 
 @add()
 def ablation_by_link_kind(spark, sf):
-    return scores.score_spread(wl.run_ablation(spark, sf, settings=nets.Settings((32,), max_epochs=30, patience=10)))
+    return scores.score_spread(wl.run_ablation(spark, sf, settings=nets.Settings((32,), rate=1e-2, l2=1e-5, max_epochs=60, patience=20)))
 
 
 # upkeep and streams

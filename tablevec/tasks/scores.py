@@ -89,7 +89,13 @@ def impute_ngram(rows: DataFrame, text: str, label: str, encoder: str = "linear"
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import HashingTF, StringIndexer
 
-    grams = F.flatten(F.array(*(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - n + 1, F.lit(1))), lambda i, n=n: F.substr(F.lower(F.col(text)), i, F.lit(n))) for n in sizes)))
+    lower = F.lower(F.col(text))
+
+    def runs(n: int):
+        """All runs of n characters; the function's one parameter is the place, as transform asks."""
+        return F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - n + 1, F.lit(1))), lambda i: F.substr(lower, i, F.lit(n)))
+
+    grams = F.flatten(F.array(*map(runs, sizes)))
     own = rows.select(F.col("trial").cast("int").alias("trial"), "split", F.col("item").cast("string").alias("item"), F.col(label).cast("string").alias("label"), grams.alias("grams"))
     counted = HashingTF(numFeatures=features, inputCol="grams", outputCol="features").transform(own).drop("grams")
     out = None

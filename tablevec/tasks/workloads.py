@@ -18,8 +18,8 @@ from tablevec.tasks import nets, samples, scores
 
 METHODS = ("base", "graph", "objective", "series")
 #: Small networks for quick runs; pass nets.BINARY and so on for the published widths.
-QUICK = nets.Settings((64,), max_epochs=60, patience=15)
-QUICK_LINK = nets.Settings((48, 24), max_epochs=80, patience=20)
+QUICK = nets.Settings((64,), rate=1e-2, l2=1e-5, max_epochs=150, patience=40)
+QUICK_LINK = nets.Settings((48, 24), rate=5e-3, l2=1e-5, max_epochs=150, patience=40)
 QUICK_NUMBER = nets.Settings((64, 64, 32, 32), rate=1e-3, max_epochs=60, patience=15)
 QUICK_WALKS = {"per_node": 5, "length": 12, "rounds": 2}
 DOCUMENTS = SchemaSpec({"documents": ("text", "lang", "source")})
