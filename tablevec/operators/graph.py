@@ -58,33 +58,6 @@ def walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int =
     return now.select("walk_id", "path")
 
 
-def skip_gram(paths: list[np.ndarray], n: int, dim: int, window: int, rounds: int, seed: int, negatives: int = 5, rate: float = 0.05) -> np.ndarray:
-    """Vectors by skip-gram with negative samples, in numpy; for graphs whose vectors fit on one machine."""
-    rng = np.random.default_rng(seed)
-    centers, contexts = [], []
-    for p in paths:
-        for d in range(1, window + 1):
-            centers += [p[:-d], p[d:]]
-            contexts += [p[d:], p[:-d]]
-    c, o = np.concatenate(centers), np.concatenate(contexts)
-    weight = np.bincount(o, minlength=n) ** 0.75
-    table = np.repeat(np.arange(n), np.maximum(1, (1e6 * weight / weight.sum()).astype(int)) * (weight > 0))
-    v, u = (rng.random((n, dim)) - 0.5) / dim, np.zeros((n, dim))
-    size, total = 4096, rounds * len(c)
-    done = 0
-    for _ in range(rounds):
-        for part in np.array_split(rng.permutation(len(c)), max(1, len(c) // size)):
-            step = rate * max(0.05, 1 - done / total)
-            a, others = c[part], np.concatenate([o[part][:, None], rng.choice(table, (len(part), negatives))], axis=1)
-            x, y = v[a], u[others]
-            g = 1 / (1 + np.exp(-np.einsum("bd,bkd->bk", x, y)))
-            g[:, 0] -= 1
-            np.add.at(v, a, -step * np.einsum("bk,bkd->bd", g, y))
-            np.add.at(u, others.ravel(), -step * (g[..., None] * x[:, None, :]).reshape(-1, dim))
-            done += len(part)
-    return v
-
-
 def fit_walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int = 40, window: int = 5, dim: int = 64, seed: int = 1, rounds: int = 1) -> DataFrame:
     """(node_id, vec) of the values by walks and skip-gram (Spark's, which sends the whole model to every task)."""
     from pyspark.ml.feature import Word2Vec
