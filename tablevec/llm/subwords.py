@@ -31,6 +31,8 @@ class ChunkCoder(dict):
         letters = _byte_letters()
         self.spelled = {c: "".join(letters[b] for b in chr(c).encode()) for c in range(0x80, 0x250)}
         self[""] = b""
+        for mark in ",.;:":
+            self[mark] = self._encode(mark)
 
     def _encode(self, chunk: str) -> bytes:
         if chunk.isalpha() and chunk == chunk.lower() and max(chunk) < "ɐ" and len(chunk) <= 64:
@@ -42,8 +44,8 @@ class ChunkCoder(dict):
     def __missing__(self, chunk: str) -> bytes:
         if len(chunk) > 1 and chunk[-1] in ",.;:" and chunk[:-1].isalpha() and chunk.lower()[:-1].isalpha():
             out = self[chunk[:-1]] + self[chunk[-1]]
-        elif chunk.isascii() and chunk.isalpha() and not chunk.islower():
-            out = self[chunk.lower()]
+        elif chunk.isalpha() and chunk != (low := chunk.lower()) and max(chunk) < "ɐ" and "İ" not in chunk:
+            out = self[low]
         else:
             out = self._encode(chunk)
         if len(self) < self.most and len(chunk) <= 64:
