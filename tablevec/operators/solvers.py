@@ -183,20 +183,20 @@ def _packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: list[str] | None) -> Fit:
     """Sweeps with the vectors on the driver and in every task; links stay in their tasks."""
     spark, d = start.sparkSession, step.dims
-    head = step.nodes.select("node_id", "category", "den", "sig").toPandas().sort_values("node_id")
-    ids = head["node_id"].to_numpy(np.int64)
+    table = step.nodes.select("node_id", "category", "den", "sig", "const").toArrow().sort_by("node_id")
+    ids = table.column("node_id").to_numpy()
     place = {int(n): i for i, n in enumerate(ids)} if len(ids) and ids[-1] != len(ids) - 1 else None
     at = (lambda v: v) if place is None else (lambda v: np.array([place[int(n)] for n in v], dtype=np.int64))
 
-    def matrix(df: DataFrame, column: str) -> np.ndarray:
-        out = np.zeros((len(ids), d))
-        t = df.select("node_id", column).toArrow()
-        if t.num_rows:
-            out[at(t.column("node_id").to_numpy())] = np.asarray(t.column(column).combine_chunks().flatten().to_numpy(zero_copy_only=False)).reshape(-1, d)
-        return out
+    def rows_of(column: pa.ChunkedArray) -> np.ndarray:
+        return np.array(column.combine_chunks().flatten().to_numpy(zero_copy_only=False), dtype=float).reshape(-1, d)
 
-    const, x, den = matrix(step.nodes, "const"), matrix(start, "vec"), head["den"].to_numpy(float)
-    sig = head["sig"].to_numpy()
+    const, den = rows_of(table.column("const")), table.column("den").to_numpy().astype(float)
+    first = start.select("node_id", "vec").toArrow()
+    x = np.zeros((len(ids), d))
+    if first.num_rows:
+        x[at(first.column("node_id").to_numpy())] = rows_of(first.column("vec"))
+    sig = table.column("sig").to_pylist()
     push = None
     if step.push is not None:
         rules = step.push.toPandas()
@@ -205,12 +205,13 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         push = np.zeros((len(sigs) + 1, len(groups)))
         for r in rules.itertuples():
             push[sigs[r.sig], groups[r.rel, r.rel_inv]] = r.coef
-        mine = np.array([sigs[s] if s == s and s in sigs else len(sigs) for s in sig])
+        mine = np.array([sigs.get(s, len(sigs)) for s in sig], dtype=np.int64)
         members = step.targets.toPandas()
         target = at(members["dst"].to_numpy(np.int64))
         group = np.array([groups[g] for g in zip(members["rel"], members["rel_inv"])], dtype=np.int64)
     packed = Stages(spark, "links").keep(step.coefs.repartition(max(1, spark.sparkContext.defaultParallelism), "src").mapInArrow(_packed, "src binary, dst binary, coef binary"))
-    rows = packed.collect() if step.coefs.count() * 24 <= BROADCAST_BYTES else None  # small links stay beside the vectors
+    size = packed.agg(F.coalesce(F.sum(F.length("src")), F.lit(0))).first()[0] * 3
+    rows = packed.collect() if size <= BROADCAST_BYTES else None  # small links stay beside the vectors
     local = [tuple(np.frombuffer(r[c], dtype=t) for c, t in (("src", "<i8"), ("dst", "<i8"), ("coef", "<f8"))) for r in rows] if rows is not None else None
     if local is not None:
         local = [(at(s), at(t), c) for s, t, c in local]
@@ -246,7 +247,7 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         shared.unpersist()
         return out
 
-    categories = head["category"].to_numpy()
+    categories = np.array(table.column("category").to_pylist(), dtype=object)
     history = []
     for k in range(iters):
         old = x
@@ -266,8 +267,8 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         history.append({"sweep": k + 1, "rel_step": float(np.sqrt(((x - old) ** 2).sum() / base)) if base else 0.0})
         if tol and history[-1]["rel_step"] < tol:
             break
-    table = pa.table({"node_id": pa.array(ids), "vec": pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * d), pa.array(x.ravel()))})
-    return Fit(spark.createDataFrame(table) if len(ids) else start.select("node_id", "vec"), history)
+    done = pa.table({"node_id": pa.array(ids), "vec": pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * d), pa.array(x.ravel()))})
+    return Fit(spark.createDataFrame(done) if len(ids) else start.select("node_id", "vec"), history)
 
 
 def run(step: Step, start: DataFrame, iters: int, kernel: str | None = None, tol: float = 0.0, blocks: list[str] | None = None) -> Fit:
