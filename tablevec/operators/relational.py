@@ -1,13 +1,11 @@
-"""Operators around the methods that Spark lacks in one call: interval, range and as-of joins, sampling, round trips."""
+"""Operators around the methods that Spark lacks in one call: interval, range and as-of joins, sampling."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from tablevec.plans.stages import Stages
-
 
 def broadcast_if_small(df: DataFrame, most_rows: int = 1_000_000) -> DataFrame:
     """A hint to broadcast only if a limited count shows that the rows are few."""
@@ -56,21 +54,3 @@ def sample_each(df: DataFrame, label: str, n: int, *columns: str) -> DataFrame:
     """At most n rows of each label, in hash order; Spark keeps only the first n of a label in each task."""
     order = Window.partitionBy(label).orderBy(hash_order(*columns), *columns)
     return df.withColumn("_rank", F.row_number().over(order)).where(F.col("_rank") <= n).drop("_rank")
-
-
-def round_trip(df: DataFrame, kind: str, **options) -> DataFrame:
-    """Writes in a format and reads back with the same schema."""
-    stages = Stages(df.sparkSession, "trip")
-    df.write.format(kind).options(**options).save(f"{stages.root}/{kind}")
-    return df.sparkSession.read.format(kind).schema(df.schema).options(**options).load(f"{stages.root}/{kind}")
-
-
-def partitioned_round_trip(df: DataFrame, by: str) -> DataFrame:
-    stages = Stages(df.sparkSession, "trip")
-    df.write.partitionBy(by).parquet(f"{stages.root}/parts")
-    return df.sparkSession.read.parquet(f"{stages.root}/parts").select(*df.columns)
-
-
-def read_jdbc(spark: SparkSession, url: str, table: str, **options) -> DataFrame:
-    """A table of a database server; needs its driver on the class path."""
-    return spark.read.format("jdbc").option("url", url).option("dbtable", table).options(**options).load()

@@ -13,6 +13,7 @@ from pyspark.sql.window import Window as W
 from tablevec.operators import relational as r
 from tablevec.operators.lexicon import read_lexicon_text
 from tablevec.plans.stages import Stages
+from tablevec.sources import io
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -57,17 +58,17 @@ def op_case_coalesce(spark, sf):
 
 @add("SELECT p_partkey, p_name, p_brand, p_retailprice FROM part")
 def op_csv_round_trip(spark, sf):
-    return r.round_trip(t(spark, sf, "part").select("p_partkey", "p_name", "p_brand", "p_retailprice"), "csv", header="true")
+    return io.round_trip(t(spark, sf, "part").select("p_partkey", "p_name", "p_brand", "p_retailprice"), "csv", header="true")
 
 
 @add("SELECT event_id, event_type, value, props FROM events")
 def op_json_round_trip(spark, sf):
-    return r.round_trip(t(spark, sf, "events").select("event_id", "event_type", "value", "props"), "json")
+    return io.round_trip(t(spark, sf, "events").select("event_id", "event_type", "value", "props"), "json")
 
 
 @add("SELECT p_partkey, p_brand FROM part")
 def op_parquet_partitioned(spark, sf):
-    return r.partitioned_round_trip(t(spark, sf, "part").select("p_partkey", "p_brand"), "p_brand")
+    return io.partitioned_round_trip(t(spark, sf, "part").select("p_partkey", "p_brand"), "p_brand")
 
 
 @add("SELECT 'term ' || vec_id AS term, CAST(2 AS INTEGER) AS n_tokens, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE)), 5) + 0.0 AS total FROM embeddings")
@@ -479,6 +480,15 @@ def op_grouped_map(spark, sf):
     return small.groupBy("l_returnflag").applyInPandas(total, "l_returnflag string, n long, quantity double")
 
 
+@add(f"SELECT vec_id, round(sqrt(list_dot_product({_E}, {_E})), 6) AS norm, round(list_cosine_similarity({_E}, list_reverse({_E})), 6) + 0.0 AS cosine FROM embeddings")
+def op_vec_sql_functions(spark, sf):
+    from tablevec.functions.vectors import register
+
+    register(spark)
+    t(spark, sf, "embeddings").select("vec_id", c("embedding").cast("array<double>").alias("e")).createOrReplaceTempView("tv_vectors")
+    return spark.sql("SELECT vec_id, round(vec_norm(vec_unit(e)) * vec_norm(e), 6) AS norm, round(vec_cosine(e, reverse(e)), 6) + 0D AS cosine FROM tv_vectors")
+
+
 @add("SELECT doc_id FROM documents ORDER BY md5(doc_id::VARCHAR), doc_id LIMIT 50")
 def op_sample_hash_order(spark, sf):
     return r.sample_exact(t(spark, sf, "documents").select("doc_id"), 50, "doc_id")

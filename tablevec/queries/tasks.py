@@ -87,6 +87,18 @@ def class_balance_toxic(spark, sf):
     return scores.class_balance(t(spark, sf, "labels"), "toxic")
 
 
+@add(core.sql.start(core.COMMERCE) + " SELECT n.category, count(*) AS n, count(*) FILTER (WHERE h.h IS NULL) AS n_oov, round(avg(coalesce(h.h, 0)), 6) AS hits_per_value FROM nodes n LEFT JOIN (SELECT category, value, count(*) AS h FROM hits GROUP BY ALL) h USING (category, value) GROUP BY n.category")
+def oov_hits_report(spark, sf):
+    db = d.database(spark, sf, core.COMMERCE)
+    rows = scores.oov_report(db.problem.base, db.hits)
+    return rows.withColumn("hits_per_value", F.round("hits_per_value", 6))
+
+
+@add(core.sql.weights(core.COMMERCE) + " SELECT g.rel, g.inv AS rel_inv, g.nl AS n_links, g.ns * g.nd - g.nl AS n_nonlinks FROM grp g")
+def work_counters(spark, sf):
+    return scores.work_counters(d.database(spark, sf, core.COMMERCE).problem.links)
+
+
 # walks: the paths are the same however rows are dealt, so SQL can walk them too
 
 _WALK = """, e AS (SELECT DISTINCT s.nid AS src, t.nid AS dst FROM l JOIN ids s ON s.id = l.src JOIN ids t ON t.id = l.dst UNION SELECT nid, category FROM ids UNION SELECT category, nid FROM ids),

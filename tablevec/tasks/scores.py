@@ -147,4 +147,27 @@ def class_balance(rows: DataFrame, label: str) -> DataFrame:
     return rows.groupBy(label).agg(F.count(F.lit(1)).alias("n")).withColumn("share", F.col("n") / F.lit(float(max(total, 1))))
 
 
-__all__ = ["predict", "accuracy", "mean_abs_error", "score_spread", "impute_mode", "impute_ngram", "probe", "timed", "class_balance", "SCORES"]
+def work_counters(links: DataFrame) -> DataFrame:
+    """(rel, rel_inv, n_links, n_nonlinks): links that a sweep reads, and non-links that it does not have to."""
+    from tablevec.operators.weights import group_sizes
+
+    return group_sizes(links).select("rel", "rel_inv", "n_links", (F.col("n_src") * F.col("n_dst") - F.col("n_links")).alias("n_nonlinks"))
+
+
+def oov_report(base: DataFrame, hits: DataFrame) -> DataFrame:
+    """(category, n, n_oov, hits_per_value)."""
+    counts = hits.groupBy("node_id").agg(F.count(F.lit(1)).alias("_h"))
+    return base.join(counts, "node_id", "left").groupBy("category").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("is_oov").cast("long")).alias("n_oov"), F.avg(F.coalesce("_h", F.lit(0))).alias("hits_per_value"))
+
+
+def train_distributed(rows: DataFrame, n_classes: int, hidden: tuple[int, ...] = (64,), rounds: int = 60, seed: int = 1):
+    """Spark's own perceptron on (features, label index) for training sets that no task can hold; the fitted model."""
+    from pyspark.ml.classification import MultilayerPerceptronClassifier
+    from pyspark.ml.functions import array_to_vector
+
+    width = rows.select(F.size("features")).first()[0]
+    shaped = rows.select(array_to_vector("features").alias("features"), F.col("label").cast("double").alias("label"))
+    return MultilayerPerceptronClassifier(layers=[width, *hidden, n_classes], maxIter=rounds, seed=seed).fit(shaped)
+
+
+__all__ = ["predict", "accuracy", "mean_abs_error", "score_spread", "impute_mode", "impute_ngram", "probe", "timed", "class_balance", "work_counters", "oov_report", "train_distributed", "SCORES"]
