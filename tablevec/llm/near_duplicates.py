@@ -158,8 +158,12 @@ def _columns(t: pa.Table) -> dict[str, np.ndarray]:
     return {c: np.frombuffer(b"".join(t.column(c).to_pylist()), dtype="<u8").reshape(t.num_rows, -1) if c == "bits" else t.column(c).to_numpy() for c in t.column_names}
 
 
-def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[str, np.ndarray]]:
-    """Runs of rows with equal `by` columns, from batches sorted by them; runs of one row are left out."""
+def _regions(batches: Iterator[pa.RecordBatch], by: list[str], most: int | None = None) -> Iterator[dict[str, np.ndarray]]:
+    """Runs of rows with equal `by` columns, from batches sorted by them; runs of one row are left out.
+
+    With `most`, a run that has not ended after 2 * most rows comes in parts of so many, each of which begins with the
+    last rows of the one before: neighbours in the sorted order stay together, and no run has to fit in memory.
+    """
     rest: pa.Table | None = None
     for batch in batches:
         if not batch.num_rows:
@@ -174,6 +178,9 @@ def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[
             if b - a > 1:
                 yield {c: v[a:b] for c, v in cols.items()}
         rest = t.slice(last)
+        while most and rest.num_rows > 2 * most:
+            yield _columns(rest.slice(0, 2 * most))
+            rest = rest.slice(2 * most - max(1, most // 2))
     if rest is not None and rest.num_rows > 1:
         yield _columns(rest)
 
@@ -212,7 +219,7 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         for column, v in zip(out, values):
             column.extend(v)
 
-    for region in _regions(batches, ["tree", "key"]):
+    for region in _regions(batches, ["tree", "key"], REGION):
         for part in _split(region):
             order = np.argsort(part["rep"], kind="stable")
             part = {c: v[order] for c, v in part.items()}
@@ -233,8 +240,8 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
             members = np.flatnonzero(paired)
             if len(members) > 2:
                 name = int(part["key"][0]) ^ (int(part["tree"][0]) << 48)
-                deep = int(part["deeper"][0]) if g < len(region["rep"]) else 0
-                put([name ^ deep] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
+                name ^= int(part["rep"][0]) if g < len(region["rep"]) or g >= REGION else 0
+                put([name] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
             if len(out[0]) > 50_000:
                 yield record_batch(_CANDIDATE, out)
                 out = [[] for _ in _CANDIDATE]
@@ -360,7 +367,7 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     classes = linkable.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep"))
     reps = linkable.join(classes, ["print_a", "print_b"]).where(F.col("doc_id") == F.col("rep")).dropDuplicates(["print_a", "print_b"])
     branches = map_arrow(reps.select("rep", F.col("n_shingles").cast("int").alias("n"), "signature", "bits"), _branches, _BRANCH_KIND)
-    sorted_branches = branches.repartition("tree", "key").sortWithinPartitions("tree", "key")
+    sorted_branches = branches.repartition("tree", "key").sortWithinPartitions("tree", "key", "deeper")
     found = scratch.keep(map_arrow(sorted_branches, partial(_led, percent=rule.percent), _CANDIDATE_KIND), "candidates")
     pairs = scratch.keep(found.where(F.col("region").isNull()).select("a", "b").where(F.col("a") != F.col("b")).distinct(), "pairs")
     links = scratch.keep(_confirm(pairs, scratch.keep(_full_sets(own, _ends(pairs), rule), "pair-sets"), rule), "links")

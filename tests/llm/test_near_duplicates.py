@@ -88,6 +88,19 @@ def test_links_between_components(spark, monkeypatch, small):
     assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
 
 
+def test_endless_runs_come_in_overlapping_parts():
+    import pyarrow as pa
+
+    keys = [1] * 3 + [2] + [5] * 100 + [6, 6]
+    batches = [pa.RecordBatch.from_arrays([pa.array(keys[i : i + 7]), pa.array(list(range(i, min(i + 7, len(keys)))))], names=["key", "rep"]) for i in range(0, len(keys), 7)]
+    whole = [(r["key"][0], list(r["rep"])) for r in nd._regions(iter(batches), ["key"])]
+    assert whole == [(1, [0, 1, 2]), (5, list(range(4, 104))), (6, [104, 105])]
+    parts = [list(r["rep"]) for r in nd._regions(iter(batches), ["key"], 10) if r["key"][0] == 5]
+    assert all(len(p) <= 30 for p in parts) and len(parts) > 3
+    assert sorted({x for p in parts for x in p}) == list(range(4, 104))
+    assert all(set(a) & set(b) for a, b in zip(parts, parts[1:]))
+
+
 def test_nulls_short_texts_repeats_and_no_rows(spark):
     rows = [(1, None, 0), (2, "", 0), (3, " \t\n", 0), (4, "One", 0), (5, "one", 0), (6, "one two", 0), (7, "ONE  two", 0), (7, "one two", 0), (8, "É x", 0), (9, "é x", 0), (10, "a\x1cb", 0), (None, "one two", 0), (None, None, 0)]
     df = spark.createDataFrame(rows, "doc_id long, text string, kept int")
