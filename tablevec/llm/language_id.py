@@ -33,7 +33,7 @@ _OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred"
 @lru_cache(1)
 def _letters() -> np.ndarray:
     """For each code point, itself if it is a letter, else 0."""
-    return np.array([c if chr(c).isalpha() else 0 for c in range(0x110000)], dtype=np.uint32)
+    return np.fromiter((c if chr(c).isalpha() else 0 for c in range(0x110000)), np.uint32, 0x110000)
 
 
 def trigram_counts(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
@@ -62,7 +62,7 @@ def _unit(counts: np.ndarray, idf: np.ndarray) -> np.ndarray:
 
 def _groups(batches: Iterator[pa.RecordBatch], column: int) -> Iterator[pa.RecordBatch]:
     for whole in batches:
-        for batch in slices(whole, column, 2 << 20):
+        for batch in slices(whole, column, 1 << 20):
             for start in range(0, batch.num_rows, 128):
                 yield batch.slice(start, 128)
 

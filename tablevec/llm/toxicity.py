@@ -27,7 +27,7 @@ SAMPLE_PER_CLASS = 6000
 SIGN_SHARE, SIGN_COUNT, SIGN_RATIO, MOST_SIGNS = 0.005, 3, 20.0, 5000
 WORD_BINS, SIDE_BINS = 1 << 18, 1 << 16
 STRETCH = 64  # tokens that are trained, or walked, as one row
-MOST_KEPT = 150_000
+MOST_KEPT = 100_000
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
 _OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("score", pa.float64()), ("predicted", pa.int32()), ("n_toxic", pa.int64()), ("spans", _SPANS)])
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
@@ -275,7 +275,7 @@ def fit_logistic(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 def _signs_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("word", pa.string()), ("toxic", pa.int64()), ("clean", pa.int64())])
     for whole in batches:
-        for batch in slices(whole, 0, 8 << 20):
+        for batch in slices(whole, 0, 2 << 20):
             found: dict[str, list[int]] = {}
             for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 for word in {word_of(c) for c in (text or "").split()}:
@@ -307,7 +307,7 @@ def _stretches(batches: Iterator[pa.RecordBatch], signs: frozenset[str]) -> Iter
 def _features_in(batches: Iterator[pa.RecordBatch], crf: Field) -> Iterator[pa.RecordBatch]:
     schema, tagger = pa.schema([("x1", pa.float64()), ("x2", pa.float64()), ("x3", pa.float64()), ("toxic", pa.int32())]), Tagger(crf)
     for whole in batches:
-        for batch in slices(whole, 0, 4 << 20):
+        for batch in slices(whole, 0, 2 << 20):
             x = document_features(*tagger.marginals(batch.column(0).to_pylist()))
             yield record_batch(schema, [x[:, 0], x[:, 1], x[:, 2], batch.column(1)])
 
@@ -365,7 +365,7 @@ def _spans(text: str, p: np.ndarray) -> list[dict]:
 def _scored(batches: Iterator[pa.RecordBatch], crf: Field) -> Iterator[pa.RecordBatch]:
     tagger = Tagger(crf)
     for whole in batches:
-        for batch in slices(whole, 2, 4 << 20):
+        for batch in slices(whole, 2, 2 << 20):
             texts = batch.column(2).to_pylist()
             p, lengths = tagger.marginals(texts)
             score = document_scores(crf, p, lengths)
