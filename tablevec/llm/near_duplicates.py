@@ -3,14 +3,15 @@
 1. Each text becomes its set of shingle hashes, a fingerprint of the set, minimum hashes, and a sketch of their lowest
    bits. Texts with equal sets are one class, whose representative is the smallest doc_id.
 2. The forest has TREES orders of the signature; tree t starts at another place and goes on through the next values.
-   Representatives are sorted in each order. Those that share the first DEPTH values are a region; a region of more
-   than REGION rows is split at the next values, down to twice the depth. Candidates are the rows that
-   share the longest prefixes: each row of a region is compared with the region's leaders by size and sketch, which
-   drops pairs far below the threshold, and paired with the leaders it may be near to, or becomes a leader itself.
+   Representatives are sorted in each order. Those that share the first DEPTH values are a region, whatever its size.
+   Each row of a region is compared with the region's leaders by size and sketch, which drops pairs far below the
+   threshold, and paired with the leaders it may be near to, or becomes a leader itself. A region of more than REGION
+   rows comes in blocks, and each block meets the leaders of all blocks before it.
 3. Pairs are confirmed on full sets, which are made again from the texts of the documents concerned alone.
 4. Links are contracted to components. Pairs of a region inside one component need no more work. For any other pair
    that may be near, the row of the smaller component is compared with all of the larger one, which no more gathers
-   pairs than rows; so no link between components is left out.
+   pairs than rows; so no link between components of a region is left out. Of a large region, the rows of the largest
+   component are dealt into blocks, and each block meets all other rows.
 
 A pair of similarity 0.8 shares a region with probability 1 - (1 - 0.8 ** 4) ** 24, all but three in a million.
 """
@@ -32,7 +33,7 @@ from tablevec.llm.components import components
 TREES, DEPTH = 24, 4
 SIGNATURE = TREES * DEPTH
 MINHASHES = 2 * SIGNATURE
-#: Rows of a region that are compared at once; beyond, the region is split deeper.
+#: Rows of a region that are compared at once; larger ones are compared block by block.
 REGION = 20_000
 #: How many of the MINHASHES must agree in their two lowest bits: five standard deviations below what 0.8 gives.
 LEAST_ALIKE = 138
@@ -185,79 +186,105 @@ def _regions(batches: Iterator[pa.RecordBatch], by: list[str], most: int | None
         yield _columns(rest)
 
 
-def _split(region: dict[str, np.ndarray], depth: int = 0) -> Iterator[dict[str, np.ndarray]]:
-    """Parts of a region of at most REGION rows where deeper prefixes allow it."""
-    if len(region["rep"]) <= REGION or depth == DEPTH:
-        yield region
-        return
-    prefix = region["deeper"].view(np.uint64) >> np.uint64(16 * (DEPTH - 1 - depth))
-    order = np.argsort(prefix, kind="stable")
-    cuts = np.flatnonzero(np.diff(prefix[order])) + 1
-    for part in np.split(order, cuts):
-        if len(part) > 1:
-            yield from _split({c: v[part] for c, v in region.items()}, depth + 1)
+def _alike(n: int, bits: np.ndarray, ns: np.ndarray, others: np.ndarray, percent: int) -> np.ndarray:
+    """Which of the other rows may be near to a row, by size and sketch."""
+    n, ns = int(n), ns.astype(np.int64)
+    fit = 100 * np.minimum(n, ns) >= percent * np.maximum(n, ns)
+    differ = others ^ bits
+    differ = (differ | differ >> np.uint64(1)) & np.uint64(0x5555555555555555)
+    return fit & (np.bitwise_count(differ).sum(axis=1, dtype=np.int64) <= MINHASHES - LEAST_ALIKE)
 
 
 def _near(r: dict[str, np.ndarray], i: int, others: np.ndarray, percent: int) -> np.ndarray:
-    """Which of the other rows may be near to row i, by size and sketch."""
-    n = r["n"].astype(np.int64)
-    fit = 100 * np.minimum(n[i], n[others]) >= percent * np.maximum(n[i], n[others])
-    differ = r["bits"][others] ^ r["bits"][i]
-    differ = (differ | differ >> np.uint64(1)) & np.uint64(0x5555555555555555)
-    return fit & (np.bitwise_count(differ).sum(axis=1, dtype=np.int64) <= MINHASHES - LEAST_ALIKE)
+    """Which of the other rows may be near to row i."""
+    return _alike(r["n"][i], r["bits"][i], r["n"][others], r["bits"][others], percent)
 
 
 _CANDIDATE = pa.schema([("region", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32()), ("bits", pa.binary())])
 _CANDIDATE_KIND = "region long, a long, b long, n int, bits binary"
 
 
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[dict[str, np.ndarray], bool, bool]]:
+    """Blocks of regions, each row once, with whether a block goes on with the region before, and whether it has more."""
+    parts, again = _regions(batches, ["tree", "key"], REGION), False
+    part = next(parts, None)
+    while part is not None:
+        following = next(parts, None)
+        more = following is not None and following["tree"][0] == part["tree"][0] and following["key"][0] == part["key"][0]
+        order = np.argsort(part["rep"][max(1, REGION // 2) :], kind="stable") + max(1, REGION // 2) if again else np.argsort(part["rep"], kind="stable")
+        yield {c: v[order] for c, v in part.items()}, again, more
+        part, again = following, more
+
+
 def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Pairs (a, b) of a leader and a row; and for regions with more to compare, their rows (b null)."""
+    """Pairs (a, b) of a leader and a row; and for regions with more to compare, their rows (b null).
+
+    Of a region in blocks, only the leaders stay in memory, and all rows are put out: any may be near to a row that
+    was in another block.
+    """
     out: list[list] = [[] for _ in _CANDIDATE]
 
     def put(*values) -> None:
         for column, v in zip(out, values):
             column.extend(v)
 
-    for region in _regions(batches, ["tree", "key"], REGION):
-        for part in _split(region):
-            order = np.argsort(part["rep"], kind="stable")
-            part = {c: v[order] for c, v in part.items()}
-            g = len(order)
-            free, paired = np.ones(g, bool), np.zeros(g, bool)
-            pairs = 0
-            for i in range(g - 1):
-                if not free[i]:
-                    continue
-                others = np.arange(i + 1, g)
-                near = others[_near(part, i, others, percent)]
+    def put_pairs(leader: int, rows: np.ndarray) -> None:
+        none = [None] * len(rows)
+        put(none, [int(leader)] * len(rows), rows.tolist(), none, none)
+
+    leaders: list[dict[str, np.ndarray]] = []
+    for part, again, more in _blocks(batches):
+        g = len(part["rep"])
+        free, paired = np.ones(g, bool), np.zeros(g, bool)
+        rows = np.arange(g)
+        leaders = leaders if again else []
+        for before in leaders:
+            for i in range(len(before["rep"])):
+                near = rows[_alike(before["n"][i], before["bits"][i], part["n"], part["bits"], percent)]
                 free[near] = False
-                if len(near):
-                    paired[i] = paired[near] = True
-                    pairs += len(near)
-                    none = [None] * len(near)
-                    put(none, [int(part["rep"][i])] * len(near), part["rep"][near].tolist(), none, none)
-            members = np.flatnonzero(paired)
-            if len(members) > 2:
-                name = int(part["key"][0]) ^ (int(part["tree"][0]) << 48)
-                name ^= int(part["rep"][0]) if g < len(region["rep"]) or g >= REGION else 0
-                put([name] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
+                put_pairs(before["rep"][i], part["rep"][near])
+                if len(out[0]) > 50_000:
+                    yield record_batch(_CANDIDATE, out)
+                    out = [[] for _ in _CANDIDATE]
+        for i in range(g):
+            if not free[i]:
+                continue
+            near = rows[_near(part, i, rows, percent)]
+            paired[i] = len(near) > 1  # it is near to itself; rows before it are left for the comparison of components
+            near = near[near > i]
+            free[near], paired[near] = False, True
+            put_pairs(part["rep"][i], part["rep"][near])
             if len(out[0]) > 50_000:
                 yield record_batch(_CANDIDATE, out)
                 out = [[] for _ in _CANDIDATE]
+        if more:
+            leaders.append({c: part[c][free] for c in ("rep", "n", "bits")})
+        members = rows if again or more else np.flatnonzero(paired)
+        if again or more or len(members) > 2:
+            name = int(part["key"][0]) ^ (int(part["tree"][0]) << 48)
+            put([name] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
+        if len(out[0]) > 50_000:
+            yield record_batch(_CANDIDATE, out)
+            out = [[] for _ in _CANDIDATE]
     yield record_batch(_CANDIDATE, out)
 
 
 def _left_over(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """(id, other): a row, and a larger component with a row of its region that may be near to it."""
+    """(id, other): a row, and a larger component with a row of its region that may be near to it.
+
+    A block of a region holds a part of the largest component's rows (`top`) and all other rows; each of these asks the
+    part, and in its own block the other rows too.
+    """
     schema, out = pa.schema([("id", pa.int64()), ("other", pa.int64())]), ([], [])
-    for region in _regions(batches, ["region"]):
-        label, size, rep = region["component"], region["size"], region["rep"]
-        if (label == label[0]).all():
-            continue
+    for region in _regions(batches, ["region", "block"]):
+        order = np.lexsort((region["component"], region["size"], region["top"]))
+        region = {c: v[order] for c, v in region.items()}
+        label, rep, top, g = region["component"], region["rep"], int((region["top"] == 0).sum()), len(order)
+        ends = np.append(np.flatnonzero(label[1:] != label[:-1]) + 1, g)
+        end = ends[np.searchsorted(ends, np.arange(g), side="right")]
         found = set()
-        for i in range(len(label)):
-            others = np.flatnonzero((label != label[i]) & ((size > size[i]) | ((size == size[i]) & (label > label[i]))))
+        for i in range(top):
+            others = np.arange(end[i] if region["own"][i] == region["block"][i] else top, g)
             if len(others):
                 found.update((int(rep[i]), int(x)) for x in np.unique(label[others[_near(region, i, others, percent)]]))
         for x, y in found:
@@ -334,7 +361,11 @@ def _links_between(docs: DataFrame, members: DataFrame, labels: DataFrame, rule:
     sizes = labels.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
     known = labels.join(sizes, "component").select(F.col("node").alias("rep"), "component", "size")
     labelled = members.join(known, "rep", "left").select("region", "rep", "n", "bits", F.coalesce("component", "rep").alias("component"), F.coalesce("size", F.lit(1)).alias("size"))
-    ordered = labelled.repartition("region").sortWithinPartitions("region")
+    tops = labelled.groupBy("region").agg(F.max(F.struct("size", "component")).alias("m"), F.min("component").alias("least"), F.max("component").alias("most"), F.count(F.lit(1)).alias("rows"))
+    tops = tops.where(F.col("least") != F.col("most")).select("region", F.col("m.component").alias("largest"), F.ceil(F.col("rows") / REGION).cast("int").alias("blocks"))
+    dealt = labelled.join(tops, "region").withColumn("top", (F.col("component") == F.col("largest")).cast("int")).withColumn("own", F.pmod(F.xxhash64("rep"), "blocks").cast("int"))
+    where = F.when(F.col("top") == 1, F.array("own")).otherwise(F.sequence(F.lit(0), F.col("blocks") - 1))
+    ordered = dealt.withColumn("block", F.explode(where)).select("region", "block", "rep", "n", "bits", "component", "size", "top", "own").repartition("region", "block").sortWithinPartitions("region", "block")
     asked = scratch.keep(map_arrow(ordered, partial(_left_over, percent=rule.percent), "id long, other long").distinct(), "asked")
     wanted = asked.select("other").distinct().join(sizes.withColumnRenamed("component", "other"), "other", "left").select("other", F.coalesce("size", F.lit(1)).alias("size"))
     inside = wanted.join(labels.select(F.col("component").alias("other"), "node"), "other", "left").select("other", "size", F.coalesce("node", "other").alias("node"))

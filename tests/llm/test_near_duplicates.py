@@ -77,6 +77,57 @@ def test_large_regions_are_split_deeper(spark, monkeypatch):
     assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
 
 
+def _drifting(rng, n, pendants):
+    """Near copies whose drift is slow, so that all share regions, and copies that only one of them is near to."""
+    base, out = [f"w{rng.randrange(900)}" for _ in range(200)], []
+    for i in range(n):
+        base[rng.randrange(200)] = f"x{i}"
+        out.append(list(base))
+    for i in range(pendants):
+        words = list(rng.choice(out[:n]))
+        for j in rng.sample(range(200), 15):
+            words[j] = f"y{i}-{j}"
+        out.append(words)
+    return [" ".join(w) for w in out]
+
+
+def test_regions_in_blocks_lose_no_links(spark, monkeypatch):
+    monkeypatch.setattr(nd, "REGION", 6)
+    texts = _drifting(random.Random(5), 160, 40)
+    rows = list(enumerate(random.Random(8).sample(texts, len(texts))))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
+
+
+def _sketches(rng, n, drift):
+    """n rows of one region whose sketches drift; (batch of branches, rows that may be near to each other)."""
+    import pyarrow as pa
+
+    bits, rows = rng.integers(0, 4, nd.MINHASHES), []
+    for _ in range(n):
+        bits = bits.copy()
+        bits[rng.choice(nd.MINHASHES, drift, replace=False)] = rng.integers(0, 4, drift)
+        rows.append(bits)
+    packed = nd.low_bits(np.array(rows)).view("<u8")
+    deeper = rng.permutation(n)
+    order = np.argsort(deeper)
+    columns = [np.zeros(n, np.int32), np.full(n, 5), deeper[order], order, np.full(n, 100, np.int32), [packed[i].tobytes() for i in order]]
+    region = {"n": np.full(n, 100), "bits": packed}
+    near = {(i, j) for i in range(n) for j in np.flatnonzero(nd._near(region, i, np.arange(n), 80)).tolist() if i != j}
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, nd._BRANCH)], schema=nd._BRANCH), near
+
+
+@pytest.mark.parametrize("size", [8, 1000])
+def test_every_near_pair_of_a_region_is_paired_or_left_to_one_region(monkeypatch, size):
+    monkeypatch.setattr(nd, "REGION", size)
+    batch, near = _sketches(np.random.default_rng(2), 150, 12)
+    rows = [r for b in nd._led(iter([batch.slice(k, 10) for k in range(0, 150, 10)]), 80) for r in b.to_pylist()]
+    pairs = {(r["a"], r["b"]) for r in rows if r["region"] is None}
+    names, members = {r["region"] for r in rows if r["region"] is not None}, [r["a"] for r in rows if r["region"] is not None]
+    assert len(near) > 300 and len(names) == 1 and len(members) == len(set(members)) and pairs <= near
+    assert all((i, j) in pairs or (j, i) in pairs or {i, j} <= set(members) for i, j in near)
+
+
 @pytest.mark.parametrize("small", [0, 3, 16])
 def test_links_between_components(spark, monkeypatch, small):
     monkeypatch.setattr(nd, "SMALL_COMPONENT", small)
