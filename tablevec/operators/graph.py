@@ -8,14 +8,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from tablevec.functions.vectors import vec_scale, vec_unit
+from tablevec.operators.extract import dense_ids
 from tablevec.plans.stages import Stages
 
-#: Neighbours that a walk can go to from one node; a hub with more keeps a hash sample of so many.
-HUB = 10_000
-
 
 def build_graph(nodes: DataFrame, links: DataFrame) -> tuple[DataFrame, DataFrame]:
     """vertices (vertex, kind) and edges (src, dst, label), both ways: links, and each value to its column's blank vertex.
@@ -30,29 +27,35 @@ def build_graph(nodes: DataFrame, links: DataFrame) -> tuple[DataFrame, DataFram
     return values.union(blanks), typed.unionByName(mine.select(F.explode(F.array(*member)).alias("e")).select("e.*")).distinct()
 
 
-def neighbours(edges: DataFrame, hub: int = HUB) -> DataFrame:
-    """(vertex, next): distinct neighbours as an ordered array, without labels; hubs keep `hub` of them by hash order."""
-    pairs = edges.select("src", "dst").distinct()
-    order = Window.partitionBy("src").orderBy(F.md5(F.concat_ws(">", "src", "dst")))
-    few = pairs.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= hub)
-    return few.groupBy("src").agg(F.array_sort(F.collect_list("dst")).alias("next")).withColumnRenamed("src", "vertex")
+def neighbours(edges: DataFrame) -> DataFrame:
+    """(vertex, at, next, degree): distinct neighbours in order, numbered from 0 for each vertex, without labels.
+
+    The degree is that of `next`. Numbers are places in one sorted order less the first place of the vertex, so no task
+    or array has to hold all neighbours of a hub.
+    """
+    pairs = dense_ids(edges.select("src", "dst").distinct(), ["src", "dst"], "_place")
+    firsts = pairs.groupBy("src").agg(F.min("_place").alias("_first"), F.count(F.lit(1)).alias("degree"))
+    mine = pairs.join(firsts.select("src", "_first"), "src")
+    there = firsts.select(F.col("src").alias("dst"), "degree")
+    return mine.join(there, "dst", "left").select(F.col("src").alias("vertex"), (F.col("_place") - F.col("_first")).alias("at"), F.col("dst").alias("next"), F.coalesce("degree", F.lit(0)).alias("degree"))
 
 
-def walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int = 40, seed: int = 1, hub: int = HUB) -> DataFrame:
+def walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int = 40, seed: int = 1) -> DataFrame:
     """(walk_id, path): truncated random walks from every vertex.
 
     A step goes to the neighbour that an md5 of seed, walk and step picks, so walks are the same however the data are
-    dealt. Each step is one join on the walks' heads, and is written.
+    dealt. Each step is one join on the walks' heads and the numbers drawn, and is written.
     """
     vertices, edges = graph
     stages = Stages(vertices.sparkSession, "walks")
-    around = stages.keep(neighbours(edges, hub))
-    now = vertices.select(F.explode(F.sequence(F.lit(0), F.lit(per_node - 1))).alias("_n"), "vertex").select(F.concat_ws("#", "vertex", F.col("_n").cast("string")).alias("walk_id"), F.array("vertex").alias("path"), F.col("vertex").alias("head"))
+    around = stages.keep(neighbours(edges))
+    degrees = around.groupBy(F.col("vertex").alias("head")).agg(F.count(F.lit(1)).alias("left"))
+    now = vertices.select(F.explode(F.sequence(F.lit(0), F.lit(per_node - 1))).alias("_n"), F.col("vertex").alias("head")).join(degrees, "head", "left").select(F.concat_ws("#", "head", F.col("_n").cast("string")).alias("walk_id"), F.array("head").alias("path"), F.col("head"), F.coalesce("left", F.lit(0)).alias("left"))
     for step in range(1, length):
         drawn = F.conv(F.substring(F.md5(F.concat_ws("/", F.lit(str(seed)), "walk_id", F.lit(str(step)))), 1, 8), 16, 10).cast("long")
-        moved = now.join(around, now["head"] == around["vertex"], "left")
-        to = F.element_at("next", (F.pmod(drawn, F.size("next")) + 1).cast("int"))
-        now = moved.select("walk_id", F.when(F.col("next").isNull(), F.col("path")).otherwise(F.array_append("path", to)).alias("path"), F.coalesce(to, F.col("head")).alias("head"))
+        asked = now.withColumn("_at", F.when(F.col("left") > 0, F.pmod(drawn, F.col("left"))))
+        moved = asked.join(around, (asked["head"] == around["vertex"]) & (asked["_at"] == around["at"]), "left")
+        now = moved.select("walk_id", F.when(F.col("next").isNull(), F.col("path")).otherwise(F.array_append("path", F.col("next"))).alias("path"), F.coalesce("next", "head").alias("head"), F.coalesce("degree", F.lit(0)).alias("left"))
         if step % 8 == 0:
             now = stages.keep(now)
     return now.select("walk_id", "path")

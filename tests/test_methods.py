@@ -250,6 +250,18 @@ def test_walks_follow_edges_and_do_not_depend_on_partitions(spark):
     assert all((x, y) in known for r in paths for x, y in zip(r["path"], r["path"][1:])) and len(paths) == 3 * 8
 
 
+def test_walks_reach_every_neighbour_of_a_hub(spark):
+    import hashlib
+
+    leaves = [f"v{i}" for i in range(10_050)]
+    vertices = spark.createDataFrame([("hub", "column")] + [(v, "value") for v in leaves[:300]], "vertex string, kind string")
+    edges = spark.createDataFrame([e for v in leaves for e in (("hub", v, "category"), (v, "hub", "category"))], "src string, dst string, label string")
+    draw = lambda walk, step: int(hashlib.md5(f"1/{walk}/{step}".encode()).hexdigest()[:8], 16)
+    nexts = sorted(leaves)
+    got = {r["walk_id"]: r["path"] for r in graph.walks((vertices, edges), 1, 3, 1).collect()}
+    assert len(got) == 301 and all(got[f"{v}#0"] == [v, "hub", nexts[draw(f"{v}#0", 2) % len(nexts)]] for v in leaves[:300])
+
+
 def test_combinations_and_neighbours(spark):
     a = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.0, 2.0]), (2, [0.0, 0.0])], "node_id long, vec array<double>")
     assert [r["vec"] for r in graph.combine_vectors(a, a, "concat").orderBy("node_id").collect()][1] == [0.0, 2.0, 0.0, 2.0]
