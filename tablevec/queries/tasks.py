@@ -158,7 +158,7 @@ def impute_network_source(spark, sf):
 @add()
 def impute_ngram_recurrent_lang(spark, sf):
     rows = samples.train_test(wl.text_labels(spark, sf, "lang"), "item", 300, 300)
-    return scores.accuracy(scores.impute_ngram(rows.withColumn("text", F.left("item", F.lit(200))), "text", "label", "recurrent"), "impute_lang")
+    return scores.accuracy(scores.impute_ngram(rows.withColumn("text", F.col("item")), "text", "label", "recurrent"), "impute_lang")
 
 
 @add()

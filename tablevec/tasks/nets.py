@@ -151,19 +151,29 @@ def train(kind: str, x: np.ndarray, y: np.ndarray, settings: Settings, n_out: in
 
 
 class Recurrent:
-    """A small recurrent encoder (one tanh layer over character ids, last state to classes), trained by Adam."""
+    """A small recurrent encoder (one tanh layer over character ids, mean state to classes), trained by Adam.
+
+    A text is read whole, in windows of `length` characters, the last of which ends where the text ends; its state is the
+    mean of its windows'. A shorter text is one window, padded before its start.
+    """
 
     def __init__(self, classes: int, width: int = 24, vocabulary: int = 64, length: int = 60, seed: int = 1):
         rng = np.random.default_rng(seed)
         self.length, self.vocabulary = length, vocabulary
         self.p = {"e": rng.normal(0, 0.3, (vocabulary, width)), "u": np.eye(width) * 0.8 + rng.normal(0, 0.05, (width, width)), "o": rng.normal(0, 0.2, (width, classes)), "c": np.zeros(classes)}
 
-    def ids(self, texts: list[str]) -> np.ndarray:
-        out = np.zeros((len(texts), self.length), dtype=int)
-        for i, t in enumerate(texts):
-            codes = [1 + ord(ch) % (self.vocabulary - 1) for ch in t.lower()[: self.length]]
+    def ids(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Windows x length ids, and the number of each window's text."""
+        parts, owner = [], []
+        for i, t in enumerate(map(str.lower, texts)):
+            starts = [*range(0, max(len(t) - self.length, 0), self.length), max(len(t) - self.length, 0)]
+            parts += [t[k : k + self.length] for k in starts]
+            owner += [i] * len(starts)
+        out = np.zeros((len(parts), self.length), dtype=int)
+        for i, t in enumerate(parts):
+            codes = [1 + ord(ch) % (self.vocabulary - 1) for ch in t]
             out[i, self.length - len(codes) :] = codes
-        return out
+        return out, np.array(owner, dtype=int)
 
     def states(self, x: np.ndarray) -> list[np.ndarray]:
         h, out = np.zeros((len(x), self.p["u"].shape[0])), []
@@ -174,28 +184,36 @@ class Recurrent:
 
     def predict(self, texts: list[str]) -> np.ndarray:
         out = []
-        for i in range(0, len(texts), 512):
-            h = np.mean(self.states(self.ids(texts[i : i + 512])), axis=0)
+        for i in range(0, len(texts), 64):
+            some = texts[i : i + 64]
+            x, owner = self.ids(some)
+            h = np.zeros((len(some), self.p["u"].shape[0]))
+            for k in range(0, len(x), 2048):
+                np.add.at(h, owner[k : k + 2048], np.mean(self.states(x[k : k + 2048]), axis=0))
+            h /= np.bincount(owner, minlength=len(some))[:, None]
             out.append((h @ self.p["o"] + self.p["c"]).argmax(axis=1))
         return np.concatenate(out) if out else np.zeros(0, int)
 
     def fit(self, texts: list[str], y: np.ndarray, epochs: int = 12, rate: float = 5e-3, seed: int = 1) -> Recurrent:
-        rng, x = np.random.default_rng(seed), self.ids(texts)
+        rng, (x, owner) = np.random.default_rng(seed), self.ids(texts)
+        begins = np.searchsorted(owner, np.arange(len(texts) + 1))
         m, v, t = {k: np.zeros_like(w) for k, w in self.p.items()}, {k: np.zeros_like(w) for k, w in self.p.items()}, 0
         for _ in range(epochs):
-            for part in np.array_split(rng.permutation(len(x)), max(1, len(x) // 32)):
-                hs = self.states(x[part])
-                mean = np.mean(hs, axis=0)
+            for part in np.array_split(rng.permutation(len(texts)), max(1, len(texts) // 32)):
+                many = begins[part + 1] - begins[part]
+                windows, of = np.concatenate([np.arange(begins[i], begins[i + 1]) for i in part]), np.repeat(np.arange(len(part)), many)
+                hs = self.states(x[windows])
+                mean = np.add.reduceat(np.mean(hs, axis=0), np.cumsum(many) - many) / many[:, None]
                 z = mean @ self.p["o"] + self.p["c"]
                 d = np.exp(z - z.max(axis=1, keepdims=True))
                 d /= d.sum(axis=1, keepdims=True)
                 d[np.arange(len(part)), y[part]] -= 1
                 d /= len(part)
                 g = {k: np.zeros_like(w) for k, w in self.p.items()}
-                g["o"], g["c"], each, back = mean.T @ d, d.sum(axis=0), d @ self.p["o"].T / self.length, 0
+                g["o"], g["c"], each, back = mean.T @ d, d.sum(axis=0), (d @ self.p["o"].T / (self.length * many[:, None]))[of], 0
                 for s in range(self.length - 1, -1, -1):
                     dz = (each + back) * (1 - hs[s] ** 2)
-                    np.add.at(g["e"], x[part][:, s], dz)
+                    np.add.at(g["e"], x[windows, s], dz)
                     if s:
                         g["u"] += hs[s - 1].T @ dz
                     back = dz @ self.p["u"].T

@@ -94,7 +94,7 @@ def run_imputation(spark: SparkSession, folder: str, column: str = "lang", n_tra
     mode = rows.where("split = 'test'").join(scores.impute_mode(rows, "label"), "trial").select(F.lit("mode").alias("method"), "trial", "item", "label", "pred")
     out = got.unionByName(mode)
     if ngram:
-        out = out.unionByName(scores.impute_ngram(rows.withColumn("text", F.left("item", F.lit(400))), "text", "label", ngram))
+        out = out.unionByName(scores.impute_ngram(rows.withColumn("text", F.col("item")), "text", "label", ngram))
     return scores.accuracy(out, f"impute_{column}")
 
 

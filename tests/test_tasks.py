@@ -63,6 +63,43 @@ def test_recurrent_encoder_tells_alphabets_apart():
     assert (net.predict(texts[80:]) == [i % 2 for i in range(80, 120)]).mean() > 0.9
 
 
+def test_recurrent_encoder_reads_texts_to_their_end():
+    rng = np.random.default_rng(7)
+    texts = ["".join(rng.choice(list("mnop"), 50)) + "".join(rng.choice(list("abcd" if i % 2 else "wxyz"), 37)) for i in range(120)]
+    net = nets.Recurrent(2, width=8, length=20).fit(texts[:80], np.array([i % 2 for i in range(80)]), epochs=12)
+    assert (net.predict(texts[80:]) == [i % 2 for i in range(80, 120)]).mean() > 0.9
+
+
+def test_imputation_counts_ngrams_of_whole_texts(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from tablevec.queries import tasks
+    from tablevec.tasks import samples as drawn, workloads
+
+    class Rows:
+        def __getattr__(self, name):
+            return lambda *a, **k: self
+
+        def count(self):
+            return 10
+
+        def withColumn(self, name, column):
+            seen.append(str(column))
+            return self
+
+    seen = []
+    for name, made in (("text_labels", Rows()), ("method_vectors", None), ("_with_vectors", None)):
+        monkeypatch.setattr(workloads, name, lambda *a, made=made, **k: made)
+    monkeypatch.setattr(workloads, "Stages", lambda *a: SimpleNamespace(keep=lambda x: x))
+    monkeypatch.setattr(workloads.d, "database", lambda *a, **k: None)
+    monkeypatch.setattr(drawn, "train_test", lambda *a, **k: Rows())
+    for name in ("predict", "impute_mode", "impute_ngram", "accuracy"):
+        monkeypatch.setattr(scores, name, lambda *a, **k: Rows())
+    workloads.run_imputation(None, "x", "lang")
+    tasks.impute_ngram_recurrent_lang(None, "x")
+    assert len(seen) == 2 and not [c for c in seen if "left" in c.lower() or "substr" in c.lower()]
+
+
 def test_samples_are_exact_and_reproducible(spark):
     rows = spark.createDataFrame([(i, "a" if i < 30 else "b") for i in range(100)], "k long, label string")
     got = samples.balanced(rows, "k", "label", 20, 3).toPandas()
