@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -68,11 +69,16 @@ def slices(batch: pa.RecordBatch, column: int, most: int) -> Iterator[pa.RecordB
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where none is named, as in tests."""
-    conf = spark.sparkContext.getConf()
-    named = conf.get("spark.checkpoint.dir", None)
+    """The folder that driver and executors share, named by spark.checkpoint.dir.
+
+    Where none is named, a local one of the driver's if it runs all tasks itself, as in tests; on a cluster an error,
+    since each executor would write to its own disk.
+    """
+    named = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     made = getattr(spark, "_own_shared_folder", None)
     if made is None:
         made = spark._own_shared_folder = tempfile.mkdtemp(prefix="tablevec-shared-")
@@ -83,11 +89,24 @@ class Scratch:
     """Tables written between the steps of an operator, which cuts their lineage and survives lost executors.
 
     Every table is Parquet in a folder of its own below the shared folder; `drop` deletes one that no later
-    step reads.
+    step reads, and `drop_since` all tables of scratches made since a mark, once what reads them is written.
     """
 
+    _made: list[Scratch] = []
+
     def __init__(self, spark: SparkSession, name: str):
         self.spark, self.root = spark, f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+        self._made.append(self)
+
+    @classmethod
+    def mark(cls) -> int:
+        return len(cls._made)
+
+    @classmethod
+    def drop_since(cls, mark: int) -> None:
+        for scratch in cls._made[mark:]:
+            scratch.drop("")
+        del cls._made[mark:]
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
@@ -97,7 +116,7 @@ class Scratch:
     def drop(self, *names: str) -> None:
         jvm, context = self.spark._jvm, self.spark.sparkContext
         for name in names:
-            path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+            path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}" if name else self.root)
             path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
@@ -141,12 +160,22 @@ def in_bitmap(bitmap: np.ndarray, slots: np.ndarray) -> np.ndarray:
     return ((bitmap[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)).astype(bool)
 
 
+def fresh_name(taken: list[str], name: str) -> str:
+    """A column name that is not among those taken, which Spark compares without case."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
 def without_ids(docs: DataFrame, key: str, ids: DataFrame) -> DataFrame:
     """The rows of `docs` whose key is not among the distinct ids (column `id`); null keys stay.
 
     Rows whose key is outside a bitmap of the ids stay where they lie; only the others are shuffled to be compared.
+    Other columns may have any names; repeated rows stay repeated or go together.
     """
     shared, columns = docs.sparkSession.sparkContext.broadcast(id_bitmap(ids)), docs.columns
+    gone = fresh_name(columns, "_gone")
 
     def part(want: bool) -> DataFrame:
         def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -155,7 +184,7 @@ def without_ids(docs: DataFrame, key: str, ids: DataFrame) -> DataFrame:
                 hit = in_bitmap(shared.value, slots.fill_null(0).to_numpy()) & ~slots.is_null().to_numpy(zero_copy_only=False)
                 yield batch.select(range(batch.num_columns - 1)).filter(pa.array(hit == want))
 
-        slot = F.when(F.col(key).isNotNull(), id_slot(key)).alias("_slot")
+        slot = F.when(F.col(f"`{key}`").isNotNull(), id_slot(f"`{key}`")).alias(fresh_name(columns, "_slot"))
         return docs.select(*(F.col(f"`{c}`") for c in columns), slot).mapInArrow(work, docs.schema)
 
-    return part(False).union(part(True).join(ids.withColumnRenamed("id", "_gone"), F.col(key) == F.col("_gone"), "left_anti"))
+    return part(False).union(part(True).join(ids.select(F.col("id").alias(gone)), F.col(f"`{key}`") == F.col(f"`{gone}`"), "left_anti"))

@@ -282,7 +282,11 @@ def _parts(benchmark: DataFrame) -> list:
 
 
 def keep_uncontaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows of (text, ...) whose text holds no benchmark passage, with all their columns."""
+    """The rows of (text, ...) whose text holds no benchmark passage, with all their columns, whatever their names.
+
+    Null and empty texts hold none and stay; so do all rows if the benchmark is empty. Repeated rows are judged alike and
+    stay repeated.
+    """
     for shared in _parts(benchmark):
         made: list[Index] = []
 

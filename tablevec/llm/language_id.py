@@ -148,7 +148,7 @@ def fit(training: DataFrame) -> Model:
     scale = 1 << 30
     share = F.create_map(*[F.lit(x) for lang, n in sizes.items() for x in (lang, min(scale, scale * each // n))])
     chosen = rows.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(scale)) < F.element_at(share, F.col("lang")))
-    sample = [(r["lang"], np.frombuffer(r["counts"], dtype="<u4")) for r in map_arrow(chosen.select("text", "lang"), _sampled, "lang string, counts binary").limit(2 * SAMPLE_IN_ALL).collect()]
+    sample = [(r["lang"], np.frombuffer(r["counts"], dtype="<u4")) for r in map_arrow(chosen.select("text", "lang"), _sampled, "lang string, counts binary").limit(2 * each * len(sizes) + 1000).collect()]  # about `each` rows a language
     sample.sort(key=lambda r: (r[0], r[1].tobytes()))
     languages, centroids = sorted({lang for lang, c in sample if c.any()}), []
     for lang in languages:
@@ -178,7 +178,11 @@ def identify(docs: DataFrame) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame) -> DataFrame:
-    """The rows of (doc_id, text, lang, ...) whose text is not rejected, with all their columns."""
+    """The rows of (doc_id, text, lang, ...) whose text is not rejected, with all their columns, whatever their names.
+
+    Null and empty texts and texts without letters go, and without training rows all go. Repeated rows are judged alike
+    and stay repeated.
+    """
     training = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(bucket("doc_id", 3) != 1)
     model = docs.sparkSession.sparkContext.broadcast(fit(training))
     return filter_rows(docs, lambda texts: np.concatenate([~model.value.predict(texts[k : k + 128])[2] for k in range(0, len(texts), 128)]))
