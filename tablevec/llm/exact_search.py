@@ -6,8 +6,9 @@ add bounds every product between them; the pair is pruned if that is less than t
 below the query node.
 
 The top level of the tree over all data is a bounded set of pivots. Rows go to the cell of their nearest pivot, a cell
-is dealt into blocks, and each block gets a tree of its own in one task. A query visits only the cells whose bound
-reaches the k-th score that it has among a bounded sample, which is a lower bound of its true k-th score.
+is dealt into blocks, and each block gets a tree of its own in one task. Queries are dealt by their own nearest pivot, so
+that those of a part visit few cells. A query visits only the cells whose bound reaches the k-th score that it has among
+a bounded sample, which is a lower bound of its true k-th score.
 """
 
 from __future__ import annotations
@@ -27,7 +28,10 @@ SCALE = 1024
 PIVOTS, SAMPLE = 64, 4096
 #: Rows in a block of data, and queries in a block of queries: what one task holds.
 BLOCK, QUERY_BLOCK = 16_384, 4096
-LEAF, FANOUT = 48, 128
+#: Pairs of a cell and a part of the queries that are broadcast, 8 bytes each; more are joined.
+MOST_VISITS = 500_000
+#: Points in a leaf of the tree over data, and over queries; children of a node at most.
+LEAF, QUERY_LEAF, FANOUT = 512, 32, 64
 
 
 def _distances(points: np.ndarray, center: np.ndarray) -> np.ndarray:
@@ -72,7 +76,7 @@ class CoverTree:
             start, end = span[at]
             if end - start > leaf and radius[at] > 0:
                 mine = self.order[start:end].copy()
-                chosen, owner, near = spread(points[mine], FANOUT, radius[at] / 2)
+                chosen, owner, near = spread(points[mine], max(2, min(FANOUT, 16 * len(mine) // leaf)), radius[at] / 2)
                 if len(chosen) > 1:
                     self.order[start:end] = mine[np.argsort(owner, kind="stable")]
                     sizes, low = np.bincount(owner, minlength=len(chosen)), start
@@ -109,7 +113,7 @@ def dual_search(queries: np.ndarray, query_ids: np.ndarray, data: np.ndarray, da
     best, work = Best(len(queries), k), 0
     if not len(queries) or not len(data):
         return best, work
-    qt, dt = CoverTree(queries), CoverTree(data)
+    qt, dt = CoverTree(queries, QUERY_LEAF), CoverTree(data)
     floor = np.full(len(queries), -np.inf) if least is None else least.astype(float)
     ids = data_ids[dt.order]
     kid_bounds = dt.kids
@@ -189,23 +193,32 @@ def _celled(batches: Iterator[pa.RecordBatch], pivots: np.ndarray, width: int) -
         yield record_batch(schema, [batch.column(0), cell.astype(np.int32), far, [r.tobytes() for r in v]])
 
 
-def _routed(batches: Iterator[pa.RecordBatch], sample: np.ndarray, sample_ids: np.ndarray, pivots: np.ndarray, radius: np.ndarray, blocks: np.ndarray, parts: int, k: int) -> Iterator[pa.RecordBatch]:
-    """Each query once for every block of the cells that it has to visit."""
-    schema = pa.schema([("query_id", pa.int64()), ("cell", pa.int32()), ("block", pa.int32()), ("part", pa.int32()), ("least", pa.float64()), ("v", pa.binary())])
+def _routed(batches: Iterator[pa.RecordBatch], sample: np.ndarray, sample_ids: np.ndarray, pivots: np.ndarray, radius: np.ndarray, filled: np.ndarray, k: int) -> Iterator[pa.RecordBatch]:
+    """Each query once for every filled cell that it has to visit."""
+    schema = pa.schema([("query_id", pa.int64()), ("cell", pa.int32()), ("part", pa.int32()), ("least", pa.float64()), ("v", pa.binary())])
     for whole in batches:
         for start in range(0, whole.num_rows, 512):
             batch = whole.slice(start, 512)
-            ids, packed, part = batch.column(0).to_numpy(), batch.column(1).to_pylist(), batch.column(2).to_numpy()
-            v = np.array([np.frombuffer(b, dtype="<f8") for b in packed])
+            ids, packed, part = batch.column(0).to_numpy(), batch.column(1), batch.column(2)
+            v = np.array([np.frombuffer(b, dtype="<f8") for b in packed.to_pylist()])
             s = np.where(ids[:, None] == sample_ids[None, :], -np.inf, v @ sample.T)
             s = np.concatenate([s, np.full((len(v), k), -np.inf)], axis=1)
             least = -np.partition(-s, k - 1, axis=1)[:, k - 1]
             bound = v @ pivots.T + np.sqrt((v * v).sum(axis=1))[:, None] * radius[None, :]
-            rows = []
-            for q, cell in zip(*np.nonzero((bound >= least[:, None]) & (blocks > 0)[None, :])):
-                for block in range(blocks[cell]):
-                    rows.append((ids[q], cell, block, part[q], least[q], packed[q]))
-            yield record_batch(schema, [list(c) for c in zip(*rows)] if rows else [[] for _ in schema])
+            q, cell = np.nonzero((bound >= least[:, None]) & filled[None, :])
+            yield record_batch(schema, [ids[q], cell.astype(np.int32), part.take(pa.array(q)), least[q], packed.take(pa.array(q))])
+
+
+def query_parts(sizes: dict[int, int], most: int) -> list[tuple[int, int, int]]:
+    """(cell, first part, parts): cells of few queries share a part of at most `most`; larger cells have their own."""
+    out, part, used = [], 0, 0
+    for cell, n in sorted(sizes.items()):
+        if used and used + n > most:
+            part, used = part + 1, 0
+        parts = -(-n // most)
+        out.append((cell, part, parts))
+        part, used = (part, used + n) if parts == 1 else (part + parts, 0)
+    return out
 
 
 def _searched(queries: pa.Table, data: pa.Table, k: int) -> pa.Table:
@@ -248,13 +261,21 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
     radius, sizes = np.zeros(len(pivots)), np.zeros(len(pivots), dtype=np.int64)
     for r in placed.groupBy("cell").agg(F.max("far").alias("far"), F.count(F.lit(1)).alias("n")).collect():  # at most PIVOTS rows
         radius[r["cell"]], sizes[r["cell"]] = r["far"], r["n"]
-    blocks, parts = -(-sizes // BLOCK), -(-n_asked // QUERY_BLOCK)
-    routed_in = celled(asked).select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int").alias("part"))
-    routed = map_arrow(routed_in, lambda b: _routed(b, sample, sample_ids, pivots, radius, blocks, parts, k), "query_id long, cell int, block int, part int, least double, v binary")
+    blocks = -(-sizes // BLOCK)
+    queries_in = celled(asked).select("vec_id", "cell", "v")
+    dealt_to = query_parts({r["cell"]: r["count"] for r in queries_in.groupBy("cell").count().collect()}, QUERY_BLOCK)  # at most PIVOTS rows
+    parts = F.broadcast(spark.createDataFrame(dealt_to, "cell int, _first int, _parts int"))
+    routed_in = queries_in.join(parts, "cell").select("vec_id", "v", (F.col("_first") + F.pmod(F.xxhash64("vec_id"), F.col("_parts"))).cast("int").alias("part"))
+    routed = map_arrow(routed_in, lambda b: _routed(b, sample, sample_ids, pivots, radius, blocks > 0, k), "query_id long, cell int, part int, least double, v binary")
     per_cell = F.broadcast(spark.createDataFrame([(c, int(b)) for c, b in enumerate(blocks) if b], "cell int, _blocks int"))
-    dealt = placed.join(per_cell, "cell").select("vec_id", "cell", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("_blocks")).cast("int").alias("block"), F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"), "v")
+    queries_out = routed.join(per_cell, "cell").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+    visits = routed.select("cell", "part").distinct()  # a cell's rows go to the parts whose queries visit it, and to no other
+    if len(blocks) * (dealt_to[-1][1] + dealt_to[-1][2]) <= MOST_VISITS:
+        visits = F.broadcast(visits)
+    dealt = placed.join(per_cell, "cell").select("vec_id", "cell", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.col("_blocks")).cast("int").alias("block"), "v").join(visits, "cell")
     keys = ["cell", "block", "part"]
-    found = routed.groupBy(*keys).cogroup(dealt.groupBy(*keys)).applyInArrow(lambda q, d: _searched(q, d, k), "query_id long, vec_id long, score long")
+    queries_out, dealt = (df.select(*(F.col(c).alias(c) for c in df.columns)) for df in (queries_out, dealt))  # names of their own
+    found = queries_out.groupBy(*keys).cogroup(dealt.groupBy(*keys)).applyInArrow(lambda q, d: _searched(q, d, k), "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -69,3 +69,27 @@ def test_odd_vectors_ids_and_no_rows(spark):
     assert got == [(0, 1, 100, 3 * k), (0, 2, 5, 2 * k), (0, 3, 5, 2 * k), (0, 4, 6, -2 * k), (100, 1, 0, 3 * k), (100, 2, 5, 2 * k), (100, 3, 5, 2 * k), (100, 4, 6, -k)]
     assert es.search(df.limit(0), df, 3).count() == es.search(df, df.where(F.lit(False)), 3).count() == 0
     assert es.search(df.where("vec_id = 0"), df.where("vec_id = 0"), 3).count() == 0
+
+
+def test_query_parts_are_bounded_and_share_cells():
+    got = es.query_parts({0: 3, 1: 3, 2: 20, 3: 1, 5: 7}, 7)
+    assert got == [(0, 0, 1), (1, 0, 1), (2, 1, 3), (3, 4, 1), (5, 5, 1)]
+
+
+def test_clustered_vectors_are_pruned_and_not_copied_to_all_parts(spark, monkeypatch):
+    monkeypatch.setattr(es, "QUERY_BLOCK", 20)
+    rng = np.random.default_rng(8)
+    centers = rng.normal(size=(20, 16))
+    x = centers[rng.integers(0, 20, 3000)] + rng.normal(size=(3000, 16)) * 0.01
+    x = (x / np.linalg.norm(x, axis=1)[:, None]).astype(np.float32)
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<float>")
+    seen, counted = spark.sparkContext.accumulator(0), es._searched
+    monkeypatch.setattr(es, "_searched", lambda q, d, k: (seen.add(q.num_rows * d.num_rows), counted(q, d, k))[1])
+    got = es.search(df, df.where("vec_id % 10 = 0"), 10).collect()
+    data = np.floor(1024 * x.astype(float))
+    want = _brute(data[::10], np.arange(0, 3000, 10), data, np.arange(3000), 10)
+    found = {}
+    for r in sorted(got, key=lambda r: (r["query_id"], r["rank"])):
+        found.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+    assert found == want
+    assert 0 < seen.value < 0.5 * 300 * 3000
