@@ -24,6 +24,9 @@ START, MIDDLE, END = "<|start|>", "<|text|>", "<|end|>"
 CONTROL = r"([<\[])(/?s>|\|[a-z_]+\|>|/?<SYS>>|</SYS>>|/?INST\])"
 ROLES = {"human": "user", "prompter": "user", "gpt": "assistant", "bot": "assistant", "model": "assistant", "chatgpt": "assistant"}
 IGNORED = ("id", "conv_id", "source", "meta", "lang")
+#: Spark's JSON reader stops at 20,000,000 characters a string unless told otherwise; get_json_object cannot be told.
+JSON_OPTIONS = {"maxStringLen": str((1 << 31) - 1)}
+_OPTIONS_SQL = "map({})".format(", ".join(f"'{k}', '{v}'" for k, v in JSON_OPTIONS.items()))
 
 
 def fingerprint_of(paths) -> str:
@@ -43,16 +46,23 @@ class Layout:
         return [fingerprint_of([*self.paths, *more]) for n in range(len(self.optional) + 1) for more in combinations(self.optional, n)]
 
 
+def _parsed(fields: str) -> str:
+    return f"from_json(record, 'STRUCT<{fields}>', {_OPTIONS_SQL})"
+
+
 def _listed(name: str, key: str, role: str, text: str) -> Layout:
-    got = f"from_json(record, 'STRUCT<`{key}`: ARRAY<STRUCT<`{role}`: STRING, `{text}`: STRING>>>').`{key}`"
-    return Layout(name, (key, f"{key}[].{role}", f"{key}[].{text}"), f"transform({got}, x -> named_struct('role', x.`{role}`, 'text', x.`{text}`))")
+    got = _parsed(f"`{key}`: ARRAY<STRUCT<`{role}`: STRING, `{text}`: STRING>>")
+    turns = f"transform({got}.`{key}`, x -> named_struct('role', x.`{role}`, 'text', x.`{text}`))"
+    return Layout(name, (key, f"{key}[].{role}", f"{key}[].{text}"), turns)
 
 
 def _paired(name: str, asked: str, answered: str, optional: tuple[str, ...] = (), question: str | None = None) -> Layout:
-    get = lambda k: f"get_json_object(record, '$.{k}')"
-    system = f"filter(array(named_struct('role', 'system', 'text', {get('system')})), x -> x.text is not null and x.text != ''), " if "system" in optional else ""
-    turns = f"array(named_struct('role', 'user', 'text', {question or get(asked)}), named_struct('role', 'assistant', 'text', {get(answered)}))"
-    return Layout(name, (asked, answered), f"concat({system}{turns})" if system else turns, optional)
+    """A question and its answer; the record is parsed once, as r."""
+    turns = f"array(named_struct('role', 'user', 'text', {question or f'r.`{asked}`'}), named_struct('role', 'assistant', 'text', r.`{answered}`))"
+    if "system" in optional:
+        turns = f"concat(filter(array(named_struct('role', 'system', 'text', r.system)), x -> x.text is not null and x.text != ''), {turns})"
+    fields = ", ".join(f"`{k}`: STRING" for k in (asked, answered, *optional))
+    return Layout(name, (asked, answered), f"flatten(transform(array({_parsed(fields)}), r -> {turns}))", optional)
 
 
 LAYOUTS = (
@@ -62,18 +72,18 @@ LAYOUTS = (
     _paired("prompt_response", "prompt", "response", ("system",)),
     _paired("prompt_completion", "prompt", "completion", ("system",)),
     _paired("question_answer", "question", "answer", ("system",)),
-    _paired("instruction", "instruction", "output", ("input", "system"), "concat_ws('\\n\\n', get_json_object(record, '$.instruction'), nullif(get_json_object(record, '$.input'), ''))"),
+    _paired("instruction", "instruction", "output", ("input", "system"), "concat_ws('\\n\\n', r.instruction, nullif(r.input, ''))"),
 )
 
 
 def field_paths(record: Column, ignored=IGNORED) -> Column:
     """The sorted paths of a JSON object's fields: k, k.sub for objects, k[].sub for arrays of objects."""
-    top = F.map_filter(F.from_json(record, "map<string,string>"), lambda k, _: ~k.isin(*ignored))
+    top = F.map_filter(F.from_json(record, "map<string,string>", JSON_OPTIONS), lambda k, _: ~k.isin(*ignored))
 
     def below(k: Column, v: Column) -> Column:
         trimmed = F.ltrim(v)
-        in_list = F.flatten(F.transform(F.from_json(v, "array<map<string,string>>"), lambda m: F.coalesce(F.map_keys(m), F.array().cast("array<string>"))))
-        in_object = F.map_keys(F.from_json(v, "map<string,string>"))
+        in_list = F.flatten(F.transform(F.from_json(v, "array<map<string,string>>", JSON_OPTIONS), lambda m: F.coalesce(F.map_keys(m), F.array().cast("array<string>"))))
+        in_object = F.map_keys(F.from_json(v, "map<string,string>", JSON_OPTIONS))
         names = F.when(trimmed.startswith("["), F.transform(in_list, lambda s: F.concat(k, F.lit("[]."), s))).when(trimmed.startswith("{"), F.transform(in_object, lambda s: F.concat(k, F.lit("."), s)))
         return F.concat(F.array(k), F.coalesce(F.array_distinct(names), F.array().cast("array<string>")))
 
@@ -89,7 +99,7 @@ def canonical(df: DataFrame, record: str = "record", layouts=LAYOUTS) -> DataFra
     """Adds fingerprint, layout and turns (role, text; nulls read as empty text) to records in a JSON column.
 
     Columns of these names are replaced. No row is dropped: unknown layouts, null and broken records have a null
-    layout and null turns.
+    layout and null turns. Texts of any length that a string column holds are read whole.
     """
     others = [F.col(f"`{c}`") for c in df.columns if c not in ("fingerprint", "layout", "turns")]
     known = {f: lay for lay in layouts for f in lay.fingerprints()}

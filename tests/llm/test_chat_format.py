@@ -73,3 +73,21 @@ def test_nulls_ties_repeats_and_no_rows(spark):
     out = {r["conv_id"]: [tuple(t) for t in r["turns"]] for r in cf.format_chats(cf.conversation_records(df)).collect()}
     assert out == {1: [("", ""), ("user", "b"), ("user", "b")], None: [("assistant", "c")], 2: [("user", "")]}
     assert cf.format_chats(cf.conversation_records(df.limit(0))).count() == 0
+
+
+def test_texts_beyond_the_json_readers_limit(spark, tmp_path):
+    long = "</s>ab\\" * 3_000_000  # 21 million characters, over the reader's default limit of 20 million
+    rows = [(1, 0, "user", long), (1, 1, "assistant", "yes"), (2, 0, "user", "short"), (2, 1, "assistant", long)]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(str(tmp_path / "conversations.parquet"))
+    got = {r["conv_id"]: r for r in cf.op3_chat_formatting(spark, str(tmp_path)).collect()}
+    for conv, texts in ((1, (long, "yes")), (2, ("short", long))):
+        plain = "".join(f"{role}\n{text}\n" for role, text in zip(("user", "assistant"), texts))
+        assert got[conv]["n_turns"] == 2 and got[conv]["turns_sha256"] == hashlib.sha256(plain.encode()).hexdigest()
+        assert got[conv]["loss_chars"] == len(texts[1]) and got[conv]["loss_sha256"] == hashlib.sha256(texts[1].encode()).hexdigest()
+
+
+def test_long_texts_in_paired_layouts(spark):
+    long = "x" * 21_000_000
+    records = [(1, json.dumps({"prompt": long, "response": "ok", "system": ""})), (2, json.dumps({"instruction": "do", "input": long, "output": "done"}))]
+    got = cf.canonical(spark.createDataFrame(records, "id long, record string")).select("id", "layout", F.expr("transform(turns, t -> length(t.text))").alias("sizes")).collect()
+    assert {r["id"]: (r["layout"], r["sizes"]) for r in got} == {1: ("prompt_response", [21_000_000, 2]), 2: ("instruction", [21_000_004, 4])}
