@@ -23,13 +23,17 @@ from tablevec.llm.common import bucket, filter_rows, map_arrow, record_batch, sl
 
 #: Bound of the labelled rows that the field is fitted on, for each class.
 SAMPLE_PER_CLASS = 6000
+#: Of such a document, at most so many stretches with signs and so many others, drawn by hash from its whole text.
+HIT_STRETCHES, OTHER_STRETCHES = 8, 2
 #: A sign is in this share of the toxic documents at least, and so many times likelier there.
-SIGN_SHARE, SIGN_COUNT, SIGN_RATIO, MOST_SIGNS = 0.005, 3, 20.0, 5000
+SIGN_SHARE, SIGN_COUNT, SIGN_RATIO = 0.005, 3, 20.0
 WORD_BINS, SIDE_BINS = 1 << 18, 1 << 16
 STRETCH = 64  # tokens that are trained, or walked, as one row
 MOST_KEPT = 100_000
 _SPANS = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())]))
 _OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("score", pa.float64()), ("predicted", pa.int32()), ("n_toxic", pa.int64()), ("spans", _SPANS)])
+#: A stretch to train on: feature bins of its tokens, and their labels (-1 for no token).
+_ROW = np.dtype([("word", "<i4", STRETCH), ("prefix", "<u2", STRETCH), ("side", "<u2", STRETCH), ("label", "i1", STRETCH)])
 _EDGES = re.compile(r"^[\W_]+|[\W_]+$")
 _CHUNK = re.compile(r"\S+")
 
@@ -284,22 +288,26 @@ def _signs_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield record_batch(schema, [list(found), [v[0] for v in found.values()], [v[1] for v in found.values()]])
 
 
+def _drawn(starts: list[int], words: list[str], most: int) -> list[int]:
+    """At most so many of a document's stretches, by a hash of their place and first words."""
+    return sorted(starts, key=lambda s: (zlib.crc32(f"{s} {' '.join(words[s : s + 3])}".encode("utf-8", "surrogatepass")), s))[:most]
+
+
 def _stretches(batches: Iterator[pa.RecordBatch], signs: frozenset[str]) -> Iterator[pa.RecordBatch]:
-    """Rows of tokens to train on: up to eight of a document's stretches with signs, and two others."""
+    """Rows of tokens to train on, drawn from whole texts."""
     schema = pa.schema([("tokens", pa.binary())])
     for batch in batches:
         rows = []
         for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
             words = [word_of(c) for c in (text or "").split()]
             starts = range(0, len(words), STRETCH)
-            hit = [s for s in starts if signs.intersection(words[s : s + STRETCH])]
-            rest = [s for s in starts if s not in set(hit)]
-            rest = sorted(rest, key=lambda s: zlib.crc32(" ".join(words[s : s + 3]).encode("utf-8", "surrogatepass")))
-            for s in hit[:8] + rest[:2]:
-                row = np.zeros((4, STRETCH), dtype="<i4")
-                row[3] = -1
+            hit = {s for s in starts if signs.intersection(words[s : s + STRETCH])}
+            for s in _drawn(sorted(hit), words, HIT_STRETCHES) + _drawn([s for s in starts if s not in hit], words, OTHER_STRETCHES):
+                row = np.zeros((), dtype=_ROW)
+                row["label"] = -1
                 for k, word in enumerate(words[s : s + STRETCH]):
-                    row[:3, k], row[3, k] = bins_of(word), int(bool(toxic) and word in signs)
+                    row["word"][k], row["prefix"][k], row["side"][k] = bins_of(word)
+                    row["label"][k] = bool(toxic) and word in signs
                 rows.append(row.tobytes())
         yield record_batch(schema, [rows])
 
@@ -316,7 +324,9 @@ def fit(training: DataFrame, labels: DataFrame) -> Field:
     """Learns from documents (doc_id, text) and labels (doc_id, toxic).
 
     Documents with labels of both kinds are left out, and so are null labels. At most about SAMPLE_PER_CLASS documents
-    of each class are used, the same at any size, chosen by a hash of doc_id; equal texts count once.
+    of each class are used, the same at any size, chosen by a hash of doc_id; equal texts count once, and not at all if
+    their labels differ. The bounds SAMPLE_PER_CLASS, HIT_STRETCHES and OTHER_STRETCHES hold for the labelled rows that
+    the field is fitted on; signs and document scores come from whole texts.
     """
     spark = training.sparkSession
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min("toxic").cast("int").alias("toxic"), F.max("toxic").cast("int").alias("_other"))
@@ -329,18 +339,17 @@ def fit(training: DataFrame, labels: DataFrame) -> Field:
     scale = 1 << 30
     share = F.create_map(*[F.lit(v) for c, n in sizes.items() for v in (c, min(scale, scale * SAMPLE_PER_CLASS // n))])
     picked = known.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(scale)) < F.element_at(share, F.col("toxic"))).limit(4 * SAMPLE_PER_CLASS)
-    rows = training.join(F.broadcast(picked), "doc_id").select("text", "toxic").withColumn("_same", F.xxhash64("text")).dropDuplicates(["_same"]).select("text", "toxic").persist()
+    rows = training.join(F.broadcast(picked), "doc_id").groupBy("text").agg(F.min("toxic").alias("toxic"), F.max("toxic").alias("_other")).where(F.col("toxic") == F.col("_other")).select("text", "toxic").persist()
     try:
         n = {r["toxic"]: r["count"] for r in rows.groupBy("toxic").count().collect()}
         toxic, clean = n.get(1, 0), n.get(0, 0)
         least = max(SIGN_COUNT, SIGN_SHARE * toxic)
         counts = map_arrow(rows, _signs_in, "word string, toxic long, clean long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
         ratio = (F.col("toxic") + 0.5) / (toxic + 1) / ((F.col("clean") + 0.5) / (clean + 1))
-        signs = frozenset(r["word"] for r in counts.where((F.col("toxic") >= least) & (ratio >= SIGN_RATIO)).orderBy(F.desc("toxic"), "word").limit(MOST_SIGNS).collect())
-        got = [np.frombuffer(r["tokens"], dtype="<i4").reshape(4, STRETCH) for r in map_arrow(rows, lambda b: _stretches(b, signs), "tokens binary").collect()]
-        got.sort(key=lambda a: a.tobytes())
-        tokens = np.array(got) if got else np.zeros((0, 4, STRETCH), dtype="<i4")
-        crf = train_field(tokens[:, 0], tokens[:, 1], tokens[:, 2], tokens[:, 3]) if len(tokens) else Field()
+        signs = frozenset(r["word"] for r in counts.where((F.col("toxic") >= least) & (ratio >= SIGN_RATIO)).select("word").collect())  # bounded by the sample: each is in `least` of its documents
+        got = sorted(r["tokens"] for r in map_arrow(rows, lambda b: _stretches(b, signs), "tokens binary").collect())
+        t = np.frombuffer(b"".join(got), dtype=_ROW)
+        crf = train_field(t["word"], t["prefix"], t["side"], t["label"]) if len(t) else Field()
         shared = spark.sparkContext.broadcast(crf)
         x = map_arrow(rows, lambda b: _features_in(b, shared.value), "x1 double, x2 double, x3 double, toxic int").toPandas().to_numpy()
         crf.document = fit_logistic(x[:, :3], x[:, 3])
@@ -389,7 +398,11 @@ def tag(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of (doc_id, text, ...) whose score is under a half, with all their columns."""
+    """The rows of (doc_id, text, ...) whose score is under a half, with all their columns, whatever their names.
+
+    A null or empty text has the score that no toxic token gives. Repeated rows are judged alike and stay repeated.
+    With labels of one kind only, or none, and with no rows, see fit.
+    """
     training = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(bucket("doc_id", 5) != 0)
     crf = docs.sparkSession.sparkContext.broadcast(fit(training, labels.select("doc_id", "toxic")))
 
