@@ -4,14 +4,15 @@
    bits. Texts with equal sets are one class, whose representative is the smallest doc_id.
 2. The forest has TREES orders of the signature; tree t starts at another place and goes on through the next values.
    Representatives are sorted in each order. Those that share the first DEPTH values are a region, whatever its size.
-   Each row of a region is compared with the region's leaders by size and sketch, which drops pairs far below the
-   threshold, and paired with the leaders it may be near to, or becomes a leader itself. A region of more than REGION
-   rows comes in blocks, and each block meets the leaders of all blocks before it.
+   A region that a sample of all texts shows to be of more than some REGION rows is dealt into parts by hash. Each row
+   of a part is compared with the part's leaders by size and sketch, which drops pairs far below the threshold, and
+   paired with the leaders it may be near to, or becomes a leader itself.
 3. Pairs are confirmed on full sets, which are made again from the texts of the documents concerned alone.
 4. Links are contracted to components. Pairs of a region inside one component need no more work. For any other pair
    that may be near, the row of the smaller component is compared with all of the larger one, which no more gathers
-   pairs than rows; so no link between components of a region is left out. Of a large region, the rows of the largest
-   component are dealt into blocks, and each block meets all other rows.
+   pairs than rows; so no link between components of a region, or of its parts, is left out. The rows of a region's
+   largest component are dealt into blocks, and so are its other rows: each two blocks of which one holds other rows
+   meet in a task. Rows that ask a large component, and its rows, are dealt into blocks of bounded bytes likewise.
 
 A pair of similarity 0.8 shares a region with probability 1 - (1 - 0.8 ** 4) ** 24, all but three in a million.
 """
@@ -27,18 +28,22 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tablevec.llm.common import Scratch, byte_words, id_bitmap, id_slot, in_bitmap, map_arrow, record_batch, slices, table, text_bytes
+from tablevec.llm.common import Scratch, byte_words, fresh_name, id_bitmap, id_slot, in_bitmap, map_arrow, record_batch, slices, table, text_bytes, without_ids
 from tablevec.llm.components import components
 
 TREES, DEPTH = 24, 4
 SIGNATURE = TREES * DEPTH
 MINHASHES = 2 * SIGNATURE
-#: Rows of a region that are compared at once; larger ones are compared block by block.
-REGION = 20_000
+#: Rows of a region that are compared at once, about; larger ones are dealt into parts and blocks of so many.
+REGION = 8192
+#: Of a region of REGION rows, about so many are in the sample that shows its size, and so many are enough to deal it.
+SEEN, ENOUGH = 64, 16
 #: How many of the MINHASHES must agree in their two lowest bits: five standard deviations below what 0.8 gives.
 LEAST_ALIKE = 138
-#: Components of up to so many rows are compared as pairs; rows of larger ones that one task compares at once.
-SMALL_COMPONENT, TOGETHER = 16, 2000
+#: Components of up to so many rows are compared as pairs; bytes of full sets on either side that a task compares at once.
+SMALL_COMPONENT, TOGETHER = 16, 16 << 20
+#: Regions to be dealt that are broadcast, 16 bytes each; more are joined.
+MOST_SENT = 200_000
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64)
 _ODD = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -136,6 +141,18 @@ _BRANCH = pa.schema([("tree", pa.int32()), ("key", pa.int64()), ("deeper", pa.in
 _BRANCH_KIND = "tree int, key long, deeper long, rep long, n int, bits binary"
 
 
+def _large_regions(linkable: DataFrame) -> DataFrame:
+    """(tree, key, parts) of regions of more than some REGION rows, by a sample of the different texts.
+
+    It only says which regions are dealt into how many parts; a region found or not, all its pairs are compared.
+    """
+    scale = 1 << 30
+    drawn = F.pmod(F.xxhash64("print_a", "print_b"), F.lit(scale)) < min(scale, scale * SEEN // REGION)
+    few = linkable.where(drawn).dropDuplicates(["print_a", "print_b"]).select(F.col("doc_id").alias("rep"), F.col("n_shingles").cast("int").alias("n"), "signature", "bits")
+    seen = map_arrow(few, _branches, _BRANCH_KIND).groupBy("tree", "key").agg(F.count(F.lit(1)).alias("n"))
+    return seen.where(F.col("n") >= ENOUGH).select("tree", "key", (1 + F.floor(F.col("n") / min(SEEN, REGION))).cast("int").alias("parts")).where("parts > 1")
+
+
 def _branches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Each representative once for every tree: its prefix, what follows in the order, and its sketch."""
     for batch in batches:
@@ -159,31 +176,32 @@ def _columns(t: pa.Table) -> dict[str, np.ndarray]:
     return {c: np.frombuffer(b"".join(t.column(c).to_pylist()), dtype="<u8").reshape(t.num_rows, -1) if c == "bits" else t.column(c).to_numpy() for c in t.column_names}
 
 
-def _regions(batches: Iterator[pa.RecordBatch], by: list[str], most: int | None = None) -> Iterator[dict[str, np.ndarray]]:
-    """Runs of rows with equal `by` columns, from batches sorted by them; runs of one row are left out.
+def _regions(batches: Iterator[pa.RecordBatch], by: list[str]) -> Iterator[dict[str, np.ndarray]]:
+    """Runs of rows with equal `by` columns, from batches sorted by them; runs of one row are left out."""
+    rest: list[pa.RecordBatch] = []
+
+    def runs(t: pa.Table, whole: bool) -> Iterator[dict[str, np.ndarray]]:
+        nonlocal rest
+        keys = [t.column(c).to_numpy() for c in by]
+        cuts = np.flatnonzero(np.any([k[1:] != k[:-1] for k in keys], axis=0)) + 1
+        ends = np.append(cuts, t.num_rows) if whole else cuts
+        last = int(ends[-1]) if len(ends) else 0
+        starts = np.concatenate([[0], ends[:-1]]).astype(np.int64) if len(ends) else ends
+        rest = [b for b in t.slice(last).to_batches() if b.num_rows]
+        if (ends - starts > 1).any():
+            columns = _columns(t.slice(0, last))
+            for a, b in zip(starts, ends):
+                if b - a > 1:
+                    yield {c: v[a:b] for c, v in columns.items()}
 
-    With `most`, a run that has not ended after 2 * most rows comes in parts of so many, each of which begins with the
-    last rows of the one before: neighbours in the sorted order stay together, and no run has to fit in memory.
-    """
-    rest: pa.Table | None = None
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        t = pa.Table.from_batches([batch])
-        t = pa.concat_tables([rest, t]) if rest is not None else t
-        cols = _columns(t)
-        cuts = np.flatnonzero(np.any([cols[c][1:] != cols[c][:-1] for c in by], axis=0)) + 1
-        last = int(cuts[-1]) if len(cuts) else 0
-        starts, ends = np.concatenate([[0], cuts])[:-1] if len(cuts) else cuts, cuts
-        for a, b in zip(starts, ends):
-            if b - a > 1:
-                yield {c: v[a:b] for c, v in cols.items()}
-        rest = t.slice(last)
-        while most and rest.num_rows > 2 * most:
-            yield _columns(rest.slice(0, 2 * most))
-            rest = rest.slice(2 * most - max(1, most // 2))
-    if rest is not None and rest.num_rows > 1:
-        yield _columns(rest)
+        if batch.num_rows:
+            same = rest and all(batch.column(c)[batch.num_rows - 1] == rest[0].column(c)[0] for c in by)
+            rest.append(batch)
+            if not same:  # else the run goes on beyond this batch
+                yield from runs(pa.Table.from_batches(rest), False)
+    if rest:
+        yield from runs(pa.Table.from_batches(rest), True)
 
 
 def _alike(n: int, bits: np.ndarray, ns: np.ndarray, others: np.ndarray, percent: int) -> np.ndarray:
@@ -204,23 +222,10 @@ _CANDIDATE = pa.schema([("region", pa.int64()), ("a", pa.int64()), ("b", pa.int6
 _CANDIDATE_KIND = "region long, a long, b long, n int, bits binary"
 
 
-def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[dict[str, np.ndarray], bool, bool]]:
-    """Blocks of regions, each row once, with whether a block goes on with the region before, and whether it has more."""
-    parts, again = _regions(batches, ["tree", "key"], REGION), False
-    part = next(parts, None)
-    while part is not None:
-        following = next(parts, None)
-        more = following is not None and following["tree"][0] == part["tree"][0] and following["key"][0] == part["key"][0]
-        order = np.argsort(part["rep"][max(1, REGION // 2) :], kind="stable") + max(1, REGION // 2) if again else np.argsort(part["rep"], kind="stable")
-        yield {c: v[order] for c, v in part.items()}, again, more
-        part, again = following, more
-
-
 def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     """Pairs (a, b) of a leader and a row; and for regions with more to compare, their rows (b null).
 
-    Of a region in blocks, only the leaders stay in memory, and all rows are put out: any may be near to a row that
-    was in another block.
+    Of a region in parts, all rows are put out: any may be near to a row that was in another part.
     """
     out: list[list] = [[] for _ in _CANDIDATE]
 
@@ -228,41 +233,28 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         for column, v in zip(out, values):
             column.extend(v)
 
-    def put_pairs(leader: int, rows: np.ndarray) -> None:
-        none = [None] * len(rows)
-        put(none, [int(leader)] * len(rows), rows.tolist(), none, none)
-
-    leaders: list[dict[str, np.ndarray]] = []
-    for part, again, more in _blocks(batches):
-        g = len(part["rep"])
-        free, paired = np.ones(g, bool), np.zeros(g, bool)
-        rows = np.arange(g)
-        leaders = leaders if again else []
-        for before in leaders:
-            for i in range(len(before["rep"])):
-                near = rows[_alike(before["n"][i], before["bits"][i], part["n"], part["bits"], percent)]
-                free[near] = False
-                put_pairs(before["rep"][i], part["rep"][near])
-                if len(out[0]) > 50_000:
-                    yield record_batch(_CANDIDATE, out)
-                    out = [[] for _ in _CANDIDATE]
+    for region in _regions(batches, ["tree", "key", "part"]):
+        order = np.argsort(region["rep"], kind="stable")
+        region = {c: v[order] for c, v in region.items()}
+        g = len(order)
+        free, paired, rows = np.ones(g, bool), np.zeros(g, bool), np.arange(g)
         for i in range(g):
             if not free[i]:
                 continue
-            near = rows[_near(part, i, rows, percent)]
+            near = rows[_near(region, i, rows, percent)]
             paired[i] = len(near) > 1  # it is near to itself; rows before it are left for the comparison of components
             near = near[near > i]
             free[near], paired[near] = False, True
-            put_pairs(part["rep"][i], part["rep"][near])
+            none = [None] * len(near)
+            put(none, [int(region["rep"][i])] * len(near), region["rep"][near].tolist(), none, none)
             if len(out[0]) > 50_000:
                 yield record_batch(_CANDIDATE, out)
                 out = [[] for _ in _CANDIDATE]
-        if more:
-            leaders.append({c: part[c][free] for c in ("rep", "n", "bits")})
-        members = rows if again or more else np.flatnonzero(paired)
-        if again or more or len(members) > 2:
-            name = int(part["key"][0]) ^ (int(part["tree"][0]) << 48)
-            put([name] * len(members), part["rep"][members].tolist(), [None] * len(members), part["n"][members].tolist(), [b.tobytes() for b in part["bits"][members]])
+        parted = region["parts"][0] > 1
+        members = rows if parted else np.flatnonzero(paired)
+        if parted or len(members) > 2:
+            name = int(region["key"][0]) ^ (int(region["tree"][0]) << 48)
+            put([name] * len(members), region["rep"][members].tolist(), [None] * len(members), region["n"][members].tolist(), [b.tobytes() for b in region["bits"][members]])
         if len(out[0]) > 50_000:
             yield record_batch(_CANDIDATE, out)
             out = [[] for _ in _CANDIDATE]
@@ -272,21 +264,24 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
 def _left_over(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     """(id, other): a row, and a larger component with a row of its region that may be near to it.
 
-    A block of a region holds a part of the largest component's rows (`top`) and all other rows; each of these asks the
-    part, and in its own block the other rows too.
+    A cell holds two blocks of a region: of its largest component's rows (`top`) and of its other rows, or two blocks
+    of other rows, or one of them twice.
     """
     schema, out = pa.schema([("id", pa.int64()), ("other", pa.int64())]), ([], [])
-    for region in _regions(batches, ["region", "block"]):
-        order = np.lexsort((region["component"], region["size"], region["top"]))
-        region = {c: v[order] for c, v in region.items()}
-        label, rep, top, g = region["component"], region["rep"], int((region["top"] == 0).sum()), len(order)
+    for cell in _regions(batches, ["region", "x", "y"]):
+        order = np.lexsort((cell["component"], cell["size"], cell["top"]))
+        cell = {c: v[order] for c, v in cell.items()}
+        label, rep, own, top, g = cell["component"], cell["rep"], cell["own"], int((cell["top"] == 0).sum()), len(order)
         ends = np.append(np.flatnonzero(label[1:] != label[:-1]) + 1, g)
         end = ends[np.searchsorted(ends, np.arange(g), side="right")]
+        met, twice = cell["x"][0] < 0, cell["x"][0] == cell["y"][0]
         found = set()
         for i in range(top):
-            others = np.arange(end[i] if region["own"][i] == region["block"][i] else top, g)
+            others = np.arange(top if met else end[i], g)
+            if not met and not twice:
+                others = others[own[others] != own[i]]
             if len(others):
-                found.update((int(rep[i]), int(x)) for x in np.unique(label[others[_near(region, i, others, percent)]]))
+                found.update((int(rep[i]), int(x)) for x in np.unique(label[others[_near(cell, i, others, percent)]]))
         for x, y in found:
             out[0].append(x)
             out[1].append(y)
@@ -361,11 +356,20 @@ def _links_between(docs: DataFrame, members: DataFrame, labels: DataFrame, rule:
     sizes = labels.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
     known = labels.join(sizes, "component").select(F.col("node").alias("rep"), "component", "size")
     labelled = members.join(known, "rep", "left").select("region", "rep", "n", "bits", F.coalesce("component", "rep").alias("component"), F.coalesce("size", F.lit(1)).alias("size"))
-    tops = labelled.groupBy("region").agg(F.max(F.struct("size", "component")).alias("m"), F.min("component").alias("least"), F.max("component").alias("most"), F.count(F.lit(1)).alias("rows"))
-    tops = tops.where(F.col("least") != F.col("most")).select("region", F.col("m.component").alias("largest"), F.ceil(F.col("rows") / REGION).cast("int").alias("blocks"))
-    dealt = labelled.join(tops, "region").withColumn("top", (F.col("component") == F.col("largest")).cast("int")).withColumn("own", F.pmod(F.xxhash64("rep"), "blocks").cast("int"))
-    where = F.when(F.col("top") == 1, F.array("own")).otherwise(F.sequence(F.lit(0), F.col("blocks") - 1))
-    ordered = dealt.withColumn("block", F.explode(where)).select("region", "block", "rep", "n", "bits", "component", "size", "top", "own").repartition("region", "block").sortWithinPartitions("region", "block")
+    tops = labelled.groupBy("region").agg(F.max(F.struct("size", "component")).alias("m"), F.min("component").alias("least"), F.max("component").alias("most"))
+    tops = tops.where(F.col("least") != F.col("most")).select("region", F.col("m.component").alias("largest"))
+    marked = labelled.join(tops, "region").withColumn("top", (F.col("component") == F.col("largest")).cast("int"))
+    counts = marked.groupBy("region").agg(F.sum("top").alias("n_top"), F.sum(1 - F.col("top")).alias("n_other"))
+    blocks = counts.select("region", F.ceil(F.col("n_top") / REGION).cast("int").alias("tops"), F.ceil(F.col("n_other") / REGION).cast("int").alias("others"))
+    dealt = marked.join(blocks, "region").withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("top") == 1, F.col("tops")).otherwise(F.col("others"))).cast("int"))
+    upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    cell = lambda x, y: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"))
+    with_top = lambda t, o: cell(-1 - t, o)  # noqa: E731  a cell of top and other rows has x below 0
+    own = F.col("own")
+    beside = F.transform(upto("others"), lambda o: cell(F.least(own, o), F.greatest(own, o)))
+    cells = F.when(F.col("top") == 1, F.transform(upto("others"), lambda o: with_top(own, o))).otherwise(F.concat(F.transform(upto("tops"), lambda t: with_top(t, own)), beside))
+    spread = dealt.withColumn("cell", F.explode(cells)).select("region", "cell.x", "cell.y", "rep", "n", "bits", "component", "size", "top", "own")
+    ordered = spread.repartition("region", "x", "y").sortWithinPartitions("region", "x", "y")
     asked = scratch.keep(map_arrow(ordered, partial(_left_over, percent=rule.percent), "id long, other long").distinct(), "asked")
     wanted = asked.select("other").distinct().join(sizes.withColumnRenamed("component", "other"), "other", "left").select("other", F.coalesce("size", F.lit(1)).alias("size"))
     inside = wanted.join(labels.select(F.col("component").alias("other"), "node"), "other", "left").select("other", "size", F.coalesce("node", "other").alias("node"))
@@ -374,12 +378,17 @@ def _links_between(docs: DataFrame, members: DataFrame, labels: DataFrame, rule:
     sets = _full_sets(docs, asked.select("id").union(inside.select(F.col("node").alias("id"))).distinct(), rule)
     sets = scratch.keep(sets, "sets")
     links = _confirm(few.distinct(), sets, rule)
-    blocks = (F.floor(F.col("size") / TOGETHER) + 1).cast("int")
-    large = inside.where(F.col("size") > SMALL_COMPONENT)
-    held = large.select("other", F.pmod(F.xxhash64("node"), blocks).cast("int").alias("block"), F.col("node").alias("id")).join(sets, "id").select(*(F.col(c).alias(c) for c in ("other", "block", "id", "set")))
-    parts = large.select("other", blocks.alias("blocks")).distinct()
-    queries = asked.join(parts, "other").select("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "id").join(sets, "id").select(*(F.col(c).alias(c) for c in ("other", "block", "id", "set")))
-    met = queries.groupBy("other", "block").cogroup(held.groupBy("other", "block")).applyInArrow(lambda q, m: _met(q, m, rule.percent), "a long, b long")
+    large = inside.where(F.col("size") > SMALL_COMPONENT).select("other", F.col("node").alias("id"))
+    asking = asked.join(large.select("other").distinct(), "other").select("other", "id")
+    bytes_of = sets.select("id", F.octet_length("set").cast("long").alias("bytes"))
+    in_blocks = lambda rows, name: rows.join(bytes_of, "id").groupBy("other").agg((F.floor(F.sum("bytes") / TOGETHER) + 1).cast("int").alias(name))
+    dealing = in_blocks(large, "blocks").join(in_blocks(asking, "turns"), "other")
+    upto = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    hashed = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    fields = ("other", "block", "turn", "id", "set")
+    held = large.join(dealing, "other").select("other", hashed("blocks").alias("block"), upto("turns").alias("turn"), "id").join(sets, "id").select(*(F.col(c).alias(c) for c in fields))
+    queries = asking.join(dealing, "other").select("other", upto("blocks").alias("block"), hashed("turns").alias("turn"), "id").join(sets, "id").select(*(F.col(c).alias(c) for c in fields))
+    met = queries.groupBy("other", "block", "turn").cogroup(held.groupBy("other", "block", "turn")).applyInArrow(lambda q, m: _met(q, m, rule.percent), "a long, b long")
     return links.union(met)
 
 
@@ -398,7 +407,11 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     classes = linkable.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep"))
     reps = linkable.join(classes, ["print_a", "print_b"]).where(F.col("doc_id") == F.col("rep")).dropDuplicates(["print_a", "print_b"])
     branches = map_arrow(reps.select("rep", F.col("n_shingles").cast("int").alias("n"), "signature", "bits"), _branches, _BRANCH_KIND)
-    sorted_branches = branches.repartition("tree", "key").sortWithinPartitions("tree", "key", "deeper")
+    regions = scratch.keep(_large_regions(linkable), "regions")
+    regions = F.broadcast(regions) if regions.count() <= MOST_SENT else regions
+    parts = F.coalesce("parts", F.lit(1))
+    dealt = branches.join(regions, ["tree", "key"], "left").select("tree", "key", F.pmod(F.xxhash64("rep", "tree"), parts).cast("int").alias("part"), parts.alias("parts"), "deeper", "rep", "n", "bits")
+    sorted_branches = dealt.repartition("tree", "key", "part").sortWithinPartitions("tree", "key", "part", "deeper")
     found = scratch.keep(map_arrow(sorted_branches, partial(_led, percent=rule.percent), _CANDIDATE_KIND), "candidates")
     pairs = scratch.keep(found.where(F.col("region").isNull()).select("a", "b").where(F.col("a") != F.col("b")).distinct(), "pairs")
     links = scratch.keep(_confirm(pairs, scratch.keep(_full_sets(own, _ends(pairs), rule), "pair-sets"), rule), "links")
@@ -410,11 +423,39 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     if not extra.isEmpty():
         roots = labels.select(F.col("node").alias("a"), F.col("component").alias("b"))
         labels = scratch.keep(components(extra.union(roots), scratch, "again"), "labels-again")
+    scratch.drop("candidates", "pairs", "links", "asked", "inside", "more-links")
     by_class = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("print_a", "print_b", F.coalesce("component", "rep").alias("component_id"))
     joined = linkable.select("doc_id", "n_shingles", "print_a", "print_b").join(by_class, ["print_a", "print_b"]).select("doc_id", "n_shingles", "component_id")
     alone = sketches.where((F.col("n_shingles") == 0) | F.col("doc_id").isNull()).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return joined.unionByName(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
+def keep_first(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
+    """The rows of (doc_id, text, ...) that stay when one row of each group of linked texts is kept, with all columns.
+
+    The row of the smallest doc_id stays. Rows are told apart even if their doc_id is null or on several rows: such rows
+    come after all others, and of equal ones a single one stays. Texts without words link with nothing and stay, so
+    repeated rows of them stay repeated. Other columns may have any names.
+    """
+    spark, scratch = docs.sparkSession, Scratch(docs.sparkSession, "keepfirst")
+    key, again = fresh_name(docs.columns, "_key"), fresh_name(docs.columns, "_again")
+    ids = docs.select(F.col("doc_id").cast("long").alias("id"))
+    many = ids.where("id is not null").groupBy("id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("id")
+    many = scratch.keep(many, "many")
+    nulls, top = ids.agg(F.count_if(F.col("id").isNull()), F.coalesce(F.max("id"), F.lit(0))).first()
+    if not nulls and many.isEmpty():
+        found = near_duplicates(docs.select("doc_id", "text"), rule)
+        return without_ids(docs, "doc_id", found.where(~F.col("kept")).select(F.col("doc_id").alias("id")))
+    # rows whose doc_id does not tell them apart get numbers above all others, written once so that they stay the same
+    doubled = docs.join(many.select(F.col("id").alias(again)), F.col("doc_id").cast("long") == F.col(f"`{again}`"), "left_semi")
+    doubled = doubled.union(docs.where(F.col("doc_id").isNull()))
+    doubled = scratch.keep(doubled.select("*", (F.lit(top) + 1 + F.monotonically_increasing_id()).alias(key)), "doubled")
+    single = without_ids(docs.where(F.col("doc_id").isNotNull()), "doc_id", many)
+    every = single.select(F.col("doc_id").cast("long").alias("doc_id"), "text").union(doubled.select(F.col(f"`{key}`"), "text"))
+    found = near_duplicates(every, rule)
+    gone = found.where(~F.col("kept")).select(F.col("doc_id").alias("id"))
+    return without_ids(single, "doc_id", gone).union(without_ids(doubled, key, gone).drop(key))
+
+
 def op10_minhash_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), Rule(words=2))

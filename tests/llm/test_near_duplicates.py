@@ -2,6 +2,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from tablevec.llm import near_duplicates as nd
 from tablevec.llm.common import Scratch
@@ -63,7 +64,7 @@ def test_chains_and_shared_passages(spark):
     assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
 
 
-def test_large_regions_are_split_deeper(spark, monkeypatch):
+def test_large_regions_in_parts(spark, monkeypatch):
     monkeypatch.setattr(nd, "REGION", 20)
     rng = random.Random(7)
     base = [f"w{rng.randrange(900)}" for _ in range(200)]
@@ -111,23 +112,39 @@ def _sketches(rng, n, drift):
     packed = nd.low_bits(np.array(rows)).view("<u8")
     deeper = rng.permutation(n)
     order = np.argsort(deeper)
-    columns = [np.zeros(n, np.int32), np.full(n, 5), deeper[order], order, np.full(n, 100, np.int32), [packed[i].tobytes() for i in order]]
+    columns = {"tree": np.zeros(n, np.int32), "key": np.full(n, 5), "deeper": deeper[order], "rep": order, "n": np.full(n, 100, np.int32), "bits": [packed[i].tobytes() for i in order]}
     region = {"n": np.full(n, 100), "bits": packed}
     near = {(i, j) for i in range(n) for j in np.flatnonzero(nd._near(region, i, np.arange(n), 80)).tolist() if i != j}
-    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(columns, nd._BRANCH)], schema=nd._BRANCH), near
+    return pa.table(columns), near
 
 
-@pytest.mark.parametrize("size", [8, 1000])
-def test_every_near_pair_of_a_region_is_paired_or_left_to_one_region(monkeypatch, size):
-    monkeypatch.setattr(nd, "REGION", size)
-    batch, near = _sketches(np.random.default_rng(2), 150, 12)
-    rows = [r for b in nd._led(iter([batch.slice(k, 10) for k in range(0, 150, 10)]), 80) for r in b.to_pylist()]
+@pytest.mark.parametrize("parts", [20, 1])
+def test_every_near_pair_of_a_region_is_paired_or_left_to_one_region(parts):
+    import pyarrow as pa
+
+    t, near = _sketches(np.random.default_rng(2), 150, 12)
+    part = np.random.default_rng(3).integers(0, parts, 150).astype(np.int32)
+    t = t.append_column("part", pa.array(part)).append_column("parts", pa.array(np.full(150, parts, np.int32))).sort_by("part")
+    rows = [r for b in nd._led(iter(t.to_batches(max_chunksize=10)), 80) for r in b.to_pylist()]
     pairs = {(r["a"], r["b"]) for r in rows if r["region"] is None}
     names, members = {r["region"] for r in rows if r["region"] is not None}, [r["a"] for r in rows if r["region"] is not None]
     assert len(near) > 300 and len(names) == 1 and len(members) == len(set(members)) and pairs <= near
     assert all((i, j) in pairs or (j, i) in pairs or {i, j} <= set(members) for i, j in near)
 
 
+def test_large_regions_are_found_and_dealt(spark, monkeypatch):
+    monkeypatch.setattr(nd, "REGION", 40)
+    texts = [t for t in _drifting(random.Random(5), 400, 0)] + [f"lone{i} text{i} of{i} its{i} own{i}" for i in range(200)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts + texts[:1] * 500)], "doc_id long, text string")
+    sketches = nd.map_arrow(df.select("doc_id", nd.text_bytes()), lambda b: nd._sketched(b, 2), "doc_id long, n_shingles long, print_a long, print_b long, signature binary, bits binary")
+    found = nd._large_regions(sketches).collect()
+    assert found and {r["parts"] for r in found} <= set(range(2, 12))
+    branches = nd.map_arrow(sketches.dropDuplicates(["print_a", "print_b"]).select(F.col("doc_id").alias("rep"), F.col("n_shingles").cast("int").alias("n"), "signature", "bits"), nd._branches, nd._BRANCH_KIND)
+    sizes = {(r["tree"], r["key"]): r["count"] for r in branches.groupBy("tree", "key").count().collect()}
+    large = {k for k, n in sizes.items() if n > 80}
+    assert large <= {(r["tree"], r["key"]) for r in found} and all(sizes[r["tree"], r["key"]] > 10 for r in found)
+
+
 @pytest.mark.parametrize("small", [0, 3, 16])
 def test_links_between_components(spark, monkeypatch, small):
     monkeypatch.setattr(nd, "SMALL_COMPONENT", small)
@@ -139,17 +156,14 @@ def test_links_between_components(spark, monkeypatch, small):
     assert _got(nd.near_duplicates(df, nd.Rule(2))) == brute(rows, 2)
 
 
-def test_endless_runs_come_in_overlapping_parts():
+def test_runs_over_many_batches_come_whole():
     import pyarrow as pa
 
     keys = [1] * 3 + [2] + [5] * 100 + [6, 6]
     batches = [pa.RecordBatch.from_arrays([pa.array(keys[i : i + 7]), pa.array(list(range(i, min(i + 7, len(keys)))))], names=["key", "rep"]) for i in range(0, len(keys), 7)]
     whole = [(r["key"][0], list(r["rep"])) for r in nd._regions(iter(batches), ["key"])]
     assert whole == [(1, [0, 1, 2]), (5, list(range(4, 104))), (6, [104, 105])]
-    parts = [list(r["rep"]) for r in nd._regions(iter(batches), ["key"], 10) if r["key"][0] == 5]
-    assert all(len(p) <= 30 for p in parts) and len(parts) > 3
-    assert sorted({x for p in parts for x in p}) == list(range(4, 104))
-    assert all(set(a) & set(b) for a, b in zip(parts, parts[1:]))
+    assert not list(nd._regions(iter([]), ["key"])) and not list(nd._regions(iter([batches[0].slice(0, 1)]), ["key"]))
 
 
 def test_nulls_short_texts_repeats_and_no_rows(spark):
