@@ -51,3 +51,51 @@ def test_without_ids_is_an_anti_join(spark):
     lost = {r["id"] for r in gone.collect()}
     assert got == sorted(str(i) for i in range(3000) if i % 7 == 0 or i not in lost)
     assert without_ids(docs, "doc_id", gone.limit(0)).count() == 3000
+
+
+def test_repeated_and_null_ids_are_told_apart_by_row(spark, tiny):
+    text = lambda a: " ".join(f"{a}{i}" for i in range(30))
+    rows = [
+        (5, text("u"), "first"), (5, text("v"), "same id, other text"), (5, text("u"), "first"),
+        (9, text("v"), "copy of the other text"), (7, text("w"), "single"), (8, text("w") + " more", "near copy"),
+        (None, text("w"), "copy without an id"), (None, text("z"), "no id"), (None, text("z"), "no id"), (None, None, "no text"), (None, None, "no text"),
+    ]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, _key string")
+    got = cp.STAGES[2][1](spark, docs, tiny)
+    assert got.schema == docs.schema
+    kept = sorted((r["doc_id"] if r["doc_id"] is not None else -1, r["_key"]) for r in got.collect())
+    assert kept == [(-1, "no id"), (-1, "no text"), (-1, "no text"), (5, "first"), (7, "single"), (9, "copy of the other text")]
+
+
+def test_without_ids_with_clashing_names(spark):
+    docs = spark.createDataFrame([(1, "a", 3), (2, "b", 4)], "doc_id long, _gone string, _slot long")
+    got = without_ids(docs, "doc_id", spark.createDataFrame([(2,)], "id long"))
+    assert got.columns == docs.columns and [tuple(r) for r in got.collect()] == [(1, "a", 3)]
+
+
+def test_run_leaves_only_its_last_stage(spark, tiny, monkeypatch, tmp_path):
+    from tablevec.llm import common
+
+    monkeypatch.setattr(common, "shared_folder", lambda spark: str(tmp_path))
+    got = cp.run(spark, tiny)
+    left = [p for p in tmp_path.iterdir() if any(p.iterdir())]
+    assert [p.name.split("-")[0] for p in left] == ["pipeline"] and [p.name for p in left[0].iterdir()] == ["stage4"]
+    assert got.count() > 50
+
+
+def test_a_cluster_without_a_shared_folder_is_an_error(spark, monkeypatch):
+    import pytest
+
+    from tablevec.llm import common
+
+    class Context:
+        master = "spark://host:7077"
+
+        def getConf(self):
+            return {}
+
+    class Session:
+        sparkContext = Context()
+
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        common.shared_folder(Session())
