@@ -42,7 +42,7 @@ SEEN, ENOUGH = 64, 16
 LEAST_ALIKE = 138
 #: Components of up to so many rows are compared as pairs; bytes of full sets on either side that a task compares at once.
 SMALL_COMPONENT, TOGETHER = 16, 16 << 20
-#: Regions to be dealt that are broadcast, 16 bytes each; more are joined.
+#: Regions that are broadcast to their rows, some 24 bytes each; more are joined.
 MOST_SENT = 200_000
 _RNG = np.random.default_rng(20)
 _XOR = _RNG.integers(0, 1 << 63, MINHASHES, dtype=np.uint64)
@@ -356,12 +356,13 @@ def _links_between(docs: DataFrame, members: DataFrame, labels: DataFrame, rule:
     sizes = labels.groupBy("component").agg(F.count(F.lit(1)).alias("size"))
     known = labels.join(sizes, "component").select(F.col("node").alias("rep"), "component", "size")
     labelled = members.join(known, "rep", "left").select("region", "rep", "n", "bits", F.coalesce("component", "rep").alias("component"), F.coalesce("size", F.lit(1)).alias("size"))
-    tops = labelled.groupBy("region").agg(F.max(F.struct("size", "component")).alias("m"), F.min("component").alias("least"), F.max("component").alias("most"))
-    tops = tops.where(F.col("least") != F.col("most")).select("region", F.col("m.component").alias("largest"))
-    marked = labelled.join(tops, "region").withColumn("top", (F.col("component") == F.col("largest")).cast("int"))
-    counts = marked.groupBy("region").agg(F.sum("top").alias("n_top"), F.sum(1 - F.col("top")).alias("n_other"))
-    blocks = counts.select("region", F.ceil(F.col("n_top") / REGION).cast("int").alias("tops"), F.ceil(F.col("n_other") / REGION).cast("int").alias("others"))
-    dealt = marked.join(blocks, "region").withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("top") == 1, F.col("tops")).otherwise(F.col("others"))).cast("int"))
+    each = labelled.groupBy("region", "component").agg(F.max("size").alias("size"), F.count(F.lit(1)).alias("n"))
+    rows = each.groupBy("region").agg(F.max(F.struct("size", "component", "n")).alias("m"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
+    blocks = rows.select("region", F.col("m.component").alias("largest"), F.ceil(F.col("m.n") / REGION).cast("int").alias("tops"), F.ceil((F.col("n") - F.col("m.n")) / REGION).cast("int").alias("others"))
+    blocks = scratch.keep(blocks, "blocks")
+    blocks = F.broadcast(blocks) if blocks.count() <= MOST_SENT else blocks
+    marked = labelled.join(blocks, "region").withColumn("top", (F.col("component") == F.col("largest")).cast("int"))
+    dealt = marked.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("top") == 1, F.col("tops")).otherwise(F.col("others"))).cast("int"))
     upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
     cell = lambda x, y: F.struct(x.cast("int").alias("x"), y.cast("int").alias("y"))
     with_top = lambda t, o: cell(-1 - t, o)  # noqa: E731  a cell of top and other rows has x below 0
@@ -423,7 +424,7 @@ def near_duplicates(docs: DataFrame, rule: Rule = Rule()) -> DataFrame:
     if not extra.isEmpty():
         roots = labels.select(F.col("node").alias("a"), F.col("component").alias("b"))
         labels = scratch.keep(components(extra.union(roots), scratch, "again"), "labels-again")
-    scratch.drop("candidates", "pairs", "links", "asked", "inside", "more-links")
+    scratch.drop("regions", "candidates", "pairs", "links", "blocks", "asked", "inside", "more-links")
     by_class = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("print_a", "print_b", F.coalesce("component", "rep").alias("component_id"))
     joined = linkable.select("doc_id", "n_shingles", "print_a", "print_b").join(by_class, ["print_a", "print_b"]).select("doc_id", "n_shingles", "component_id")
     alone = sketches.where((F.col("n_shingles") == 0) | F.col("doc_id").isNull()).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
