@@ -39,21 +39,27 @@ def train_test(rows: DataFrame, key: str, n_train: int, n_test: int, n_trials: i
 
 
 def negative_links(links: DataFrame, n: int, seed: int = 1) -> DataFrame:
-    """n pairs (src, dst) of participating ends that are not linked.
+    """n pairs (src, dst) of participating ends that are not linked; all there are, if they are fewer.
 
-    Both ends are drawn by hash from numbered lists of distinct ends, in more draws than needed, and linked pairs are
-    dropped by an anti-join; no product of the ends is formed.
+    Both ends are drawn by hash from numbered lists of distinct ends, and linked pairs are dropped by an anti-join; no
+    product of the ends is formed. Draws are doubled until the pairs are enough. Pairs come in the order of their first
+    draw, so more draws change none of those found before. Null ends are no ends.
     """
     from tablevec.operators.extract import dense_ids
 
-    sources = dense_ids(links.select("src").distinct(), ["src"], "i")
-    targets = dense_ids(links.select("dst").distinct(), ["dst"], "j")
-    n_src, n_dst = sources.count(), targets.count()
-    if not n_src or not n_dst:
-        return links.select("src", "dst").limit(0)
-    share = max(0.02, 1 - links.select("src", "dst").distinct().count() / (n_src * n_dst))
-    draws = int(3 * n / share) + 50
+    known = links.select("src", "dst").where("src is not null and dst is not null").distinct()
+    sources = dense_ids(known.select("src").distinct(), ["src"], "i")
+    targets = dense_ids(known.select("dst").distinct(), ["dst"], "j")
+    n_src, n_dst, n_known = sources.count(), targets.count(), known.count()
+    wanted = min(n, n_src * n_dst - n_known)
+    if wanted <= 0:
+        return known.limit(0)
     number = lambda tag: F.conv(F.substring(F.md5(F.concat_ws("/", F.lit(str(seed)), F.lit(tag), F.col("id").cast("string"))), 1, 8), 16, 10).cast("long")
-    drawn = links.sparkSession.range(draws).select("id", F.pmod(number("s"), F.lit(n_src)).alias("i"), F.pmod(number("t"), F.lit(n_dst)).alias("j"))
-    pairs = drawn.join(sources, "i").join(targets, "j").join(links.select("src", "dst").distinct(), ["src", "dst"], "left_anti")
-    return pairs.groupBy("src", "dst").agg(F.min("id").alias("id")).orderBy("id").limit(n).select("src", "dst")
+    draws = int(3 * wanted / max(0.02, 1 - n_known / (n_src * n_dst))) + 50
+    while True:
+        drawn = links.sparkSession.range(draws).select("id", F.pmod(number("s"), F.lit(n_src)).alias("i"), F.pmod(number("t"), F.lit(n_dst)).alias("j"))
+        pairs = drawn.join(sources, "i").join(targets, "j").join(known, ["src", "dst"], "left_anti")
+        found = pairs.groupBy("src", "dst").agg(F.min("id").alias("id")).orderBy("id").limit(wanted)
+        if found.count() == wanted:
+            return found.select("src", "dst")
+        draws *= 2
