@@ -13,8 +13,9 @@ links to vectors and sums with partial aggregation, at any size.
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -55,14 +56,25 @@ class Step:
     targets: DataFrame | None
     unit: bool
     dims: int
+    strict: bool = False
+    stuck: bool = False  # whether any denominator is 0: such nodes keep their vectors
 
 
 @dataclass
 class Fit:
-    """The fitted vectors (node_id, vec) and, for each sweep, its number and relative step."""
+    """The fitted vectors (node_id, vec), each sweep's number and relative step, and the least denominator."""
 
     vectors: DataFrame
     history: list[dict] = field(default_factory=list)
+    least_denominator: float | None = None
+
+
+def check_denominators(least: float | None, strict: bool) -> None:
+    """A denominator of 0 has no update, and one below 0 turns it round: an error in strict mode, else a warning."""
+    if least is not None and least <= 0:
+        if strict:
+            raise ValueError(f"the sweeps may diverge: least denominator {least:.3g}")
+        warnings.warn(f"the sweeps may diverge: least denominator {least:.3g}", stacklevel=2)
 
 
 def _signatures(weights: DataFrame) -> DataFrame:
@@ -137,10 +149,15 @@ def sweep(step: Step, x: DataFrame, only: str | None = None) -> DataFrame:
     moved = vec_add("const", F.coalesce("pull", vec_zero(step.dims)))
     away = _pushed(step, x)
     if away is not None:
-        rows = rows.join(F.broadcast(away), "sig", "left")
+        rows = rows.join(away, "sig", "left")  # as many rows as signatures: Spark broadcasts them if they are few
         moved = vec_sub(moved, F.coalesce("away", vec_zero(step.dims)))
     rows = rows.select("node_id", "den", moved.alias("moved"))
-    return rows.select("node_id", (vec_unit("moved") if step.unit else vec_scale("moved", F.lit(1.0) / F.col("den"))).alias("vec"))
+    if step.unit:
+        return rows.select("node_id", vec_unit("moved").alias("vec"))
+    if not step.stuck:
+        return rows.select("node_id", vec_scale("moved", F.lit(1.0) / F.col("den")).alias("vec"))
+    new = F.when(F.col("den") != 0, vec_scale("moved", F.lit(1.0) / F.nullif("den", F.lit(0.0))))
+    return rows.join(x.select("node_id", F.col("vec").alias("old")), "node_id").select("node_id", F.coalesce(new, "old").alias("vec"))
 
 
 def _moved(x: DataFrame, y: DataFrame) -> float:
@@ -153,8 +170,12 @@ def _moved(x: DataFrame, y: DataFrame) -> float:
 
 def _shuffle(step: Step, start: DataFrame, iters: int, tol: float, blocks: list[str] | None) -> Fit:
     stages = Stages(start.sparkSession, "sweeps")
-    step = Step(stages.keep(step.nodes), stages.keep(step.coefs), None if step.push is None else stages.keep(step.push), None if step.targets is None else stages.keep(step.targets), step.unit, step.dims)
-    x, out = stages.keep(start.select("node_id", "vec")), Fit(start)
+    kept = lambda df: None if df is None else stages.keep(df)
+    step = replace(step, nodes=kept(step.nodes), coefs=kept(step.coefs), push=kept(step.push), targets=kept(step.targets))
+    least, zeros = step.nodes.agg(F.min("den"), F.coalesce(F.sum((F.col("den") == 0).cast("int")), F.lit(0))).first()
+    check_denominators(least, step.strict)
+    step = replace(step, stuck=zeros > 0)
+    x, out = stages.keep(start.select("node_id", "vec")), Fit(start, least_denominator=least)
     for k in range(iters):
         old, last = x, stages.made
         for block in blocks or [None]:
@@ -192,6 +213,8 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         return np.array(column.combine_chunks().flatten().to_numpy(zero_copy_only=False), dtype=float).reshape(-1, d)
 
     const, den = rows_of(table.column("const")), table.column("den").to_numpy().astype(float)
+    least = float(den.min()) if len(den) else None
+    check_denominators(least, step.strict)
     first = start.select("node_id", "vec").toArrow()
     x = np.zeros((len(ids), d))
     if first.num_rows:
@@ -261,14 +284,14 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
                 n = np.sqrt((moved * moved).sum(axis=1, keepdims=True))
                 moved = np.divide(moved, n, out=np.zeros_like(moved), where=n > 0)
             else:
-                moved /= den[:, None]
+                moved = np.divide(moved, den[:, None], out=x.copy(), where=den[:, None] != 0)
             x = moved if block is None else np.where((categories == block)[:, None], moved, x)
         base = float((old * old).sum())
         history.append({"sweep": k + 1, "rel_step": float(np.sqrt(((x - old) ** 2).sum() / base)) if base else 0.0})
         if tol and history[-1]["rel_step"] < tol:
             break
     done = pa.table({"node_id": pa.array(ids), "vec": pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * d), pa.array(x.ravel()))})
-    return Fit(spark.createDataFrame(done) if len(ids) else start.select("node_id", "vec"), history)
+    return Fit(spark.createDataFrame(done) if len(ids) else start.select("node_id", "vec"), history, least)
 
 
 def run(step: Step, start: DataFrame, iters: int, kernel: str | None = None, tol: float = 0.0, blocks: list[str] | None = None) -> Fit:
@@ -281,10 +304,11 @@ def fit_objective(p: Problem, params: Params = Params(), iters: int = 10, update
     """Minimises the loss. 'jacobi' moves all nodes at once; 'block_seidel' one column after the other.
 
     `start` gives other first vectors, for warm starts. nonlinks='bruteforce' lists all non-links, for checks only.
+    Weights that may make the loss not convex, and denominators that are not above 0, are errors in strict mode and
+    warnings else; a node whose denominator is 0 keeps its vector.
     """
-    if params.strict:
-        warn_if_unsafe(p.base, p.links, params)
-    step = objective_step(p, params, mc)
+    warn_if_unsafe(p.base, p.links, params)
+    step = replace(objective_step(p, params, mc), strict=params.strict)
     if nonlinks == "bruteforce":
         step = _listed(p, step, params, mc)
     blocks = sorted(r["category"] for r in p.base.select("category").distinct().collect()) if update == "block_seidel" else None
@@ -299,7 +323,7 @@ def _listed(p: Problem, step: Step, params: Params, mc: str) -> Step:
     back = w.select("rel", (~F.col("rel_inv")).alias("rel_inv"), F.col("src").alias("dst"), F.col("link_w").alias("back"))
     near = p.links.join(w.select("rel", "rel_inv", "src", "link_w"), ["rel", "rel_inv", "src"]).join(back, ["rel", "rel_inv", "dst"]).select("src", "dst", (F.col("link_w") + F.col("back")).alias("coef"))
     coefs = near.union(away.select("src", "dst", (-2 * F.col("repel")).alias("coef"))).groupBy("src", "dst").agg(F.sum("coef").alias("coef"))
-    return Step(step.nodes, coefs, None, None, False, step.dims)
+    return replace(step, coefs=coefs, push=None, targets=None)
 
 
 def fit_series(p: Problem, params: Params = Params(1, 0, 3, 1), iters: int = 10, repulsion: str = "centroid", totals: str = "shared", kernel: str | None = None, tol: float = 0.0, start: DataFrame | None = None) -> Fit:
