@@ -61,13 +61,17 @@ def walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int =
     return now.select("walk_id", "path")
 
 
-def fit_walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int = 40, window: int = 5, dim: int = 64, seed: int = 1, rounds: int = 1) -> DataFrame:
-    """(node_id, vec) of the values by walks and skip-gram (Spark's, which sends the whole model to every task)."""
+def fit_walks(graph: tuple[DataFrame, DataFrame], per_node: int = 10, length: int = 40, window: int = 5, dim: int = 64, seed: int = 1, rounds: int = 1, parts: int = 8) -> DataFrame:
+    """(node_id, vec) of the values by walks and skip-gram (Spark's, which sends the whole model to every task).
+
+    Skip-gram is trained on `parts` parts of the paths, dealt by the hash of the walk, whatever the machine; each round
+    averages them, so more parts want more rounds.
+    """
     from pyspark.ml.feature import Word2Vec
     from pyspark.ml.functions import vector_to_array
 
-    paths = walks(graph, per_node, length, seed)
-    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=1, seed=seed, maxIter=rounds, inputCol="path", outputCol="out", numPartitions=1 if paths.sparkSession.sparkContext.defaultParallelism < 16 else 8).fit(paths)
+    paths = walks(graph, per_node, length, seed).repartition(parts, "walk_id").sortWithinPartitions("walk_id").select("path")
+    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=1, seed=seed, maxIter=rounds, inputCol="path", outputCol="out", numPartitions=parts).fit(paths)
     found = model.getVectors().select(F.col("word").alias("vertex"), vector_to_array("vector").alias("vec"))
     return found.where(F.col("vertex").rlike(r"^\d+$")).select(F.col("vertex").cast("long").alias("node_id"), "vec")
 
