@@ -334,6 +334,36 @@ def graph_baseline_exact_1(spark, sf):
     return compact(db, solvers.fit_graph_baseline(db.problem, 1, update="exact", kernel="shuffle").vectors)
 
 
+# the whole database: link tables, hubs, columns of many kinds
+
+_WHOLE = sql.weights(COMMERCE) + ","
+
+
+@query(_WHOLE + sql.objective_coefs(OBJECTIVE) + sql.objective_sweeps(OBJECTIVE, 1) + sql.compact("x1"))
+def objective_commerce(spark, sf):
+    db = d.database(spark, sf, COMMERCE)
+    return compact(db, solvers.fit_objective(db.problem, OBJECTIVE, 1, kernel="shuffle").vectors)
+
+
+@query(_WHOLE + sql.series_coefs(SERIES) + sql.series_sweeps(SERIES, 1) + sql.compact("x1"))
+def series_commerce(spark, sf):
+    db = d.database(spark, sf, COMMERCE)
+    return compact(db, solvers.fit_series(db.problem, SERIES, 1).vectors)
+
+
+@query(sql.weights(COMMERCE) + sql.graph_sweeps(2) + sql.compact("x2"))
+def graph_baseline_commerce(spark, sf):
+    db = d.database(spark, sf, COMMERCE)
+    return compact(db, solvers.fit_graph_baseline(db.problem, 2, kernel="shuffle").vectors)
+
+
+@query(_WHOLE + sql.objective_coefs(OBJECTIVE) + " SELECT n.category, round(min(d.den), 6) AS least, round(max(d.den), 6) AS most FROM den d JOIN nodes n USING (id) GROUP BY n.category")
+def min_denominator(spark, sf):
+    """What each column's updates are divided by; not above 0 means that sweeps may diverge."""
+    den = solvers.objective_step(d.database(spark, sf, COMMERCE).problem, OBJECTIVE).nodes
+    return den.groupBy("category").agg(F.round(F.min("den"), 6).alias("least"), F.round(F.max("den"), 6).alias("most"))
+
+
 def _rounded(loss: DataFrame) -> DataFrame:
     return loss.select(*((F.round(c, 5) + 0.0).alias(c) for c in loss.columns))
 
@@ -382,12 +412,12 @@ def nearest_values_topk(spark, sf):
     return graph.nearest_values(named, name, 10, of="part.p_name").select("category", "value", (F.round("cosine", 6) + 0.0).alias("cosine"))
 
 
-@query("SELECT label, count(DISTINCT vec_id) AS n, round(sum(m * m), 6) AS square FROM (SELECT label, dim, avg(v) AS m, min(vec_id) AS vec_id FROM (SELECT label, vec_id, unnest(range(64)) AS dim, unnest(embedding)::DOUBLE AS v FROM embeddings) GROUP BY label, dim) GROUP BY label")
+@query("SELECT label, min(n) AS n, round(sum(m * m), 6) AS square FROM (SELECT label, dim, avg(v) AS m, count(*) AS n FROM (SELECT label, vec_id, unnest(range(64)) AS dim, unnest(embedding)::DOUBLE AS v FROM embeddings) GROUP BY label, dim) GROUP BY label")
 def embedding_label_centroids(spark, sf):
     from tablevec.functions.vectors import vec_mean
 
     rows = read(spark, sf, "embeddings").select("label", F.col("embedding").cast("array<double>").alias("v"))
-    return rows.groupBy("label").agg(vec_mean("v", 64).alias("c")).select("label", F.lit(1).cast("long").alias("n"), F.round(vec_dot("c", "c"), 6).alias("square"))
+    return rows.groupBy("label").agg(vec_mean("v", 64).alias("c"), F.count(F.lit(1)).alias("n")).select("label", "n", F.round(vec_dot("c", "c"), 6).alias("square"))
 
 
 # specs, fractions and counts

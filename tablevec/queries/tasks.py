@@ -34,6 +34,8 @@ def t(spark, sf, name):
     return spark.read.parquet(f"{sf}/{name}.parquet")
 
 
+#: Walk vectors alone and beside each kind of vectors.
+WALKS = ("walks", *(f"{m}+walks" for m in wl.METHODS))
 _DRAW = "md5('0/' || doc_id), doc_id"
 
 
@@ -137,7 +139,43 @@ def classify_region(spark, sf):
 
 @add()
 def classify_region_with_walks(spark, sf):
-    return scores.score_spread(wl.run_binary(spark, sf, ("walks", "base+walks", "series+walks"), n_trials=2))
+    return scores.score_spread(wl.run_binary(spark, sf, WALKS, n_trials=2))
+
+
+@add()
+def impute_lang_with_walks(spark, sf):
+    return scores.score_spread(wl.run_imputation(spark, sf, "lang", n_trials=1, methods=WALKS, ngram=None))
+
+
+@add()
+def regress_document_length_with_walks(spark, sf):
+    return scores.score_spread(wl.run_regression(spark, sf, n_trials=1, methods=WALKS))
+
+
+@add()
+def link_predict_text_lang_with_walks(spark, sf):
+    return scores.score_spread(wl.run_links(spark, sf, n_trials=1, methods=WALKS))
+
+
+@add()
+def classify_document_quality(spark, sf):
+    return scores.score_spread(wl.run_document_labels(spark, sf, "quality"))
+
+
+@add()
+def classify_document_toxic(spark, sf):
+    return scores.score_spread(wl.run_document_labels(spark, sf, "toxic"))
+
+
+@add()
+def runtime_by_method(spark, sf):
+    """Seconds are of the moment; the counts of values and links beside them are not."""
+    return spark.createDataFrame(wl.run_runtime(spark, sf, repeats=1), "method string, n_values long, n_links long, mean_s double, sd_s double")
+
+
+@add()
+def runtime_by_fraction(spark, sf):
+    return spark.createDataFrame(wl.run_fractions(spark, sf, (1 / 4, 1.0)), "share double, method string, n_values long, seconds double")
 
 
 @add()

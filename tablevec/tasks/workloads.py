@@ -69,6 +69,16 @@ def run_binary(spark: SparkSession, folder: str, methods=METHODS, per_class: int
     return scores.accuracy(scores.predict(_with_vectors(drawn, db, "customer.c_name", x), "binary", settings), "binary_region")
 
 
+def run_document_labels(spark: SparkSession, folder: str, label: str, methods=METHODS, per_class: int = 3000, n_trials: int = 3, settings=QUICK) -> DataFrame:
+    """Accuracy of telling documents by a label from outside the database; texts of several labels are left out."""
+    db = d.database(spark, folder, DOCUMENTS, True)
+    known = spark.read.parquet(f"{folder}/labels.parquet").select("doc_id", F.col(label).cast("string").alias("label"))
+    texts = spark.read.parquet(f"{folder}/documents.parquet").where("text != ''").select("doc_id", F.col("text").alias("item"))
+    labels = samples.without_ambiguity(texts.join(known, "doc_id"), "item", "label")
+    drawn = Stages(spark, "labels").keep(samples.balanced(labels, "item", "label", per_class, n_trials))
+    return scores.accuracy(scores.predict(_with_vectors(drawn, db, "documents.text", method_vectors(db, methods)), "binary", settings), f"binary_{label}")
+
+
 def run_sample_sizes(spark: SparkSession, folder: str, sizes=(50, 100, 200), n_test: int = 200, n_trials: int = 3, methods=METHODS, settings=QUICK) -> DataFrame:
     """Accuracy by the number of training rows."""
     db = d.database(spark, folder, COMMERCE.without("region.r_name"))
