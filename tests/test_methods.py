@@ -1,5 +1,6 @@
 """The methods against dense algebra, worked cases and each other."""
 
+from dataclasses import replace
 from itertools import product
 
 import numpy as np
@@ -286,3 +287,34 @@ def test_plans_hold_no_product_and_scans_are_pruned(spark):
     orders = spark.read.parquet("/root/testdata/sf0.001/orders.parquet").where("o_totalprice > 5")
     assert any("GreaterThan(o_totalprice" in f for f in checks.pushed_filters(orders))
     assert "BroadcastHashJoin" in checks.joins(extract.links_fk({**frames, "nation": F.broadcast(frames["nation"])}, COMMERCE.keys[1], MINI))
+
+
+def _matching(spark):
+    """Two links between four nodes; repulsion of the same strength makes denominators of 0 and less."""
+    base = [(i, c, f"{c}{i}", [float(i + 1), 1.0], False) for i, c in enumerate("aabb")]
+    rows = spark.createDataFrame(base, "node_id long, category string, value string, vec array<double>, is_oov boolean")
+    links = spark.createDataFrame([("r", inv, *(p[::-1] if inv else p)) for p in ((0, 2), (1, 3)) for inv in (False, True)], "rel string, rel_inv boolean, src long, dst long")
+    return solvers.Problem(rows, links, 2)
+
+
+@pytest.mark.parametrize("repel", [2.0, 6.0])
+def test_kernels_agree_where_a_denominator_is_not_above_zero(spark, repel):
+    p, weights = _matching(spark), Params(1, 0, 0, repel)
+    found = {}
+    for kernel in ("broadcast", "shuffle"):
+        with pytest.warns(UserWarning, match="denominator"):
+            fit = solvers.fit_objective(p, weights, 2, kernel=kernel)
+        found[kernel] = {r["node_id"]: r["vec"] for r in fit.vectors.collect()}
+        assert fit.least_denominator == pytest.approx(1 - repel / 2)
+        with pytest.raises(ValueError):
+            solvers.fit_objective(p, Params(1, 0, 0, repel, strict=True), 2, kernel=kernel)
+        with pytest.raises(ValueError, match="denominator"):
+            solvers.run(replace(solvers.objective_step(p, weights), strict=True), p.base, 1, kernel)
+    assert all(np.allclose(found["broadcast"][k], found["shuffle"][k]) for k in range(4))
+    if repel == 2.0:  # no update at all: the vectors stay
+        assert all(np.allclose(found["shuffle"][k], [k + 1.0, 1.0]) for k in range(4))
+
+
+def test_unsafe_weights_warn(spark):
+    with pytest.warns(UserWarning, match="convex"):
+        solvers.fit_objective(_matching(spark), Params(1, 0, 1, 1.5), 1)

@@ -1,5 +1,6 @@
 """Samples, networks, scores, streams and upkeep."""
 
+import random
 import time
 from datetime import datetime, timedelta
 
@@ -215,3 +216,15 @@ def test_sources_and_sinks(spark, tmp_path):
     few.limit(5).coalesce(1).write.csv(str(tmp_path / "c"), header=True)
     few.limit(5).coalesce(1).write.json(str(tmp_path / "j"))
     assert io.read_csv(spark, str(tmp_path / "c"), "o_orderkey long").count() == io.read_json_lines(spark, str(tmp_path / "j"), "o_orderkey long").count() == 5
+
+
+def test_all_free_pairs_are_found_when_all_are_asked(spark):
+    rng = random.Random(4)
+    every = [(f"s{i}", f"t{j}") for i in range(10) for j in range(10)]
+    linked = rng.sample(every, 60)
+    links = spark.createDataFrame(linked + linked[:5] + [(None, "t1"), ("s1", None)], "src string, dst string")
+    ends = {s for s, _ in linked}, {t for _, t in linked}
+    free = {(s, t) for s, t in every if s in ends[0] and t in ends[1]} - set(linked)
+    got = [tuple(r) for r in samples.negative_links(links, len(free)).collect()]
+    assert len(got) == len(free) and set(got) == free
+    assert {tuple(r) for r in samples.negative_links(links, 1000).collect()} == free
