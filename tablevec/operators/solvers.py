@@ -19,7 +19,7 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tablevec.functions.vectors import vec_add, vec_scale, vec_sub, vec_sum, vec_unit, vec_zero
@@ -58,6 +58,7 @@ class Step:
     dims: int
     strict: bool = False
     stuck: bool = False  # whether any denominator is 0: such nodes keep their vectors
+    made: Stages | None = None  # tables that only the step reads
 
 
 @dataclass
@@ -77,41 +78,53 @@ def check_denominators(least: float | None, strict: bool) -> None:
         warnings.warn(f"the sweeps may diverge: least denominator {least:.3g}", stacklevel=2)
 
 
-def _signatures(weights: DataFrame) -> DataFrame:
-    """(src, sig): nodes whose groups and repulsions are equal share one; a node is in few groups."""
-    return weights.groupBy("src").agg(F.xxhash64(F.array_sort(F.collect_list(F.struct("rel", "rel_inv", "rep_w")))).alias("sig"))
+def _signature() -> Column:
+    """Of a node's weights: nodes whose groups and repulsions are equal share one; a node is in few groups."""
+    return F.xxhash64(F.array_sort(F.collect_list(F.struct("rel", "rel_inv", "rep_w")))).alias("sig")
 
 
-def _constants(p: Problem, params: Params) -> DataFrame:
-    """(node_id, k, const): base pull plus column pull."""
-    k = relation_counts(p.links).withColumnRenamed("src", "node_id")
-    rows = p.base.join(k, "node_id", "left").na.fill(0, ["k"]).join(F.broadcast(p.column_means()), "category")
+def _constants(p: Problem, params: Params, each: DataFrame) -> DataFrame:
+    """(node_id, category, k, const) and the columns of `each`: base pull plus column pull."""
+    rows = p.base.join(each.withColumnRenamed("src", "node_id"), "node_id", "left").na.fill(0, ["k"])
     const = vec_add(vec_scale("vec", F.lit(float(params.base))), vec_scale("centroid", F.lit(float(params.column)) / (F.col("k") + 1)))
-    return rows.select("node_id", "category", "k", const.alias("const"))
+    return rows.join(F.broadcast(p.column_means()), "category").withColumn("const", const)
 
 
-def objective_step(p: Problem, params: Params, mc: str = "distinct") -> Step:
-    w = derive_weights(p.links, params, "objective", mc=mc)
+def _push(w: DataFrame, each: DataFrame, coef: Column) -> DataFrame:
+    return w.join(each.select("src", "sig"), "src").select("sig", "rel", "rel_inv", coef.alias("coef")).distinct()
+
+
+def objective_weights(p: Problem, params: Params, mc: str, made: Stages) -> DataFrame:
+    """The weights, written once: links, constants, pushes and the look at convexity all read them."""
+    return made.keep(derive_weights(p.links, params, "objective", mc=mc))
+
+
+def objective_step(p: Problem, params: Params, mc: str = "distinct", weights: DataFrame | None = None, made: Stages | None = None) -> Step:
+    made = made or Stages(p.base.sparkSession, "weights")
+    w = weights if weights is not None else objective_weights(p, params, mc, made)
     own = w.select("rel", "rel_inv", "src", F.col("link_w").alias("own"), F.col("rep_w").alias("rep"))
     mirror = w.select("rel", (~F.col("rel_inv")).alias("rel_inv"), F.col("src").alias("dst"), F.col("link_w").alias("back"))
     joined = p.links.join(own, ["rel", "rel_inv", "src"]).join(mirror, ["rel", "rel_inv", "dst"])
-    coefs = joined.groupBy("src", "dst").agg(F.sum(F.col("own") + F.col("back") + 2 * F.col("rep")).alias("coef"), F.sum(F.col("own") + F.col("back")).alias("pull"))
+    pull = F.col("own") + F.col("back")
+    coefs = made.keep(joined.groupBy("src", "dst").agg(F.sum(pull + 2 * F.col("rep")).alias("coef"), F.sum(pull).alias("pull")))
     pulls = coefs.groupBy("src").agg(F.sum("pull").alias("pull")).withColumnRenamed("src", "node_id")
-    away = w.groupBy("src").agg(F.sum(2 * F.col("rep_w") * (F.col("n_dst") - F.col("out_degree"))).alias("away")).withColumnRenamed("src", "node_id")
-    sig = _signatures(w).withColumnRenamed("src", "node_id")
-    rows = _constants(p, params).join(pulls, "node_id", "left").join(away, "node_id", "left").join(sig, "node_id", "left")
+    away = F.sum(2 * F.col("rep_w") * (F.col("n_dst") - F.col("out_degree"))).alias("away")
+    each = made.keep(w.groupBy("src").agg(F.max("k").alias("k"), away, _signature()))
+    rows = _constants(p, params, each).join(pulls, "node_id", "left")
     den = F.lit(float(params.base)) + F.lit(float(params.column)) / (F.col("k") + 1) + F.coalesce("pull", F.lit(0.0)) - F.coalesce("away", F.lit(0.0))
-    push = w.join(sig.withColumnRenamed("node_id", "src"), "src").select("sig", "rel", "rel_inv", (2 * F.col("rep_w")).alias("coef")).distinct()
-    return Step(rows.select("node_id", "category", "const", den.alias("den"), "sig"), coefs.select("src", "dst", "coef"), push, p.links.select("rel", "rel_inv", "dst").distinct(), False, p.dims)
+    nodes = rows.select("node_id", "category", "const", den.alias("den"), "sig")
+    targets = p.links.select("rel", "rel_inv", "dst").distinct()
+    return Step(nodes, coefs.select("src", "dst", "coef"), _push(w, each, 2 * F.col("rep_w")), targets, False, p.dims, made=made)
 
 
 def series_step(p: Problem, params: Params, repulsion: str = "centroid") -> Step:
-    w = derive_weights(p.links, params, "series", repulsion)
+    made = Stages(p.base.sparkSession, "weights")
+    w = made.keep(derive_weights(p.links, params, "series", repulsion))
     coefs = p.links.join(w.select("rel", "rel_inv", "src", "link_w"), ["rel", "rel_inv", "src"]).groupBy("src", "dst").agg(F.sum("link_w").alias("coef"))
-    sig = _signatures(w)
-    rows = _constants(p, params).join(sig.withColumnRenamed("src", "node_id"), "node_id", "left")
-    push = w.join(sig, "src").select("sig", "rel", "rel_inv", F.col("rep_w").alias("coef")).distinct()
-    return Step(rows.select("node_id", "category", "const", F.lit(1.0).alias("den"), "sig"), coefs, push, p.links.select("rel", "rel_inv", "dst").distinct(), True, p.dims)
+    each = made.keep(w.groupBy("src").agg(F.max("k").alias("k"), _signature()))
+    nodes = _constants(p, params, each).select("node_id", "category", "const", F.lit(1.0).alias("den"), "sig")
+    targets = p.links.select("rel", "rel_inv", "dst").distinct()
+    return Step(nodes, coefs, _push(w, each, F.col("rep_w")), targets, True, p.dims, made=made)
 
 
 def graph_step(p: Problem, update: str = "simplified", category_edges: DataFrame | None = None) -> Step:
@@ -172,6 +185,8 @@ def _shuffle(step: Step, start: DataFrame, iters: int, tol: float, blocks: list[
     stages = Stages(start.sparkSession, "sweeps")
     kept = lambda df: None if df is None else stages.keep(df)
     step = replace(step, nodes=kept(step.nodes), coefs=kept(step.coefs), push=kept(step.push), targets=kept(step.targets))
+    if step.made is not None:
+        step.made.clear()
     least, zeros = step.nodes.agg(F.min("den"), F.coalesce(F.sum((F.col("den") == 0).cast("int")), F.lit(0))).first()
     check_denominators(least, step.strict)
     step = replace(step, stuck=zeros > 0)
@@ -201,10 +216,31 @@ def _packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield pa.RecordBatch.from_arrays([pa.array([v[order].astype(t).tobytes()], pa.binary()) for v, t in ((src, "<i8"), (dst, "<i8"), (coef, "<f8"))], names=["src", "dst", "coef"])
 
 
+def _runs(s: np.ndarray, size: int = 1024) -> tuple[np.ndarray, np.ndarray]:
+    """Of sorted numbers: where each run of equal ones starts, then the end; and the runs that start blocks of about `size`."""
+    first = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]])) if len(s) else np.zeros(0, dtype=np.int64)
+    cuts = np.unique(np.append(np.searchsorted(first, np.arange(0, len(s), size)), len(first)))
+    return np.append(first, len(s)), cuts
+
+
+def _summed(runs: tuple[np.ndarray, np.ndarray], t: np.ndarray, c: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """For each run the sum of c * v[t], in blocks that stay in the cache."""
+    bounds, cuts = runs
+    total = np.empty((len(bounds) - 1, v.shape[1]))
+    for a, b in zip(cuts[:-1], cuts[1:]):
+        low, high = bounds[a], bounds[b]
+        part = v.take(t[low:high], axis=0)
+        part *= c[low:high, None]
+        np.add.reduceat(part, bounds[a:b] - low, axis=0, out=total[a:b])
+    return total
+
+
 def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: list[str] | None) -> Fit:
     """Sweeps with the vectors on the driver and in every task; links stay in their tasks."""
     spark, d = start.sparkSession, step.dims
-    table = step.nodes.select("node_id", "category", "den", "sig", "const").toArrow().sort_by("node_id")
+    first = start.select("node_id", F.col("vec").alias("first"))
+    table = step.nodes.select("node_id", "category", "den", "sig", "const").join(first, "node_id", "left")
+    table = table.withColumn("first", F.coalesce("first", vec_zero(d))).toArrow().sort_by("node_id")
     ids = table.column("node_id").to_numpy()
     place = {int(n): i for i, n in enumerate(ids)} if len(ids) and ids[-1] != len(ids) - 1 else None
     at = (lambda v: v) if place is None else (lambda v: np.array([place[int(n)] for n in v], dtype=np.int64))
@@ -215,10 +251,7 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
     const, den = rows_of(table.column("const")), table.column("den").to_numpy().astype(float)
     least = float(den.min()) if len(den) else None
     check_denominators(least, step.strict)
-    first = start.select("node_id", "vec").toArrow()
-    x = np.zeros((len(ids), d))
-    if first.num_rows:
-        x[at(first.column("node_id").to_numpy())] = rows_of(first.column("vec"))
+    x = rows_of(table.column("first"))
     sig = table.column("sig").to_pylist()
     push = None
     if step.push is not None:
@@ -229,31 +262,23 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         for r in rules.itertuples():
             push[sigs[r.sig], groups[r.rel, r.rel_inv]] = r.coef
         mine = np.array([sigs.get(s, len(sigs)) for s in sig], dtype=np.int64)
-        members = step.targets.toPandas()
+        members = step.targets.toPandas().sort_values(["rel", "rel_inv"])
         target = at(members["dst"].to_numpy(np.int64))
         group = np.array([groups[g] for g in zip(members["rel"], members["rel_inv"])], dtype=np.int64)
-    packed = Stages(spark, "links").keep(step.coefs.repartition(max(1, spark.sparkContext.defaultParallelism), "src").mapInArrow(_packed, "src binary, dst binary, coef binary"))
+        group_runs, ones = _runs(group), np.ones(len(group))
+    links = Stages(spark, "links")
+    packed = links.keep(step.coefs.repartition(max(1, spark.sparkContext.defaultParallelism), "src").mapInArrow(_packed, "src binary, dst binary, coef binary"))
     size = packed.agg(F.coalesce(F.sum(F.length("src")), F.lit(0))).first()[0] * 3
     rows = packed.collect() if size <= BROADCAST_BYTES else None  # small links stay beside the vectors
     local = [tuple(np.frombuffer(r[c], dtype=t) for c, t in (("src", "<i8"), ("dst", "<i8"), ("coef", "<f8"))) for r in rows] if rows is not None else None
     if local is not None:
-        local = [(at(s), at(t), c) for s, t, c in local]
-
-    def summed(s: np.ndarray, t: np.ndarray, c: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        first = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
-        total = np.empty((len(first), v.shape[1]))
-        for j in range(0, len(first), 4096):  # parts that fit in the cache
-            low, high = first[j], first[j + 4096] if j + 4096 < len(first) else len(s)
-            total[j : j + 4096] = np.add.reduceat(v[t[low:high]] * c[low:high, None], first[j : j + 4096] - low, axis=0)
-        return s[first], total
+        local = [(at(s)[_runs(s)[0][:-1]], _runs(s), at(t), c) for s, t, c in local if len(s)]
 
     def pulls(v: np.ndarray) -> np.ndarray:
         out = np.zeros_like(v)
         if local is not None:
-            for s, t, c in local:
-                if len(s):
-                    where, total = summed(s, t, c, v)
-                    out[where] += total
+            for where, runs, t, c in local:
+                out[where] = _summed(runs, t, c, v)
             return out
         shared = spark.sparkContext.broadcast((v, place))
 
@@ -262,7 +287,8 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
             for b in batches:
                 for r in b.to_pylist():
                     s, t, c = (np.frombuffer(r[n], dtype=k) for n, k in (("src", "<i8"), ("dst", "<i8"), ("coef", "<f8")))
-                    where, total = summed(s, t if index is None else np.array([index[int(n)] for n in t]), c, now)
+                    runs = _runs(s)
+                    where, total = s[runs[0][:-1]], _summed(runs, t if index is None else np.array([index[int(n)] for n in t]), c, now)
                     yield pa.RecordBatch.from_arrays([pa.array([where.astype("<i8").tobytes()]), pa.array([total.tobytes()])], names=["src", "pull"])
 
         for r in packed.mapInArrow(work, "src binary, pull binary").collect():
@@ -278,7 +304,7 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
             moved = const + pulls(x)
             if push is not None:
                 totals = np.zeros((push.shape[1], d))
-                np.add.at(totals, group, x[target])
+                totals[group[group_runs[0][:-1]]] = _summed(group_runs, target, ones, x)
                 moved -= (push @ totals)[mine]
             if step.unit:
                 n = np.sqrt((moved * moved).sum(axis=1, keepdims=True))
@@ -290,6 +316,9 @@ def _broadcast(step: Step, start: DataFrame, iters: int, tol: float, blocks: lis
         history.append({"sweep": k + 1, "rel_step": float(np.sqrt(((x - old) ** 2).sum() / base)) if base else 0.0})
         if tol and history[-1]["rel_step"] < tol:
             break
+    links.clear()
+    if step.made is not None:
+        step.made.clear()
     done = pa.table({"node_id": pa.array(ids), "vec": pa.ListArray.from_arrays(pa.array(np.arange(len(ids) + 1, dtype=np.int32) * d), pa.array(x.ravel()))})
     return Fit(spark.createDataFrame(done) if len(ids) else start.select("node_id", "vec"), history, least)
 
@@ -307,8 +336,10 @@ def fit_objective(p: Problem, params: Params = Params(), iters: int = 10, update
     Weights that may make the loss not convex, and denominators that are not above 0, are errors in strict mode and
     warnings else; a node whose denominator is 0 keeps its vector.
     """
-    warn_if_unsafe(p.base, p.links, params)
-    step = replace(objective_step(p, params, mc), strict=params.strict)
+    made = Stages(p.base.sparkSession, "weights")
+    w = objective_weights(p, params, mc, made)
+    warn_if_unsafe(p.base, p.links, params, w if mc == "distinct" else None)
+    step = replace(objective_step(p, params, mc, w, made), strict=params.strict)
     if nonlinks == "bruteforce":
         step = _listed(p, step, params, mc)
     blocks = sorted(r["category"] for r in p.base.select("category").distinct().collect()) if update == "block_seidel" else None

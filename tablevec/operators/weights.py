@@ -68,13 +68,13 @@ def derive_weights(links: DataFrame, params: Params, solver: str, repulsion: str
     return rows.join(F.broadcast(groups), ["rel", "rel_inv"]).select("rel", "rel_inv", "src", "out_degree", "k", "n_dst", link_w.alias("link_w"), (F.lit(params.repel) / (per * (F.col("k") + 1))).alias("rep_w"))
 
 
-def convexity_report(nodes: DataFrame, links: DataFrame, params: Params) -> DataFrame:
+def convexity_report(nodes: DataFrame, links: DataFrame, params: Params, weights: DataFrame | None = None) -> DataFrame:
     """(node_id, slack_stated, slack_sufficient) for the objective.
 
     The published condition, 4 base - sum of repulsions of the node's non-links, is not enough; what is enough, by
     diagonal dominance, is base + column share of at least twice the sum of both directions' repulsions.
     """
-    w = derive_weights(links, params, "objective")
+    w = derive_weights(links, params, "objective") if weights is None else weights
     away = w.groupBy("src").agg(F.sum(F.col("rep_w") * (F.col("n_dst") - F.col("out_degree"))).alias("away"), F.max("k").alias("k"))
     rows = nodes.select("node_id").join(away.withColumnRenamed("src", "node_id"), "node_id", "left").na.fill(0)
     column = F.lit(params.column) / (F.col("k") + 1)
@@ -82,11 +82,11 @@ def convexity_report(nodes: DataFrame, links: DataFrame, params: Params) -> Data
     return out
 
 
-def warn_if_unsafe(nodes: DataFrame, links: DataFrame, params: Params) -> float:
+def warn_if_unsafe(nodes: DataFrame, links: DataFrame, params: Params, weights: DataFrame | None = None) -> float:
     """The least sufficient slack; raises in strict mode, else warns, if it is negative."""
     if min(params.base, params.column, params.link) < 0:
         raise ValueError("base, column and link weights must not be negative")
-    least = convexity_report(nodes, links, params).agg(F.min("slack_sufficient")).first()[0]
+    least = convexity_report(nodes, links, params, weights).agg(F.min("slack_sufficient")).first()[0]
     if least is not None and least < 0:
         if params.strict:
             raise ValueError(f"the loss may not be convex: least slack {least:.3g}")

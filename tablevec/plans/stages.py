@@ -32,6 +32,12 @@ class Stages:
         df.write.parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
-    def drop(self, number: int) -> None:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{number}")
+    def _delete(self, folder: str) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(folder)
         path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+    def drop(self, number: int) -> None:
+        self._delete(f"{self.root}/{number}")
+
+    def clear(self) -> None:
+        self._delete(self.root)
