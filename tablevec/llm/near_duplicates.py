@@ -4,9 +4,10 @@
    bits. Texts with equal sets are one class, whose representative is the smallest doc_id.
 2. The forest has TREES orders of the signature; tree t starts at another place and goes on through the next values.
    Representatives are sorted in each order. Those that share the first DEPTH values are a region, whatever its size.
-   A region that a sample of all texts shows to be of more than some REGION rows is dealt into parts by hash. Each row
-   of a part is compared with the part's leaders by size and sketch, which drops pairs far below the threshold, and
-   paired with the leaders it may be near to, or becomes a leader itself.
+   A region that a sample of all texts shows to be of more than some REGION rows is dealt into parts by hash. In a
+   part, the neighbours of longest common prefix are compared first, by size and sketch, which drops pairs far below the
+   threshold: a row is paired with the leaders of its prefix that it may be near to, or becomes a leader itself and
+   goes up to the next shorter prefix that other rows share. So a part is as deep as its rows are alike.
 3. Pairs are confirmed on full sets, which are made again from the texts of the documents concerned alone.
 4. Links are contracted to components. Pairs of a region inside one component need no more work. For any other pair
    that may be near, the row of the smaller component is compared with all of the larger one, which no more gathers
@@ -218,6 +219,43 @@ def _near(r: dict[str, np.ndarray], i: int, others: np.ndarray, percent: int) ->
     return _alike(r["n"][i], r["bits"][i], r["n"][others], r["bits"][others], percent)
 
 
+def _ascended(r: dict[str, np.ndarray], percent: int) -> tuple[list[tuple[int, np.ndarray]], np.ndarray]:
+    """Leaders with the later rows that may be near to them, and which rows may be near to any, of rows sorted by id.
+
+    Runs of rows that share the longest prefix come first; of each run the rows that follow no leader go up to the
+    next shorter prefix that neighbours in the order share, at last to that of all rows. What is near to nothing by
+    then is compared with all rows, so of any two rows that may be near both are marked.
+    """
+    g, found = len(r["rep"]), []
+    alive, marked = np.arange(g), np.zeros(g, bool)
+
+    def lead(run: np.ndarray) -> np.ndarray:
+        free = np.ones(len(run), bool)
+        for k, i in enumerate(run):
+            if free[k] and k + 1 < len(run):
+                near = np.flatnonzero(_near(r, i, run[k + 1 :], percent)) + k + 1
+                if len(near):
+                    free[near], marked[i], marked[run[near]] = False, True, True
+                    found.append((int(i), run[near]))
+        return run[free]
+
+    if g > 2:
+        deeper = r["deeper"].view(np.uint64)
+        order = np.argsort(deeper, kind="stable")
+        differ = deeper[order][1:] ^ deeper[order][:-1]
+        shared = np.sum([differ < np.uint64(1 << 16 * k) for k in range(DEPTH)], axis=0)  # values beyond the region's own
+        for depth in sorted(set(shared[shared > 0].tolist()), reverse=True):
+            run = np.empty(g, np.int64)
+            run[order] = np.concatenate([[0], np.cumsum(shared < depth)])
+            alive = alive[np.argsort(run[alive], kind="stable")]
+            cuts = np.flatnonzero(np.diff(run[alive])) + 1
+            alive = np.sort(np.concatenate([lead(part) for part in np.split(alive, cuts)]))
+    alive = lead(alive)
+    for i in alive[~marked[alive]]:
+        marked[i] = _near(r, i, np.arange(g), percent).sum() > 1  # it is near to itself
+    return found, marked
+
+
 _CANDIDATE = pa.schema([("region", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int32()), ("bits", pa.binary())])
 _CANDIDATE_KIND = "region long, a long, b long, n int, bits binary"
 
@@ -236,22 +274,15 @@ def _led(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
     for region in _regions(batches, ["tree", "key", "part"]):
         order = np.argsort(region["rep"], kind="stable")
         region = {c: v[order] for c, v in region.items()}
-        g = len(order)
-        free, paired, rows = np.ones(g, bool), np.zeros(g, bool), np.arange(g)
-        for i in range(g):
-            if not free[i]:
-                continue
-            near = rows[_near(region, i, rows, percent)]
-            paired[i] = len(near) > 1  # it is near to itself; rows before it are left for the comparison of components
-            near = near[near > i]
-            free[near], paired[near] = False, True
+        found, marked = _ascended(region, percent)
+        for i, near in found:
             none = [None] * len(near)
             put(none, [int(region["rep"][i])] * len(near), region["rep"][near].tolist(), none, none)
             if len(out[0]) > 50_000:
                 yield record_batch(_CANDIDATE, out)
                 out = [[] for _ in _CANDIDATE]
         parted = region["parts"][0] > 1
-        members = rows if parted else np.flatnonzero(paired)
+        members = np.arange(len(order)) if parted else np.flatnonzero(marked)
         if parted or len(members) > 2:
             name = int(region["key"][0]) ^ (int(region["tree"][0]) << 48)
             put([name] * len(members), region["rep"][members].tolist(), [None] * len(members), region["n"][members].tolist(), [b.tobytes() for b in region["bits"][members]])

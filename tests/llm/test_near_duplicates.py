@@ -195,3 +195,28 @@ def test_sketch_bits_keep_near_sets():
         region = {"n": np.array([len(x) for x in sets]), "bits": bits}
         lost += not nd._near(region, 0, np.array([1]), 80)[0]
     assert lost == 0
+
+
+@pytest.mark.parametrize("rows", [1, 2, 3, 40, 300])
+def test_prefixes_are_compared_from_the_longest_and_no_near_pair_is_left(rows):
+    rng = np.random.default_rng(rows)
+    base = rng.integers(0, 1 << 62, (6, nd.MINHASHES // 32), dtype=np.uint64)
+    bits = base[rng.integers(0, 6, rows)]
+    for i in range(rows):  # up to 120 of 384 bits differ: some rows of a kind are near, some not
+        for k in rng.integers(0, bits.shape[1] * 64, rng.integers(0, 120)):
+            bits[i, k // 64] ^= np.uint64(1) << np.uint64(k % 64)
+    # values of four kinds each, so that rows share prefixes of every length
+    deeper = sum(rng.integers(0, 4, rows).astype(np.int64) << 16 * k for k in range(3)) + (rng.integers(0, 2, rows).astype(np.int64) << 48)
+    region = {"rep": np.arange(rows), "n": np.full(rows, 50, np.int32), "bits": bits, "deeper": deeper}
+    found, marked = nd._ascended(region, 80)
+    near = np.array([nd._near(region, i, np.arange(rows), 80) for i in range(rows)])
+    assert all(near[i, j] and i < j for i, js in found for j in js)
+    both = near & ~np.eye(rows, dtype=bool)
+    assert (marked == both.any(axis=1)).all()
+    led = {int(j) for _, js in found for j in js}
+    leaders = [i for i in range(rows) if i not in led]
+    assert not both[np.ix_(leaders, leaders)].any()  # no two rows without a leader are near
+    # a row with a near earlier row of the longest prefix that it shares with any row before it is led at that depth
+    for j in range(rows):
+        same = [i for i in range(j) if deeper[i] == deeper[j] and near[i, j] and i in leaders]
+        assert not same or any(j in js and deeper[i] == deeper[j] for i, js in found)
