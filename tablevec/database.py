@@ -49,6 +49,42 @@ def build(spark: SparkSession, frames: dict[str, DataFrame], spec: SchemaSpec, w
     return Database(frames, spec, nodes, links, words, hits, solvers.Problem(base, numbered, dims))
 
 
+def extend(db: Database, table: str, rows: DataFrame) -> tuple[Database, DataFrame]:
+    """The database with new rows of one table, and (node_id) of its new values and of the ends of its new links.
+
+    Only the new rows are read for values, matches, start vectors and links; what is known already is told apart by
+    joins, so rows that come twice change nothing. Old values keep their numbers; new ones go on from the largest.
+    """
+    stages = Stages(rows.sparkSession, "extended")
+    rows = stages.keep(rows.select(db.frames[table].columns))
+    frames = {**db.frames, table: db.frames[table].unionByName(rows)}
+    found = extract.extract_values({table: rows}, db.spec) if db.spec.categories(table) else None
+    nodes, hits, base = db.nodes, db.hits, db.problem.base
+    touched = db.nodes.select("node_id").limit(0)
+    if found is not None:
+        fresh = extract.dense_ids(found.join(db.nodes, ["category", "value"], "left_anti"), ["category", "value"])
+        top = db.nodes.agg(F.coalesce(F.max("node_id") + 1, F.lit(0))).first()[0]
+        fresh = stages.keep(fresh.select((F.col("node_id") + top).alias("node_id"), "category", "value"))
+        more = stages.keep(lexicon.match_phrases(fresh, db.lexicon))
+        base = base.unionByName(stages.keep(lexicon.init_vectors(fresh, more, db.lexicon, db.problem.dims)))
+        nodes, hits, touched = nodes.unionByName(fresh), hits.unionByName(more), fresh.select("node_id")
+    names = ["rel", "src_category", "src", "dst_category", "dst"]
+    links = extract.links_of_new_rows(frames, table, rows, db.spec).select(names)
+    links = stages.keep(links.join(db.links, names, "left_anti"))
+    numbered = stages.keep(extract.numbered(links, nodes))
+    touched = stages.keep(touched.union(numbered.select("src")).distinct())
+    problem = solvers.Problem(base, db.problem.links.unionByName(numbered), db.problem.dims, db.problem.include_oov)
+    return Database(frames, db.spec, nodes, db.links.unionByName(links), db.lexicon, hits, problem), touched
+
+
+def compacted(db: Database) -> Database:
+    """The same, with each table written as one; after many small extensions plans are short again."""
+    stages = Stages(db.nodes.sparkSession, "database")
+    p = db.problem
+    problem = solvers.Problem(stages.keep(p.base), stages.keep(p.links), p.dims, p.include_oov)
+    return Database(db.frames, db.spec, stages.keep(db.nodes), stages.keep(db.links), db.lexicon, stages.keep(db.hits), problem)
+
+
 _BUILT: dict[tuple, Database] = {}
 
 

@@ -111,6 +111,30 @@ def extract_links(frames: dict[str, DataFrame], spec: SchemaSpec) -> DataFrame:
     return _union(parts)
 
 
+def links_of_new_rows(frames: dict[str, DataFrame], table: str, rows: DataFrame, spec: SchemaSpec) -> DataFrame:
+    """The links that new rows of one table can add: of its own rows, and of relations that it takes part in.
+
+    `frames` holds all rows, the new ones included; a table that refers to itself is read whole for that relation.
+    """
+    itself = [k for k in spec.keys if k.child == k.parent == table]
+    keys = tuple(k for k in spec.keys if table in (k.child, k.parent) and k not in itself)
+    links = tuple(k for k in spec.links if table in (k.table, k.left, k.right))
+    twice = tuple(k for k in links if (k.table, k.left, k.right).count(table) > 1)
+    own = {table: spec.text[table]} if table in spec.text else {}
+    batch = {**frames, table: rows}
+    found = []
+    if "row" in spec.kinds and own:
+        found.append(links_row(batch, table, spec))
+    if "fk" in spec.kinds:
+        found += [links_fk(batch, k, spec) for k in keys] + [links_fk(frames, k, spec) for k in itself]
+    if "nm" in spec.kinds:
+        found += [links_nm(frames if k in twice else batch, k, spec) for k in links]
+    parts = [f for f in found if f is not None]
+    if not parts:
+        return rows.sparkSession.createDataFrame([], "rel string, src_category string, src string, dst_category string, dst string")
+    return _union(parts).distinct()
+
+
 def mirrored(links: DataFrame) -> DataFrame:
     """The links with their mirrors, from one scan: (rel, rel_inv, src_category, src, dst_category, dst)."""
     there = F.struct("rel", F.lit(False).alias("rel_inv"), "src_category", "src", "dst_category", "dst")

@@ -11,7 +11,7 @@ from tablevec import database as d
 from tablevec.operators import graph, solvers
 from tablevec.operators.weights import Params
 from tablevec.queries import core
-from tablevec.spec import MINI
+from tablevec.spec import MINI, load_tables
 from tablevec.streaming import upkeep as u
 from tablevec.tasks import nets, samples, scores
 from tablevec.tasks import workloads as wl
@@ -239,6 +239,17 @@ def incremental_refresh(spark, sf):
     return new.named(x).groupBy("category").agg(F.count(F.lit(1)).alias("n"))
 
 
+@add(core.ORACLES["objective_3_sweeps"])
+def stream_upkeep(spark, sf):
+    """All customers come by a stream to a database without any; the vectors are those of three sweeps over all of it."""
+    frames = load_tables(spark, sf, MINI)
+    empty = {**frames, "customer": frames["customer"].where(F.lit(False))}
+    db = d.build(spark, empty, MINI, d.stand_in_lexicon(spark, sf))
+    rows = spark.readStream.schema(frames["customer"].schema).parquet(f"{sf}/customer*.parquet")
+    state = u.upkeep(rows, db, db.problem.base.select("node_id", "vec"), "customer", core.OBJECTIVE, 3)
+    return core.compact(state["db"], state["vectors"])
+
+
 _TS = "time_bucket(INTERVAL '{0}', ts)"
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -50,16 +51,19 @@ def windowed_counts(stream: DataFrame, kind: str, late: str | None = None) -> Da
 
 
 def running_degrees(stream: DataFrame) -> DataFrame:
-    """(src, degree): how many different targets each source of a stream of (src, dst) has had, as state."""
+    """(src, degree): how many different targets each source of a stream of (src, dst) has had; nulls do not count.
+
+    Pairs are made distinct first, each a key of its own in the state, so no source's targets meet in one place; the
+    state of a source is a number.
+    """
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        seen = set(state.get[0].split("\x1f")) - {""} if state.exists else set()
-        for part in parts:
-            seen |= set(part["dst"].dropna())
-        state.update(("\x1f".join(sorted(seen)),))
-        yield pd.DataFrame({"src": [key[0]], "degree": [len(seen)]})
+        n = (state.get[0] if state.exists else 0) + sum(int(part["dst"].notna().sum()) for part in parts)
+        state.update((n,))
+        yield pd.DataFrame({"src": [key[0]], "degree": [n]})
 
-    return stream.groupBy("src").applyInPandasWithState(step, "src string, degree long", "seen string", "append", "NoTimeout")
+    pairs = stream.select("src", "dst").dropDuplicates(["src", "dst"])
+    return pairs.groupBy("src").applyInPandasWithState(step, "src string, degree long", "n long", "append", "NoTimeout")
 
 
 def refresh_vectors(old: d.Database, fitted: DataFrame, frames: dict[str, DataFrame], spec: SchemaSpec, params: Params, sweeps: int, method: str = "objective") -> tuple[d.Database, DataFrame]:
@@ -76,20 +80,47 @@ def refresh_vectors(old: d.Database, fitted: DataFrame, frames: dict[str, DataFr
     return new, fit(new.problem, params, sweeps, start=start).vectors
 
 
-def upkeep(stream: DataFrame, old: d.Database, fitted: DataFrame, table: str, params: Params, sweeps: int = 3) -> dict:
-    """Takes a stream of new rows of one table; after each batch the vectors are refreshed. Returns the last state."""
+def local_sweeps(db: d.Database, fitted: DataFrame, touched: DataFrame, params: Params, sweeps: int = 3, hops: int = 1) -> DataFrame:
+    """Vectors after sweeps of the objective over the touched values and those within some links of them.
+
+    All other values keep their vectors; values without one start at their start vector. Weights and group totals are
+    those of the whole database.
+    """
+    stages, p = Stages(fitted.sparkSession, "local"), db.problem
+    near = touched
+    for _ in range(hops):
+        beside = p.links.join(near.select(F.col("node_id").alias("src")), "src", "left_semi").select(F.col("dst").alias("node_id"))
+        near = stages.keep(near.union(beside).distinct())
+    made = Stages(fitted.sparkSession, "weights")
+    step = solvers.objective_step(p, params, made=made)
+    least, zeros = step.nodes.agg(F.min("den"), F.coalesce(F.sum((F.col("den") == 0).cast("int")), F.lit(0))).first()
+    solvers.check_denominators(least, params.strict)
+    nodes = stages.keep(step.nodes.join(near, "node_id", "left_semi"))
+    coefs = stages.keep(step.coefs.join(near.select(F.col("node_id").alias("src")), "src", "left_semi"))
+    step = replace(step, nodes=nodes, coefs=coefs, push=stages.keep(step.push), targets=stages.keep(step.targets), stuck=zeros > 0)
+    made.clear()
+    old = fitted.select("node_id", F.col("vec").alias("_old"))
+    x = stages.keep(p.base.join(old, "node_id", "left").select("node_id", F.coalesce("_old", "vec").alias("vec")))
+    for k in range(sweeps):
+        last = stages.made
+        x = stages.keep(x.join(nodes.select("node_id"), "node_id", "left_anti").unionByName(solvers.sweep(step, x)))
+        if k:
+            stages.drop(last)
+    return x
+
+
+def upkeep(stream: DataFrame, old: d.Database, fitted: DataFrame, table: str, params: Params, sweeps: int = 3, hops: int = 1, compact_after: int = 16) -> dict:
+    """Takes a stream of new rows of one table; after each batch the touched values are moved. Returns the last state."""
     state = {"db": old, "vectors": fitted, "batches": 0}
     stages = Stages(stream.sparkSession, "upkeep")
 
     def take(batch: DataFrame, number: int) -> None:
         if batch.isEmpty():
             return
-        rows = Stages(stream.sparkSession, f"rows-{number}").keep(batch.select(state["db"].frames[table].columns))
-        frames = {**state["db"].frames, table: state["db"].frames[table].unionByName(rows).distinct()}
-        state["db"], state["vectors"] = refresh_vectors(state["db"], state["vectors"], frames, old.spec, params, sweeps)
+        db, touched = d.extend(state["db"], table, batch)
         state["batches"] += 1
+        state["db"] = d.compacted(db) if state["batches"] % compact_after == 0 else db
+        state["vectors"] = local_sweeps(state["db"], state["vectors"], touched, params, sweeps, hops)
 
     stream.writeStream.foreachBatch(take).option("checkpointLocation", f"{stages.root}/state").trigger(availableNow=True).start().awaitTermination()
     return state
-
-

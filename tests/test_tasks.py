@@ -10,10 +10,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from tablevec import database as d
+from tablevec.operators import extract, solvers
 from tablevec.operators import relational as r
-from tablevec.operators import solvers
 from tablevec.operators.weights import Params
-from tablevec.spec import MINI
+from tablevec.spec import COMMERCE, MINI, load_tables
 from tablevec.streaming import upkeep as u
 from tablevec.tasks import nets, samples, scores
 
@@ -181,6 +181,38 @@ def test_refresh_reaches_the_fit_from_the_beginning(spark, tiny):
     assert len(a) == db.nodes.count() + 1 and max(np.abs(a[k] - b[k]).max() for k in a) < 1e-4
 
 
+@pytest.mark.parametrize("table,key,least", [("lineitem", "l_orderkey", 1400), ("part", "p_partkey", 190), ("customer", "c_custkey", 140)])
+def test_links_of_new_rows_are_all_that_is_missing(spark, tiny, table, key, least):
+    frames = load_tables(spark, tiny, COMMERCE)
+    before = {**frames, table: frames[table].where(F.col(key) < least)}
+    more = extract.links_of_new_rows(frames, table, frames[table].where(F.col(key) >= least), COMMERCE)
+    names = ["rel", "src_category", "src", "dst_category", "dst"]
+    both = extract.extract_links(before, COMMERCE).select(names).union(more.select(names)).distinct()
+    whole = extract.extract_links(frames, COMMERCE).select(names)
+    assert more.count() and not both.exceptAll(whole).count() and not whole.exceptAll(both).count()
+
+
+def test_new_rows_move_only_what_they_touch(spark, tiny):
+    db, p = d.database(spark, tiny, MINI), Params(2, 1, 1, 0.1)
+    fitted = solvers.fit_objective(db.problem, p, 5).vectors
+    old_row = db.frames["customer"].orderBy("c_custkey").limit(1)
+    rows = old_row.unionByName(old_row.withColumn("c_name", F.lit("someone new")))
+    new, touched = d.extend(db, "customer", rows.unionByName(rows))
+    built = d.build(spark, {**db.frames, "customer": db.frames["customer"].unionByName(rows)}, MINI, db.lexicon)
+    for a, b, names in ((new.nodes, built.nodes, ["category", "value"]), (new.links, built.links, ["rel", "src", "dst"]), (new.hits.join(new.nodes, "node_id"), built.hits.join(built.nodes, "node_id"), ["category", "value", "pos", "term"])):
+        assert sorted(map(tuple, a.select(names).collect())) == sorted(map(tuple, b.select(names).collect()))
+    ids = {r["node_id"] for r in touched.collect()}
+    assert len(ids) == 3 and new.problem.links.count() == built.problem.links.count()  # the new name, its segment, its nation
+    vectors = lambda x: {r["node_id"]: np.array(r["vec"]) for r in x.collect()}
+    before, after = vectors(fitted), vectors(u.local_sweeps(new, fitted, touched, p, 2, hops=0))
+    assert len(after) == len(before) + 1 and all((after[k] == before[k]).all() for k in before if k not in ids)
+    again, nothing = d.extend(new, "customer", rows)
+    assert nothing.isEmpty() and again.nodes.count() == new.nodes.count() and again.links.count() == new.links.count()
+    cold = vectors(solvers.fit_objective(new.problem, p, 40).vectors)
+    warm = vectors(u.local_sweeps(d.compacted(new), fitted, touched, p, 25, hops=9))
+    assert max(np.abs(cold[k] - warm[k]).max() for k in cold) < 1e-4
+
+
 def test_vectors_are_written_by_column(spark, tiny, tmp_path):
     out = d.run_pipeline(spark, {"folder": tiny, "spec": MINI, "method": "series", "iters": 2, "path": str(tmp_path / "v")})
     back = spark.read.parquet(str(tmp_path / "v"))
