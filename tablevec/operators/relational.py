@@ -31,13 +31,23 @@ def range_join(df: DataFrame, value: str, bands: DataFrame, low: str, high: str)
     return df.join(broadcast_if_small(bands, 100_000), (F.col(value) >= F.col(low)) & (F.col(value) < F.col(high)))
 
 
-def as_of_join(left: DataFrame, right: DataFrame, by: str, time: str, take: str) -> DataFrame:
-    """Each left row with the right's last `take` (as `last_take`) of the same key at or before its time; one sort, no pairs."""
+def as_of_join(left: DataFrame, right: DataFrame, by: str, time: str, take: str, seconds: int = 86_400) -> DataFrame:
+    """Each left row with the right's last `take` (as `last_take`) of the same key at or before its time; no pairs.
+
+    Rows are sorted by key and stretch of time, so a key with many rows is dealt over its stretches; the last value of
+    all earlier stretches comes from a table with a row for each key and stretch. Of values at one time the largest is
+    taken; a null value is none; null keys are a key, and null times come before all others.
+    """
     a = left.withColumns({"_side": F.lit(1), "_v": F.lit(None).cast(right.schema[take].dataType)})
     b = right.select(by, time, F.lit(0).alias("_side"), F.col(take).alias("_v"))
-    both = a.unionByName(b, allowMissingColumns=True)
-    order = Window.partitionBy(by).orderBy(time, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn(f"last_{take}", F.last("_v", ignorenulls=True).over(order)).where("_side = 1").drop("_side", "_v")
+    both = a.unionByName(b, allowMissingColumns=True).withColumn("_part", F.floor(F.unix_timestamp(F.col(time).cast("timestamp")) / seconds))
+    within = Window.partitionBy(by, "_part").orderBy(time, "_side", "_v").rowsBetween(Window.unboundedPreceding, 0)
+    own = both.withColumn("_own", F.last("_v", ignorenulls=True).over(within)).where("_side = 1")
+    ends = both.groupBy(F.col(by).alias("_by"), F.col("_part").alias("_at")).agg(F.max_by("_v", F.when(F.col("_v").isNotNull(), F.struct(time, "_v"))).alias("_end"))
+    earlier = Window.partitionBy("_by").orderBy("_at").rowsBetween(Window.unboundedPreceding, -1)
+    before = ends.select("_by", "_at", F.last("_end", ignorenulls=True).over(earlier).alias("_before")).where("_before IS NOT NULL")
+    met = own.join(before, F.col(by).eqNullSafe(F.col("_by")) & F.col("_part").eqNullSafe(F.col("_at")), "left")
+    return met.withColumn(f"last_{take}", F.coalesce("_own", "_before")).drop("_side", "_v", "_part", "_own", "_by", "_at", "_before")
 
 
 def hash_order(*columns: str) -> Column:
