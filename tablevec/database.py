@@ -89,10 +89,12 @@ _BUILT: dict[tuple, Database] = {}
 
 
 def database(spark: SparkSession, folder: str, spec: SchemaSpec = COMMERCE, with_corpus: bool = False) -> Database:
-    """A given data set's database; built once in a session."""
-    key = (spark.sparkContext.applicationId, folder, repr(spec.text), spec.keys, spec.links, spec.kinds, spec.excluded_categories, spec.excluded_pairs, with_corpus)
+    """A given data set's database; built once in a session for the same files."""
+    frames = load_tables(spark, folder, spec)
+    files = tuple(sorted(f for df in frames.values() for f in df.inputFiles()))
+    key = (files, spark.sparkContext.applicationId, folder, repr(spec.text), spec.keys, spec.links, spec.kinds, spec.excluded_categories, spec.excluded_pairs, with_corpus)
     if key not in _BUILT:
-        _BUILT[key] = build(spark, load_tables(spark, folder, spec), spec, stand_in_lexicon(spark, folder, with_corpus))
+        _BUILT[key] = build(spark, frames, spec, stand_in_lexicon(spark, folder, with_corpus))
     return _BUILT[key]
 
 

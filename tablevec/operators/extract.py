@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tablevec.operators.relational import broadcast_if_small
 from tablevec.plans.stages import Stages
 from tablevec.spec import ForeignKey, LinkTable, SchemaSpec
 
@@ -157,14 +158,34 @@ def expand_json(df: DataFrame, column: str, schema: str, *keep: str) -> DataFram
     return df.select(*keep, F.explode_outer(parsed).alias("entry"))
 
 
+def _run(text: Column, n: int):
+    return lambda i: F.substr(text, i, F.lit(n))
+
+
 def containment_links(texts: DataFrame, passages: DataFrame) -> DataFrame:
-    """(src, dst): texts that contain a passage; candidates share the passage's first 24 characters."""
-    size = 24
-    held = passages.where(F.length("dst") >= size).select("dst", F.substring("dst", 1, size).alias("head"))
-    grams = texts.select("src", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.length("src") - size + 1, F.lit(1))), lambda i: F.substr(F.col("src"), i, F.lit(size))))).alias("head"))
-    found = grams.join(F.broadcast(held), "head").where(F.contains("src", "dst")).select("src", "dst")
-    short = texts.join(F.broadcast(passages.where((F.length("dst") < size) & (F.col("dst") != ""))), F.contains("src", "dst")).select("src", "dst")
-    return found.union(short).distinct()
+    """(src, dst): texts that contain a passage; null and empty passages are in none.
+
+    A passage meets texts by its first 24 characters, a shorter one by all of it. Runs of characters are cut from pieces
+    of a text, so long texts are not walked from their start for each run, and go with a digest instead of the text.
+    """
+    size, piece = 24, 512
+    keyed = texts.where("src != ''").select(F.md5("src").alias("src_key"), "src").distinct()
+    held = passages.where("dst != ''").select(F.md5("dst").alias("dst_key"), "dst", F.substring("dst", 1, size).alias("head")).distinct()
+    lengths = sorted(r[0] for r in held.select(F.length("head")).distinct().collect())  # at most `size` numbers
+    if not lengths:
+        return keyed.limit(0).select("src", F.col("src").alias("dst"))
+
+    def runs(text: Column) -> Column:
+        none = F.array().cast("array<string>")
+        each = [F.when(F.length(text) >= n, F.transform(F.sequence(F.lit(1), F.least(F.lit(piece), F.length(text) - n + 1)), _run(text, n))).otherwise(none) for n in lengths]
+        return F.concat(*each)
+
+    starts = F.sequence(F.lit(1), F.length("src"), F.lit(piece))
+    cut = F.flatten(F.transform(F.transform(starts, lambda at: F.substr(F.col("src"), at, F.lit(piece + size - 1))), runs))
+    grams = keyed.select("src_key", F.explode(F.array_distinct(cut)).alias("head"))
+    near = grams.join(broadcast_if_small(held.select("head", "dst_key"), 100_000), "head").select("src_key", "dst_key").distinct()
+    both = near.join(held.select("dst_key", "dst"), "dst_key").join(keyed, "src_key")
+    return both.where(F.contains("src", "dst")).select("src", "dst")
 
 
 def participating(values: DataFrame, links: DataFrame) -> DataFrame:

@@ -15,8 +15,9 @@ from tablevec.functions.vectors import tokens, vec_mean, vec_zero
 #: Columns whose whole values are phrases of the stand-in lexicon.
 PHRASE_COLUMNS = (("region", "r_name"), ("nation", "n_name"), ("part", "p_brand"), ("part", "p_type"), ("customer", "c_mktsegment"), ("orders", "o_orderpriority"), ("orders", "o_orderstatus"), ("lineitem", "l_returnflag"), ("lineitem", "l_linestatus"))
 PHRASES_OF_NAMES = 32
-#: Most lexicon terms that go to the workers as a trie; beyond, phrases are matched by a join.
-TRIE_TERMS = 2_000_000
+#: Most tokens of all terms that go to the workers as a trie; beyond, phrases are matched by a join. A token takes some
+#: 300 bytes of a dictionary, so a worker's trie has 60 MB at most.
+TRIE_TOKENS = 200_000
 
 
 def _joined(text: Column | str) -> Column:
@@ -103,10 +104,10 @@ def match_phrases(nodes: DataFrame, lexicon: DataFrame, mode: str | None = None)
     """(node_id, pos, term): the bag of longest lexicon matches of each value, in order.
 
     'trie' sends the terms, without vectors, to every worker; 'join' finds all runs of tokens that are terms by a join,
-    and then takes them greedily. By default the trie is used for up to TRIE_TERMS terms.
+    and then takes them greedily. By default the trie is used for terms of up to TRIE_TOKENS tokens together.
     """
     if mode is None:
-        mode = "trie" if lexicon.count() <= TRIE_TERMS else "join"
+        mode = "trie" if (lexicon.agg(F.sum("n_tokens")).first()[0] or 0) <= TRIE_TOKENS else "join"
     if mode == "trie":
         trie = nodes.sparkSession.sparkContext.broadcast(_trie([r["tokens"] for r in lexicon.select("tokens").collect()]))
 

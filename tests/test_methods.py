@@ -318,3 +318,35 @@ def test_kernels_agree_where_a_denominator_is_not_above_zero(spark, repel):
 def test_unsafe_weights_warn(spark):
     with pytest.warns(UserWarning, match="convex"):
         solvers.fit_objective(_matching(spark), Params(1, 0, 1, 1.5), 1)
+
+
+def test_containment_in_long_texts_with_passages_across_pieces(spark):
+    import random
+
+    rng = random.Random(5)
+    long = "".join(rng.choice("abcdefghij ") for _ in range(3000))
+    held = [long[500:530], long[505:560], long[1010:1050], long[-24:], long[-5:], long[:1], long, long + "x", "zz", "", None]
+    texts = spark.createDataFrame([(long,), ("é" * 600 + "zz",), ("",), (None,)], "src string")
+    got = extract.containment_links(texts, spark.createDataFrame([(p,) for p in held], "dst string"))
+    want = {(t, p) for t in (long, "é" * 600 + "zz") for p in held if p and p in t}
+    assert {tuple(r) for r in got.collect()} == want and got.count() == len(want)
+    assert extract.containment_links(texts, spark.createDataFrame([], "dst string")).count() == 0
+
+
+def test_as_of_join_over_stretches_against_a_plain_walk(spark):
+    import random
+    from datetime import datetime, timedelta
+
+    from tablevec.operators import relational as r
+
+    rng, start = random.Random(6), datetime(2024, 1, 1)
+    moment = lambda: start + timedelta(hours=rng.randrange(0, 400))
+    left = [(i, rng.choice(["hot", "hot", "b", None]), moment()) for i in range(200)]
+    right = [(rng.choice(["hot", "b", None]), moment(), rng.choice([None, 1, 2, 3])) for _ in range(60)]
+    a = spark.createDataFrame(left, "id long, k string, at timestamp")
+    b = spark.createDataFrame(right, "k string, at timestamp, v long")
+    got = {x["id"]: x["last_v"] for x in r.as_of_join(a, b, "k", "at", "v").collect()}
+    for i, k, at in left:
+        known = [(t, v) for key, t, v in right if key == k and t <= at and v is not None]
+        assert got[i] == (max(known)[1] if known else None)
+    assert len(got) == len(left) and r.as_of_join(a, b.limit(0), "k", "at", "v").where("last_v is not null").count() == 0
