@@ -173,6 +173,21 @@ def token_hits_documents(spark, sf):
     return hits.groupBy(F.col("node_id").alias("doc_id")).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("term").alias("n_terms"))
 
 
+_GREEDY = f"""WITH {sql.lexicon(True)}, toks AS (SELECT doc_id, {sql.TOKENS.replace('{0}', 'text')} AS t FROM documents),
+    best AS (SELECT doc_id, i, max(n) AS n, max_by(term, n) AS term FROM (SELECT doc_id, i, n, array_to_string(t[i:i + n - 1], ' ') AS term FROM (SELECT doc_id, t, i, unnest(range(1, 5)) AS n FROM (SELECT doc_id, t, unnest(range(1, len(t) + 1)) AS i FROM toks)) WHERE i + n - 1 <= len(t)) WHERE term IN (SELECT term FROM lex) GROUP BY doc_id, i),
+    runs AS (SELECT doc_id, list({{'at': i, 'next': i + n, 'terms': [term]}} ORDER BY i) AS h FROM best GROUP BY doc_id),
+    taken AS (SELECT doc_id, list_reduce(h, lambda s, x: CASE WHEN x['at'] >= s['next'] THEN {{'at': x['at'], 'next': x['next'], 'terms': list_concat(s['terms'], x['terms'])}} ELSE s END)['terms'] AS terms FROM runs)
+    SELECT doc_id, len(terms) AS n, list_unique(terms)::BIGINT AS n_terms, len(list_filter(terms, lambda x: contains(x, ' '))) AS n_phrases FROM taken"""
+
+
+@query(_GREEDY)
+def phrase_hits_documents(spark, sf):
+    docs = read(spark, sf, "documents").select(F.col("doc_id").alias("node_id"), F.col("text").alias("value"))
+    hits = lexicon.match_phrases(docs, d.stand_in_lexicon(spark, sf, True))
+    phrases = F.count_if(F.contains("term", F.lit(" "))).alias("n_phrases")
+    return hits.groupBy(F.col("node_id").alias("doc_id")).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("term").alias("n_terms"), phrases)
+
+
 @query(sql.start(PARTS) + ", x AS (SELECT id, dim, v FROM base)" + sql.compact("x"))
 def base_vectors_parts(spark, sf):
     db = d.database(spark, sf, PARTS)

@@ -147,6 +147,62 @@ def impute_lang_with_walks(spark, sf):
     return scores.score_spread(wl.run_imputation(spark, sf, "lang", n_trials=1, methods=WALKS, ngram=None))
 
 
+@add()
+def impute_lang_ngram_of_columns(spark, sf):
+    """The n-grams of the text and of the source beside it."""
+    return scores.score_spread(wl.run_imputation(spark, sf, "lang", n_trials=1, methods=("base",), beside=("source",)))
+
+
+@add()
+def impute_supplier_region(spark, sf):
+    return scores.score_spread(wl.run_supplier_regions(spark, sf))
+
+
+@add()
+def impute_part_type(spark, sf):
+    return scores.score_spread(wl.run_part_types(spark, sf))
+
+
+@add()
+def regress_customer_total(spark, sf):
+    return scores.score_spread(wl.run_customer_totals(spark, sf))
+
+
+@add()
+def regress_part_price(spark, sf):
+    return scores.score_spread(wl.run_part_prices(spark, sf))
+
+
+@add()
+def link_predict_customer_part(spark, sf):
+    return scores.score_spread(wl.run_customer_part_links(spark, sf, 1000))
+
+
+@add()
+def link_predict_part_brand(spark, sf):
+    return scores.score_spread(wl.run_part_brand_links(spark, sf))
+
+
+@add("SELECT s_name AS item, min(r_name) AS label FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE s_name IS NOT NULL GROUP BY s_name HAVING count(DISTINCT r_name) = 1")
+def labels_supplier_region(spark, sf):
+    return wl.supplier_regions(spark, sf)
+
+
+@add("SELECT p_name AS item, p_type AS label FROM (SELECT p_name, p_type, count(*) AS n FROM part WHERE p_name <> '' AND p_type <> '' GROUP BY ALL) QUALIFY row_number() OVER (PARTITION BY p_name ORDER BY n DESC, p_type) = 1")
+def labels_part_type(spark, sf):
+    return wl.part_types(spark, sf)
+
+
+@add("SELECT c_name AS item, CAST(sum(CAST(o_totalprice AS DECIMAL(24, 6))) AS DOUBLE) / count(*) AS label FROM customer JOIN orders ON c_custkey = o_custkey WHERE c_name <> '' AND o_totalprice IS NOT NULL GROUP BY c_name")
+def labels_customer_total(spark, sf):
+    return wl.customer_totals(spark, sf)
+
+
+@add("SELECT p_name AS item, CAST(sum(CAST(p_retailprice AS DECIMAL(24, 6))) AS DOUBLE) / count(*) AS label FROM part WHERE p_name <> '' AND p_retailprice IS NOT NULL GROUP BY p_name")
+def labels_part_price(spark, sf):
+    return wl.part_prices(spark, sf)
+
+
 @add()
 def regress_document_length_with_walks(spark, sf):
     return scores.score_spread(wl.run_regression(spark, sf, n_trials=1, methods=WALKS))
@@ -180,7 +236,8 @@ def runtime_by_fraction(spark, sf):
 
 @add()
 def classify_by_sample_size(spark, sf):
-    return scores.score_spread(wl.run_sample_sizes(spark, sf, (50, 200), methods=("base", "series"), n_trials=2))
+    """The least and the greatest published number of training rows, and as many test rows as sf0.01 has beside them."""
+    return scores.score_spread(wl.run_sample_sizes(spark, sf, (200, 1000), 500, n_trials=2))
 
 
 @add()
@@ -222,6 +279,21 @@ def grid_search_small(spark, sf):
     return scores.score_spread(wl.grid_search(spark, sf, [Params(1, 0, 3, 0), Params(1, 0, 3, 1), Params(1, 0, 3, 3), Params(3, 0, 1, 1)]))
 
 
+@add()
+def grid_search_objective(spark, sf):
+    return scores.score_spread(wl.grid_search(spark, sf, [Params(1, 0, 3, 0), Params(1, 0, 3, 3)], "objective"))
+
+
+@add()
+def grid_search_with_walks(spark, sf):
+    return scores.score_spread(wl.grid_search(spark, sf, [Params(1, 0, 3, 1), Params(3, 0, 1, 1)], walks=True))
+
+
+@add()
+def grid_search_impute_lang(spark, sf):
+    return scores.score_spread(wl.grid_search_imputation(spark, sf, [Params(1, 0, 3, 1), Params(3, 0, 1, 1)], n_trials=1))
+
+
 @add()
 def ablation_by_link_kind(spark, sf):
     return scores.score_spread(wl.run_ablation(spark, sf, settings=nets.Settings((32,), rate=1e-2, l2=1e-5, max_epochs=60, patience=20)))
