@@ -81,11 +81,12 @@ def run_document_labels(spark: SparkSession, folder: str, label: str, methods=ME
 
 
 def run_sample_sizes(spark: SparkSession, folder: str, sizes=(50, 100, 200), n_test: int = 200, n_trials: int = 3, methods=METHODS, settings=QUICK) -> DataFrame:
-    """Accuracy by the number of training rows."""
+    """Accuracy by the number of training rows, two thirds of all rows at most."""
     db = d.database(spark, folder, COMMERCE.without("region.r_name"))
-    x, out = method_vectors(db, methods), []
-    for n in sizes:
-        rows = samples.train_test(region_labels(spark, folder), "item", n, n_test, n_trials)
+    x, out, labels = method_vectors(db, methods), [], region_labels(spark, folder)
+    most = labels.count() * 2 // 3
+    for n in sorted({min(n, most) for n in sizes}):
+        rows = samples.train_test(labels, "item", n, n_test, n_trials)
         out.append(scores.accuracy(scores.predict(_with_vectors(rows, db, "customer.c_name", x), "binary", settings), f"binary_region_{n}"))
     return _union(out)
 
