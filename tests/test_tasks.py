@@ -113,6 +113,14 @@ def test_samples_are_exact_and_reproducible(spark):
     assert [tuple(v) for v in samples.without_ambiguity(clear, "key", "label").collect()] == [("x", 1)]
 
 
+def test_balanced_labels_of_the_query_have_no_cap(spark, tmp_path):
+    from tablevec.queries.tasks import sample_balanced_labels
+
+    spark.range(6500).selectExpr("id AS doc_id", "CAST(id % 2 AS INT) AS quality", "0 AS toxic").write.parquet(f"{tmp_path}/labels.parquet")
+    got = sample_balanced_labels(spark, str(tmp_path)).groupBy("label", "split").count().toPandas()
+    assert sorted(got["count"]) == [1625] * 4
+
+
 def test_negatives_are_no_links(spark):
     links = spark.createDataFrame([(f"s{i}", f"t{i % 5}") for i in range(40)], "src string, dst string")
     got = {tuple(v) for v in samples.negative_links(links, 60).collect()}
