@@ -121,6 +121,18 @@ def test_balanced_labels_of_the_query_have_no_cap(spark, tmp_path):
     assert sorted(got["count"]) == [1625] * 4
 
 
+def test_many_rows_of_small_files_are_not_broadcast(spark, monkeypatch):
+    from tablevec.plans import stages
+
+    monkeypatch.setattr(stages, "BROADCAST_ROWS", 1000, raising=False)
+    kept = stages.Stages(spark, "wide")
+    zeros = kept.keep(spark.range(5000).selectExpr("id", "array_repeat(0D, 64) AS vec"))
+    few = kept.keep(spark.range(10).toDF("id"))
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    assert "Broadcast" not in plan(zeros.select("id", "vec").join(kept.keep(spark.range(5000).toDF("id")), "id"))
+    assert "Broadcast" in plan(zeros.join(F.broadcast(few), "id"))
+
+
 def test_negatives_are_no_links(spark):
     links = spark.createDataFrame([(f"s{i}", f"t{i % 5}") for i in range(40)], "src string, dst string")
     got = {tuple(v) for v in samples.negative_links(links, 60).collect()}
