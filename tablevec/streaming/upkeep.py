@@ -91,6 +91,11 @@ def local_sweeps(db: d.Database, fitted: DataFrame, touched: DataFrame, params:
     for _ in range(hops):
         beside = p.links.join(near.select(F.col("node_id").alias("src")), "src", "left_semi").select(F.col("dst").alias("node_id"))
         near = stages.keep(near.union(beside).distinct())
+    old = fitted.select("node_id", F.col("vec").alias("_old"))
+    x = stages.keep(p.base.join(old, "node_id", "left").select("node_id", F.coalesce("_old", "vec").alias("vec")))
+    if near.count() == x.count():  # all values move
+        step = solvers.objective_step(p, params)
+        return solvers.run(replace(step, strict=params.strict), x, sweeps).vectors
     made = Stages(fitted.sparkSession, "weights")
     step = solvers.objective_step(p, params, made=made)
     least, zeros = step.nodes.agg(F.min("den"), F.coalesce(F.sum((F.col("den") == 0).cast("int")), F.lit(0))).first()
@@ -99,8 +104,6 @@ def local_sweeps(db: d.Database, fitted: DataFrame, touched: DataFrame, params:
     coefs = stages.keep(step.coefs.join(near.select(F.col("node_id").alias("src")), "src", "left_semi"))
     step = replace(step, nodes=nodes, coefs=coefs, push=stages.keep(step.push), targets=stages.keep(step.targets), stuck=zeros > 0)
     made.clear()
-    old = fitted.select("node_id", F.col("vec").alias("_old"))
-    x = stages.keep(p.base.join(old, "node_id", "left").select("node_id", F.coalesce("_old", "vec").alias("vec")))
     for k in range(sweeps):
         last = stages.made
         x = stages.keep(x.join(nodes.select("node_id"), "node_id", "left_anti").unionByName(solvers.sweep(step, x)))

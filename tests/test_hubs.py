@@ -54,3 +54,38 @@ def test_more_ends_than_hubs_go_by_joins(spark, monkeypatch):
         got = solvers.fit_series(p, Params(1, 0, 3, 1), 3, kernel=kernel)
         want = solvers.fit_series(p, Params(1, 0, 3, 1), 3, kernel="shuffle")
         assert np.allclose(vectors(got), vectors(want), atol=1e-12)
+
+
+def test_upkeep_that_moves_all_values_is_a_fit(spark, tiny, monkeypatch):
+    from tablevec.streaming import upkeep
+
+    db = core.mini(spark, tiny)
+    want = solvers.fit_objective(db.problem, core.OBJECTIVE, 3)
+    kept = upkeep.local_sweeps(db, want.vectors, db.nodes.select("node_id").limit(1), core.OBJECTIVE, 1)  # a part: by joins
+    assert kept.count() == db.nodes.count()
+    monkeypatch.setattr(solvers, "sweep", _no_joins)
+    got = upkeep.local_sweeps(db, db.problem.base.select("node_id", "vec"), db.nodes.select("node_id"), core.OBJECTIVE, 3)
+    assert np.allclose(np.array([r["vec"] for r in got.orderBy("node_id").collect()]), vectors(want), atol=1e-12)
+
+
+def test_written_tables_broadcast_only_what_was_measured(spark, monkeypatch):
+    from pyspark.sql import DataFrameWriter
+
+    from tablevec.plans import checks
+    from tablevec.plans.stages import Stages
+
+    names = ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.autoBroadcastJoinThreshold")
+    before, found, write = [spark.conf.get(n, None) for n in names], [], DataFrameWriter.parquet
+    stages = Stages(spark, "measured")
+    a, b = stages.keep(spark.range(40_000)), stages.keep(spark.range(40_000))
+    joined = a.join(b, "id")
+    assert checks.joins(joined.select("id")) == ["BroadcastHashJoin"]
+
+    def look(self, path, *args):
+        found.append((checks.joins(self._df.select("*")), spark.conf.get(names[1])))
+        return write(self, path, *args)
+
+    monkeypatch.setattr(DataFrameWriter, "parquet", look)
+    assert stages.keep(joined).count() == 40_000
+    assert found == [(["SortMergeJoin"], before[0])]
+    assert [spark.conf.get(n, None) for n in names] == before
