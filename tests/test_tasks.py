@@ -280,3 +280,39 @@ def test_all_free_pairs_are_found_when_all_are_asked(spark):
     got = [tuple(r) for r in samples.negative_links(links, len(free)).collect()]
     assert len(got) == len(free) and set(got) == free
     assert {tuple(r) for r in samples.negative_links(links, 1000).collect()} == free
+
+
+def test_only_the_vectors_of_drawn_values_go_on(spark, tiny, monkeypatch):
+    from tablevec.tasks import workloads
+
+    db, seen = d.database(spark, tiny), []
+    kept = workloads.Stages.keep
+
+    def keep(self, df, **options):
+        out = kept(self, df, **options)
+        seen.append((self.root, out)) if "vec" in out.columns or "features" in out.columns else None
+        return out
+
+    monkeypatch.setattr(workloads.Stages, "keep", keep)
+    rows = spark.createDataFrame([("NATION_1", "yes"), ("NATION_3", "no"), ("no nation", "no")], "item string, label string")
+    one = workloads.method_vectors(db, ("base", "series"), of=((rows, "nation.n_name"),))
+    every = {(r["method"], r["node_id"]): r["features"] for r in workloads.method_vectors(db, ("base", "series")).collect()}
+    names = {r["node_id"]: r["value"] for r in db.nodes.where("category = 'nation.n_name'").collect()}
+    got = {(r["method"], r["node_id"]): r["features"] for r in one.collect()}
+    assert sorted((m, names[n]) for m, n in got) == [(m, n) for m in ("base", "series") for n in ("NATION_1", "NATION_3")]
+    assert all(np.allclose(v, every[k]) for k, v in got.items())
+    seen.clear()
+    made = workloads._with_vectors(rows, db, "nation.n_name", one)
+    assert made.count() == 4 and all(df.count() <= 4 for root, df in seen)
+
+
+def test_samples_of_long_keys_are_drawn_by_digests(spark):
+    rows = spark.createDataFrame([(f"{i % 40} " + "x" * 50, None if i % 3 == 0 else f"{i % 3}") for i in range(80)], "k string, label string")
+    near = samples.least(samples.trials(rows, 2).withColumn("_place", r.hash_order("trial", "k")), ["trial", "label"], 5)
+    assert {(q["trial"], q["label"]): q["count"] for q in near.groupBy("trial", "label").count().collect()} == {(t, c): n for t in (0, 1) for c in (None, "1", "2") for n in [near.where(F.col("trial") == t).where(F.col("label").eqNullSafe(c)).count()] if 5 <= n < 12}
+    split = samples.train_test(rows, "k", 6, 3, 2).collect()
+    order = samples.trials(rows, 2).withColumn("h", r.hash_order("trial", "k")).toPandas()
+    for t in (0, 1):
+        first = order[order["trial"] == t].sort_values("h")["k"].tolist()[:9]
+        assert sorted(q["k"] for q in split if q["trial"] == t) == sorted(first)
+    assert samples.least(rows.withColumn("_place", F.md5("k")), [], 7).count() in (7, 8)
