@@ -350,3 +350,19 @@ def test_as_of_join_over_stretches_against_a_plain_walk(spark):
         known = [(t, v) for key, t, v in right if key == k and t <= at and v is not None]
         assert got[i] == (max(known)[1] if known else None)
     assert len(got) == len(left) and r.as_of_join(a, b.limit(0), "k", "at", "v").where("last_v is not null").count() == 0
+
+
+def test_start_vectors_without_a_row_of_numbers_for_each_hit(spark, monkeypatch):
+    words = _lexicon(spark)
+    terms = [r["term"] for r in words.orderBy("term").collect()]
+    nodes = spark.createDataFrame([(i, "t.c", " and ".join(terms[(i * k) % len(terms)] for k in range(1 + i % 40)) if i % 7 else "none of it") for i in range(300)], "node_id long, category string, value string")
+    hits = lexicon.match_phrases(nodes, words).repartition(3)
+    dims = words.selectExpr("size(vec) AS n").first()["n"]
+    assert lexicon._sums(hits, words, dims) is not None
+    got = {r["node_id"]: r for r in lexicon.init_vectors(nodes, hits, words, dims).collect()}
+    monkeypatch.setattr(lexicon, "VECTOR_BYTES", 0)
+    assert lexicon._sums(hits, words, dims) is None
+    for r in lexicon.init_vectors(nodes, hits, words, dims).collect():
+        assert r["is_oov"] == got[r["node_id"]]["is_oov"] and np.allclose(r["vec"], got[r["node_id"]]["vec"], rtol=0, atol=1e-12)
+    monkeypatch.undo()
+    assert lexicon._sums(hits, words.union(words), dims) is None and lexicon._sums(hits, words, dims + 1) is None
