@@ -366,3 +366,17 @@ def test_start_vectors_without_a_row_of_numbers_for_each_hit(spark, monkeypatch)
         assert r["is_oov"] == got[r["node_id"]]["is_oov"] and np.allclose(r["vec"], got[r["node_id"]]["vec"], rtol=0, atol=1e-12)
     monkeypatch.undo()
     assert lexicon._sums(hits, words.union(words), dims) is None and lexicon._sums(hits, words, dims + 1) is None
+
+
+def test_start_vectors_in_one_pass_over_the_values(spark, monkeypatch):
+    words = _lexicon(spark)
+    values = ["Bank account", "bank, BANK", "my bank-account account", "a b c d", "nothing here", "account a", "b c", "d " * 50 + "a b bank"]
+    nodes = spark.createDataFrame([(i, "c", v) for i, v in enumerate(values * 100)], "node_id long, category string, value string")
+    got = {r["node_id"]: r for r in lexicon.start_vectors(nodes, words, 2).collect()}
+    want = lexicon.init_vectors(nodes, lexicon.match_phrases(nodes, words), words, 2).collect()
+    assert len(got) == len(want) == 800
+    for r in want:
+        assert np.allclose(r["vec"], got[r["node_id"]]["vec"], rtol=0, atol=1e-12) and [r[c] for c in ("category", "value", "is_oov")] == [got[r["node_id"]][c] for c in ("category", "value", "is_oov")]
+    assert lexicon.start_vectors(nodes, words, 3) is None
+    monkeypatch.setattr(lexicon, "TRIE_TOKENS", 3)
+    assert lexicon.start_vectors(nodes, words, 2) is None
