@@ -17,6 +17,7 @@ def test_many_vertices_need_no_model_on_the_driver(spark, monkeypatch):
     monkeypatch.setattr(pyspark.ml.feature, "Word2Vec", None)
     monkeypatch.setattr(graph, "MODEL_VERTICES", 20, raising=False)
     monkeypatch.setattr(skipgram, "BLOCK", 25)
+    monkeypatch.setattr(skipgram, "BLOCKS", 2)
     vertices, edges = _two_groups(spark)
     fit = lambda v, e: {r["node_id"]: r["vec"] for r in graph.fit_walks((v, e), 10, 10, 3, 8, rounds=2).collect()}
     got = fit(vertices, edges)
